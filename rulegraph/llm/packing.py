@@ -22,6 +22,7 @@ from .common import staged
 from .word_ids import encoder, text_lists
 
 _PIECES = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("cls", pa.int32()), ("part", pa.int32()), ("inside", pa.int64())])
+_PLACED = pa.schema([*list(_PIECES)[:5], ("sequence_id", pa.int64()), ("place", pa.int64())])
 _PIECES_DDL = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, cls int, part int, inside long"
 
 
@@ -165,18 +166,18 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, room: int = 4096, gra
     shifts = counts.select("part", "cls", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("shift"))
     ranked = pieces.join(shifts, ["part", "cls"]).select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "cls", (F.col("inside") + F.col("shift")).alias("rank"))
 
-    def assign(frames):
-        for frame in frames:
-            cls, rank = frame["cls"].to_numpy(), frame["rank"].to_numpy()
-            sequence, place = np.empty(len(frame), np.int64), np.empty(len(frame), np.int64)
+    def assign(batches):
+        for batch in batches:
+            cls, rank = batch.column(5).to_numpy(), batch.column(6).to_numpy()
+            sequence, place = np.empty(len(cls), np.int64), np.empty(len(cls), np.int64)
             for c in np.unique(cls):
                 at = cls == c
                 first, copies, base, spot = places[int(c)]
                 k = np.searchsorted(first, rank[at], "right") - 1
                 step = rank[at] - first[k]
                 sequence[at], place[at] = base[k] + step // copies[k], spot[k] + step % copies[k]
-            yield frame.drop(columns=["cls", "rank"]).assign(sequence_id=sequence, place=place)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:5], pa.array(sequence), pa.array(place)], schema=_PLACED)
 
-    placed = ranked.mapInPandas(assign, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, place long")
+    placed = ranked.mapInArrow(assign, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, place long")
     earlier = Window.partitionBy("sequence_id").orderBy("place").rowsBetween(Window.unboundedPreceding, -1)
     return placed.withColumn("offset", F.coalesce(F.sum("length").over(earlier), F.lit(0)).cast("long")).drop("place")

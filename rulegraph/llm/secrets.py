@@ -15,9 +15,14 @@ import re
 import zlib
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .word_ids import text_lists
+
+_OUT = pa.schema([("doc_id", pa.int64()), ("n_assign", pa.int64()), ("n_access", pa.int64()), ("n_hex", pa.int64()), ("base_sha256", pa.string()), ("spans", pa.string())])
+
 #: Kinds in the order of the contract; the first three are the base.
 KINDS = ("assign", "access", "hex", "checked", "jwt", "pem")
 
@@ -131,19 +136,19 @@ def scan_secrets(docs: DataFrame) -> DataFrame:
     has none; repeated rows are scanned each; an empty table gives no rows.
     """
 
-    def scan(frames):
-        for frame in frames:
-            rows = []
-            for text in frame["text"]:
-                spans = find(text)
-                base = [x for x in spans if x[0] in KINDS[:3]]
-                counts = [sum(x[0] == k for x in base) for k in KINDS[:3]]
-                rows.append((*counts, hashlib.sha256(_joined(base).encode()).hexdigest(), _joined(spans)))
-            out = pd.DataFrame(rows, columns=["n_assign", "n_access", "n_hex", "base_sha256", "spans"])
-            out.insert(0, "doc_id", frame["doc_id"].to_numpy())
-            yield out
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInPandas(scan, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
+    def scan(batches):
+        for batch in batches:
+            for first, texts in text_lists(batch):
+                rows = []
+                for text in texts:
+                    spans = find(text)
+                    base = [x for x in spans if x[0] in KINDS[:3]]
+                    counts = [sum(x[0] == k for x in base) for k in KINDS[:3]]
+                    rows.append((*counts, hashlib.sha256(_joined(base).encode()).hexdigest(), _joined(spans)))
+                columns = [pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), list(_OUT)[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(texts)), *columns], schema=_OUT)
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scan, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
 
 
 def redact_column(docs: DataFrame, column: str = "text") -> DataFrame:
