@@ -50,12 +50,25 @@ def op6_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return digest(format_chats(chats))
 
 
+def op7_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .neardup import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"), threshold=0.8, size=5)
+
+
 def op8_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .secrets import scan_secrets
 
     return scan_secrets(table(spark, sf_dir, "documents"))
 
 
+def op9_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .language import fit, identify
+
+    docs = table(spark, sf_dir, "documents")
+    return identify(docs, fit(docs))
+
+
 def op10_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .search import top_k
 
@@ -63,7 +76,7 @@ def op10_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(vectors, vectors.where("vec_id % 50 = 0"), k=5, scale=256)
 
 
-QUERIES = {f.__name__: f for f in (op1_packing, op2_sharding, op4_decontamination, op5_token_files, op6_chat, op8_secrets, op10_topk)}
+QUERIES = {f.__name__: f for f in (op1_packing, op2_sharding, op4_decontamination, op5_token_files, op6_chat, op7_near_duplicates, op8_secrets, op9_language, op10_topk)}
 
 _WORDS = "regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+')"
 
