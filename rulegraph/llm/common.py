@@ -14,6 +14,7 @@ Rules kept by every operator of this subpackage:
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -48,10 +49,15 @@ def new_path(spark: SparkSession, name: str) -> str:
 
 
 def staged(df: DataFrame, name: str) -> DataFrame:
-    """Writes df once to the shared folder and reads it back: lineage ends here."""
+    """Writes df once to the shared folder and reads it back: lineage ends here.
+
+    Shuffle files of finished plans are let go, as nothing can need them any more.
+    """
     spark = df.sparkSession
     path = new_path(spark, name)
     df.write.option("compression", "zstd").parquet(path)
+    gc.collect()
+    spark._jvm.System.gc()
     return spark.read.schema(df.schema).parquet(path)
 
 

@@ -30,6 +30,12 @@ def op2_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op3_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .substrings import removed_bytes
+
+    return removed_bytes(table(spark, sf_dir, "documents"), length=50).drop("spans")
+
+
 def op4_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .decontaminate import decontaminate
 
@@ -76,7 +82,7 @@ def op10_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return top_k(vectors, vectors.where("vec_id % 50 = 0"), k=5, scale=256)
 
 
-QUERIES = {f.__name__: f for f in (op1_packing, op2_sharding, op4_decontamination, op5_token_files, op6_chat, op7_near_duplicates, op8_secrets, op9_language, op10_topk)}
+QUERIES = {f.__name__: f for f in (op1_packing, op2_sharding, op3_substrings, op4_decontamination, op5_token_files, op6_chat, op7_near_duplicates, op8_secrets, op9_language, op10_topk)}
 
 _WORDS = "regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+')"
 
