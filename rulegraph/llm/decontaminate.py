@@ -16,6 +16,7 @@ import hashlib
 import re
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -209,6 +210,14 @@ def _scan(windows: Windows, batch: pa.RecordBatch, block_bytes: int):
         yield first, np.diff(bounds), items, marks
 
 
+def _windows(benchmark: DataFrame, size: int, max_benchmark_mb: int) -> Windows:
+    held = benchmark.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    if held > max_benchmark_mb << 20:
+        raise ValueError(f"the benchmark holds {held >> 20} MB of text, over {max_benchmark_mb}; use decontaminate_in_parts")
+    rows = benchmark.select(F.col("item_id").cast("string"), "text").where(F.col("item_id").isNotNull()).collect()
+    return Windows([(r[0], words(r[1])) for r in rows], size)
+
+
 def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 4 << 20, max_benchmark_mb: int = 64) -> DataFrame:
     """Words of documents (doc_id, text) inside occurrences of benchmark (item_id, text) windows.
 
@@ -222,11 +231,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_b
     ``max_benchmark_mb`` of text this raises; search it in parts with
     :func:`decontaminate_in_parts`.
     """
-    held = benchmark.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    if held > max_benchmark_mb << 20:
-        raise ValueError(f"the benchmark holds {held >> 20} MB of text, over {max_benchmark_mb}; use decontaminate_in_parts")
-    rows = benchmark.select(F.col("item_id").cast("string"), "text").where(F.col("item_id").isNotNull()).collect()
-    windows = Windows([(r[0], words(r[1])) for r in rows], size)
+    windows = _windows(benchmark, size, max_benchmark_mb)
 
     def scan(batches):
         for batch in batches:
@@ -240,6 +245,28 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_b
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scan, _OUT_DDL)
 
 
+def cut_passages(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 4 << 20, max_benchmark_mb: int = 64) -> DataFrame:
+    """The same rows and columns with all hit words cut out of the texts (from a span's first word to its last)."""
+    windows = _windows(benchmark, size, max_benchmark_mb)
+
+    @F.pandas_udf("string")
+    def cleaned(texts: pd.Series) -> pd.Series:
+        batch = pa.RecordBatch.from_arrays([pa.array(texts, pa.string(), from_pandas=True)], ["text"])
+        out = texts.tolist()
+        for first, _, _, marks in _scan(windows, batch, block_bytes):
+            for d, spans in marks.items():
+                text = out[first + d]
+                place = [m.span() for m in WORD.finditer(text.translate(_LOWER))]
+                pieces, at = [], 0
+                for a, b in spans:
+                    pieces.append(text[at : place[a][0]])
+                    at = place[b - 1][1]
+                out[first + d] = "".join([*pieces, text[at:]])
+        return pd.Series(out, dtype=object)
+
+    return docs.withColumn("text", cleaned(F.col("text")))
+
+
 def decontaminate_in_parts(docs: DataFrame, benchmark: DataFrame, parts: int, **options) -> DataFrame:
     """The same for a benchmark of any size: items dealt into parts, results merged by (doc_id, text hash)."""
     keyed = docs.select("doc_id", "text", F.xxhash64("text").alias("_h"))

@@ -17,8 +17,6 @@ rounds, and nothing is capped.
 
 from __future__ import annotations
 
-import hashlib
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -138,39 +136,38 @@ def similarity(a: np.ndarray, x: np.ndarray, b: np.ndarray, y: np.ndarray) -> fl
     return max(plain, float((1 / (below[k] / p[: len(both)] + above[k] / q[: len(both)])).sum()))
 
 
-def digests(data: np.ndarray, offsets: np.ndarray) -> list[bytes]:
-    raw = memoryview(np.ascontiguousarray(data)).cast("B")
-    return [hashlib.blake2b(raw[a:b], digest_size=16).digest() for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
+def with_nodes(docs: DataFrame) -> DataFrame:
+    """(doc_id, node, text): node is the first half of the text's SHA-256; a null text is the empty text."""
+    text = F.coalesce(F.col("text"), F.lit(""))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.substring(F.unhex(F.sha2(text, 256)), 1, 16).alias("node"), text.alias("text"))
 
 
 def signed_nodes(docs: DataFrame, registers: int, bands: int, size: int, block_bytes: int = 2 << 20) -> DataFrame:
-    """(doc_id, node, bands): node is the text's 128-bit digest; a text without words has no bands."""
+    """(doc_id, node, bands) of texts (doc_id, node, text); a text without words has no bands."""
 
     def sign(batches):
         for batch in batches:
             for first, n, data, offsets in blocks_of(batch, limit=block_bytes):
-                nodes = digests(data, offsets)
                 shingles, weights, bounds = shingles_of(data, offsets, size)
                 keys = band_keys(signatures(shingles, weights, bounds, registers), bands).view(np.int64)
                 some = np.diff(bounds) > 0
                 ends = np.concatenate([[0], np.cumsum(some * bands)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), pa.array(nodes, pa.binary()), pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[some].ravel()))], schema=_NODE)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), batch.column(1).slice(first, n), pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[some].ravel()))], schema=_NODE)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(sign, "doc_id long, node binary, bands array<long>")
+    return docs.mapInArrow(sign, "doc_id long, node binary, bands array<long>")
 
 
 def shingle_table(texts: DataFrame, size: int) -> DataFrame:
-    """(node, shingles, weights) as packed arrays of texts (node, text), where the text is the node's."""
+    """(node, shingles, weights) as packed arrays of texts (node, text)."""
 
     def cut(batches):
         for batch in batches:
             for first, n, data, offsets in blocks_of(batch):
                 shingles, weights, bounds = shingles_of(data, offsets, size)
                 weights = weights.astype(np.int32)
-                own = [i for i, (x, y) in enumerate(zip(batch.column(0).slice(first, n).to_pylist(), digests(data, offsets), strict=True)) if x == y]
-                cuts = [(int(bounds[i]), int(bounds[i + 1])) for i in own]
+                cuts = list(zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True))
                 # weights that are all 1 are not written
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n).take(pa.array(own, pa.int64())), pa.array([shingles[a:b].tobytes() for a, b in cuts], pa.binary()), pa.array([b"" if (weights[a:b] == 1).all() else weights[a:b].tobytes() for a, b in cuts], pa.binary())], schema=_SHINGLES)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), pa.array([shingles[a:b].tobytes() for a, b in cuts], pa.binary()), pa.array([b"" if (weights[a:b] == 1).all() else weights[a:b].tobytes() for a, b in cuts], pa.binary())], schema=_SHINGLES)
 
     return texts.select("node", "text").mapInArrow(cut, "node binary, shingles binary, weights binary")
 
@@ -233,7 +230,36 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, size: int = 5, regi
     with equal texts; repeated rows are copies; a null doc_id belongs to its text's class
     but never names one unless all ids are null; an empty table gives no rows.
     """
-    signed = staged(signed_nodes(docs, registers, bands, size), "signed")
+    signed, by_node = _classes(docs, threshold, size, registers, bands, first_leaders)
+    return signed.select("doc_id", "node").join(by_node.select("node", "class_id", "class_size"), "node").select("doc_id", "class_id", "class_size")
+
+
+def keep_first(docs: DataFrame, threshold: float = 0.8, size: int = 5, registers: int = 80, bands: int = 20) -> DataFrame:
+    """One document of each class of near-duplicates, with all its columns.
+
+    The row with the least doc_id stays (null ids only where a class has no other), of
+    rows with one id the one with the least text digest, of rows equal in both any one.
+    """
+    signed, by_node = _classes(docs, threshold, size, registers, bands, 1)
+    first = by_node.groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "node")).alias("m"))
+    first = first.select(F.coalesce("m.doc_id", F.lit(_NO_ID)).alias("_id"), F.col("m.node").alias("_node"))
+    text = F.coalesce(F.col("text"), F.lit(""))
+    keyed = docs.withColumn("_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(_NO_ID))).withColumn("_node", F.substring(F.unhex(F.sha2(text, 256)), 1, 16))
+    kept = keyed.join(first, ["_id", "_node"], "left_semi")
+    if not _once(signed):
+        kept = kept.dropDuplicates(["_id", "_node"])
+    return kept.drop("_id", "_node")
+
+
+def _once(signed: DataFrame) -> bool:
+    """True if no row repeats both the id and the text of another."""
+    return signed.groupBy("doc_id", "node").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty()
+
+
+def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands: int, first_leaders: int) -> tuple[DataFrame, DataFrame]:
+    """The signed rows, and (node, doc_id, class, class_id, class_size) of each distinct text."""
+    signed = staged(signed_nodes(with_nodes(docs), registers, bands, size), "signed")
+    once = _once(signed)
     # one entry for each (bucket, node); copies of a text have equal buckets
     nodes = signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("rows"), F.first("bands").alias("bands"))
     nodes = staged(nodes, "nodes")
@@ -243,8 +269,10 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, size: int = 5, regi
     labels = None
     if not open_.isEmpty():
         wanted = nodes.join(open_.select("node").distinct(), "node", "left_semi").select("node", F.coalesce("doc_id", F.lit(_NO_ID)).alias("_id"))
-        raw = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NO_ID)).alias("_id"), F.coalesce("text", F.lit("")).alias("text"))
-        shingles = staged(shingle_table(raw.join(wanted, "_id"), size).dropDuplicates(["node"]), "shingles")
+        raw = with_nodes(docs).withColumn("_id", F.coalesce("doc_id", F.lit(_NO_ID)))
+        shingles = shingle_table(raw.join(wanted, ["_id", "node"]), size)
+        # rows that repeat an id and a text would repeat the node
+        shingles = staged(shingles if once else shingles.dropDuplicates(["node"]), "shingles")
         leaders, turn = first_leaders, 0
         while True:
             mixed = open_.withColumn("_h", F.xxhash64("node", F.lit(turn)))
@@ -271,10 +299,9 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, size: int = 5, regi
             if open_.isEmpty():
                 break
             leaders, turn = leaders * 4, turn + 1
+    named = nodes.select("node", "doc_id", "rows")
     if labels is None:
-        by_node = nodes.select("node", F.col("doc_id").alias("class_id"), F.col("rows").alias("class_size"))
-    else:
-        named = nodes.select("node", "doc_id", "rows").join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-        classes = named.groupBy("label").agg(F.min("doc_id").alias("class_id"), F.sum("rows").alias("class_size"))
-        by_node = named.select("node", "label").join(classes, "label").select("node", "class_id", "class_size")
-    return signed.select("doc_id", "node").join(by_node, "node").select("doc_id", "class_id", "class_size")
+        return signed, named.select("node", "doc_id", F.col("node").alias("class"), F.col("doc_id").alias("class_id"), F.col("rows").alias("class_size"))
+    named = named.join(labels, "node", "left").withColumn("class", F.coalesce("label", "node"))
+    classes = named.groupBy("class").agg(F.min("doc_id").alias("class_id"), F.sum("rows").alias("class_size"))
+    return signed, named.select("node", "doc_id", "class").join(classes, "class")
