@@ -8,11 +8,12 @@ probability Jaccard similarity; bands of registers propose candidates; a candida
 counts only after its exact similarity is computed from all shingles of both texts.
 
 Skew: texts with equal bytes are one node, however many copies there are. In a bucket
-members are compared with a few leaders, never all pairs: leaders are drawn anew each
-round, members already in a leader's class are skipped, and a bucket stays open until
-its members are of one class or every one of them has been a leader. The number of
-leaders grows fourfold each round, so open buckets end after a logarithmic number of
-rounds, and nothing is capped.
+members are first compared with one leader, the member that shares most buckets with
+others (the middle of a family of near copies). Buckets that still hold more than one
+class are then settled by blocks: signatures alone tell which members have any possible
+partner of another class, and those are compared exactly, inside the task, skipping
+pairs of one class. A large bucket is dealt out as pairs of blocks of bounded size, and
+what leaves a task are the links of a spanning forest, never all pairs. Nothing is capped.
 """
 
 from __future__ import annotations
@@ -22,11 +23,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks_of, mix64, staged, words_of
+from .common import blocks_of, mix64, shuffle_partitions, staged, tidied, words_of
 
 #: Stands for a null doc_id inside joins.
 _NO_ID = -(1 << 63)
-_NODE = pa.schema([("doc_id", pa.int64()), ("node", pa.binary()), ("bands", pa.list_(pa.int64()))])
+_NODE = pa.schema([("doc_id", pa.int64()), ("node", pa.binary()), ("bands", pa.list_(pa.int64())), ("sign", pa.binary())])
 _SHINGLES = pa.schema([("node", pa.binary()), ("shingles", pa.binary()), ("weights", pa.binary())])
 _ODD = [np.uint64(x | 1) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB)]
 
@@ -50,7 +51,9 @@ def shingles_of(data: np.ndarray, offsets: np.ndarray, size: int = 5) -> tuple[n
         own = padded[first + j] * _ODD[j % len(_ODD)] + np.uint64(j)
         total += own if j == 0 else np.where(j < left, own, np.uint64(0))
     total = mix64(total)
-    order = np.lexsort((total, text))
+    order = np.argsort(total)
+    # texts of a block are few: sorting them by a small integer keeps the order inside
+    order = order[np.argsort(text[order].astype(np.uint16 if len(n) < 1 << 16 else np.int64), kind="stable")]
     text, total = text[order], total[order]
     new = np.concatenate([[True], (text[1:] != text[:-1]) | (total[1:] != total[:-1])])
     at = np.flatnonzero(new)
@@ -143,18 +146,21 @@ def with_nodes(docs: DataFrame) -> DataFrame:
 
 
 def signed_nodes(docs: DataFrame, registers: int, bands: int, size: int, block_bytes: int = 2 << 20) -> DataFrame:
-    """(doc_id, node, bands) of texts (doc_id, node, text); a text without words has no bands."""
+    """(doc_id, node, bands, sign) of texts (doc_id, node, text): sign is a byte of each register; a text without words has no bands."""
 
     def sign(batches):
         for batch in batches:
             for first, n, data, offsets in blocks_of(batch, limit=block_bytes):
                 shingles, weights, bounds = shingles_of(data, offsets, size)
-                keys = band_keys(signatures(shingles, weights, bounds, registers), bands).view(np.int64)
+                signed = signatures(shingles, weights, bounds, registers)
+                keys = band_keys(signed, bands).view(np.int64)
+                short = signed.astype(np.uint8).tobytes()
+                signs = [short[i : i + registers] for i in range(0, n * registers, registers)]
                 some = np.diff(bounds) > 0
                 ends = np.concatenate([[0], np.cumsum(some * bands)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), batch.column(1).slice(first, n), pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[some].ravel()))], schema=_NODE)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), batch.column(1).slice(first, n), pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[some].ravel())), pa.array(signs, pa.binary())], schema=_NODE)
 
-    return docs.mapInArrow(sign, "doc_id long, node binary, bands array<long>")
+    return docs.mapInArrow(tidied(sign), "doc_id long, node binary, bands array<long>, sign binary")
 
 
 def shingle_table(texts: DataFrame, size: int) -> DataFrame:
@@ -169,7 +175,7 @@ def shingle_table(texts: DataFrame, size: int) -> DataFrame:
                 # weights that are all 1 are not written
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), pa.array([shingles[a:b].tobytes() for a, b in cuts], pa.binary()), pa.array([b"" if (weights[a:b] == 1).all() else weights[a:b].tobytes() for a, b in cuts], pa.binary())], schema=_SHINGLES)
 
-    return texts.select("node", "text").mapInArrow(cut, "node binary, shingles binary, weights binary")
+    return texts.select("node", "text").mapInArrow(tidied(cut), "node binary, shingles binary, weights binary")
 
 
 def verified(pairs: DataFrame, shingles: DataFrame, threshold: float) -> DataFrame:
@@ -189,7 +195,98 @@ def verified(pairs: DataFrame, shingles: DataFrame, threshold: float) -> DataFra
     left = shingles.select(F.col("node").alias("a"), F.col("shingles").alias("s"), F.col("weights").alias("x"))
     right = shingles.select(F.col("node").alias("b"), F.col("shingles").alias("t"), F.col("weights").alias("y"))
     held = pairs.join(left, "a").join(right, "b").select("a", "b", "s", "x", "t", "y")
-    return held.mapInArrow(judge, "a binary, b binary")
+    return held.mapInArrow(tidied(judge), "a binary, b binary")
+
+
+def _grouped(entries: DataFrame, columns: list[str], block: int, partitions: int) -> DataFrame:
+    """Entries (key, ...) dealt as pairs of blocks: every two members of a bucket meet in one group (key, b1, b2)."""
+    sizes = entries.groupBy("key").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("_g"))
+    own = entries.join(sizes, "key").withColumn("_b", F.pmod(F.xxhash64("node"), F.col("_g")).cast("int"))
+    dealt = own.select("key", *columns, "_b", F.explode(F.sequence(F.lit(0), F.col("_g") - 1)).alias("_o"))
+    dealt = dealt.select(F.least("_b", "_o").alias("b1"), F.greatest("_b", "_o").alias("b2"), "key", *columns)
+    return dealt.repartition(partitions, "key", "b1", "b2").sortWithinPartitions("key", "b1", "b2")
+
+
+def _groups(batches):
+    """Rows of each group (key, b1, b2) in turn, as lists of columns."""
+    held, at = None, None
+    for batch in batches:
+        for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            if row[:3] != at:
+                if held:
+                    yield held
+                held, at = [], row[:3]
+            held.append(row[2:])
+    if held:
+        yield held
+
+
+def _likely(rows: list, sign_at: int, label_at: int, bands_at: int, least: float):
+    """Index pairs of members of different classes that may be similar and meet in no earlier bucket: blocks of rows."""
+    signs = np.stack([np.frombuffer(r[sign_at], np.uint8) for r in rows])
+    bands = np.array([r[bands_at] for r in rows], np.int64)
+    _, label = np.unique(np.array([r[label_at] for r in rows], dtype="V16"), return_inverse=True)
+    key = rows[0][0]
+    j = int(np.flatnonzero(bands[0] == key)[0])
+    need = least * signs.shape[1]
+    for first in range(0, len(rows), 64):
+        part = slice(first, first + 64)
+        near = (signs[part, None, :] == signs[None]).sum(2) >= need
+        near &= label[part, None] != label[None]
+        near &= np.arange(len(rows))[None] > np.arange(first, min(first + 64, len(rows)))[:, None]
+        x, y = np.nonzero(near)
+        x = x + first
+        if j and len(x):
+            fresh = ~(bands[x, :j] == bands[y, :j]).any(1)
+            x, y = x[fresh], y[fresh]
+        yield x, y
+
+
+def hopeful(entries: DataFrame, least: float, block: int, partitions: int) -> DataFrame:
+    """(key, node): members that may have a partner of another class, judged by signatures."""
+    schema = pa.schema([("key", pa.int64()), ("node", pa.binary())])
+
+    def judge(batches):
+        for rows in _groups(batches):
+            marked = np.zeros(len(rows), bool)
+            for x, y in _likely(rows, 2, 3, 4, least):
+                marked[x] = True
+                marked[y] = True
+            if marked.any():
+                nodes = [rows[i][1] for i in np.flatnonzero(marked).tolist()]
+                yield pa.RecordBatch.from_arrays([pa.array([rows[0][0]] * len(nodes), pa.int64()), pa.array(nodes, pa.binary())], schema=schema)
+
+    dealt = _grouped(entries, ["node", "sign", "label", "bands"], block, partitions)
+    return dealt.select("b1", "b2", "key", "node", "sign", "label", "bands").mapInArrow(tidied(judge), "key long, node binary").distinct()
+
+
+def settled_links(entries: DataFrame, threshold: float, least: float, block: int, partitions: int) -> DataFrame:
+    """Links (a, b) that join the classes of each group's members, by exact similarity."""
+    schema = pa.schema([("a", pa.binary()), ("b", pa.binary())])
+
+    def judge(batches):
+        for rows in _groups(batches):
+            parent = {r[3]: r[3] for r in rows}
+
+            def root(x):
+                while parent[x] != x:
+                    parent[x] = parent[parent[x]]
+                    x = parent[x]
+                return x
+
+            sets = [(np.frombuffer(r[5], np.uint64), np.frombuffer(r[6], np.int32) if r[6] else np.ones(len(r[5]) // 8, np.int32)) for r in rows]
+            out = []
+            for xs, ys in _likely(rows, 2, 3, 4, least):
+                for x, y in zip(xs.tolist(), ys.tolist(), strict=True):
+                    a, b = root(rows[x][3]), root(rows[y][3])
+                    if a != b and similarity(*sets[x], *sets[y]) >= threshold:
+                        parent[a] = b
+                        out.append((rows[x][1], rows[y][1]))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary()) for c in zip(*out, strict=True)], schema=schema)
+
+    dealt = _grouped(entries, ["node", "sign", "label", "bands", "shingles", "weights"], block, partitions)
+    return dealt.select("b1", "b2", "key", "node", "sign", "label", "bands", "shingles", "weights").mapInArrow(tidied(judge), "a binary, b binary")
 
 
 def components(edges: DataFrame, labels: DataFrame | None = None) -> DataFrame:
@@ -220,7 +317,7 @@ def components(edges: DataFrame, labels: DataFrame | None = None) -> DataFrame:
             known = staged(moved.unionByName(fresh), "labels")
 
 
-def near_duplicates(docs: DataFrame, threshold: float = 0.8, size: int = 5, registers: int = 80, bands: int = 20, first_leaders: int = 1) -> DataFrame:
+def near_duplicates(docs: DataFrame, threshold: float = 0.8, size: int = 5, registers: int = 80, bands: int = 20) -> DataFrame:
     """Classes of equal or similar documents (doc_id, text): one row for each input row.
 
     Returns doc_id, class_id (the least doc_id of the class) and class_size (rows). Two
@@ -230,7 +327,7 @@ def near_duplicates(docs: DataFrame, threshold: float = 0.8, size: int = 5, regi
     with equal texts; repeated rows are copies; a null doc_id belongs to its text's class
     but never names one unless all ids are null; an empty table gives no rows.
     """
-    signed, by_node = _classes(docs, threshold, size, registers, bands, first_leaders)
+    signed, by_node = _classes(docs, threshold, size, registers, bands)
     return signed.select("doc_id", "node").join(by_node.select("node", "class_id", "class_size"), "node").select("doc_id", "class_id", "class_size")
 
 
@@ -240,7 +337,7 @@ def keep_first(docs: DataFrame, threshold: float = 0.8, size: int = 5, registers
     The row with the least doc_id stays (null ids only where a class has no other), of
     rows with one id the one with the least text digest, of rows equal in both any one.
     """
-    signed, by_node = _classes(docs, threshold, size, registers, bands, 1)
+    signed, by_node = _classes(docs, threshold, size, registers, bands)
     first = by_node.groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "node")).alias("m"))
     first = first.select(F.coalesce("m.doc_id", F.lit(_NO_ID)).alias("_id"), F.col("m.node").alias("_node"))
     text = F.coalesce(F.col("text"), F.lit(""))
@@ -256,16 +353,17 @@ def _once(signed: DataFrame) -> bool:
     return signed.groupBy("doc_id", "node").agg(F.count(F.lit(1)).alias("n")).where("n > 1").isEmpty()
 
 
-def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands: int, first_leaders: int) -> tuple[DataFrame, DataFrame]:
+def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands: int) -> tuple[DataFrame, DataFrame]:
     """The signed rows, and (node, doc_id, class, class_id, class_size) of each distinct text."""
     signed = staged(signed_nodes(with_nodes(docs), registers, bands, size), "signed")
     once = _once(signed)
+    partitions = shuffle_partitions(docs.sparkSession)
     # one entry for each (bucket, node); copies of a text have equal buckets
-    nodes = signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("rows"), F.first("bands").alias("bands"))
+    nodes = signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("rows"), F.first("bands").alias("bands"), F.first("sign").alias("sign"))
     nodes = staged(nodes, "nodes")
     entries = nodes.select(F.explode("bands").alias("key"), "node")
     crowded = entries.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    open_ = staged(entries.join(crowded.select("key"), "key", "left_semi").withColumn("label", F.col("node")), "entries")
+    open_ = staged(entries.join(crowded, "key"), "entries")
     labels = None
     if not open_.isEmpty():
         wanted = nodes.join(open_.select("node").distinct(), "node", "left_semi").select("node", F.coalesce("doc_id", F.lit(_NO_ID)).alias("_id"))
@@ -273,32 +371,26 @@ def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands
         shingles = shingle_table(raw.join(wanted, ["_id", "node"]), size)
         # rows that repeat an id and a text would repeat the node
         shingles = staged(shingles if once else shingles.dropDuplicates(["node"]), "shingles")
-        leaders, turn = first_leaders, 0
-        while True:
-            mixed = open_.withColumn("_h", F.xxhash64("node", F.lit(turn)))
-            if leaders == 1:
-                heads = mixed.groupBy("key").agg(F.min(F.struct("_h", "node", "label")).alias("_m")).select("key", F.col("_m.node").alias("_lead"), F.col("_m.label").alias("_lead_label"))
-            else:
-                # the hash is uniform: leaders are the members below a share of its range that depends on the bucket's size
-                sizes = mixed.groupBy("key").agg(F.count(F.lit(1)).alias("_n"), F.min("_h").alias("_least"))
-                ranked = mixed.join(sizes, "key").where((F.col("_h") == F.col("_least")) | (F.col("_h").cast("double") < F.lit(float(-(1 << 63))) + F.lit(float(1 << 64)) * F.lit(float(leaders)) / F.col("_n")))
-                heads = ranked.select("key", F.col("node").alias("_lead"), F.col("label").alias("_lead_label"))
-            heads = staged(heads, "leaders")
-            pairs = open_.join(heads, "key").where((F.col("node") != F.col("_lead")) & (F.col("label") != F.col("_lead_label")))
-            pairs = pairs.select(F.least("node", "_lead").alias("a"), F.greatest("node", "_lead").alias("b")).distinct()
-            links = staged(verified(pairs, shingles, threshold), "links")
-            if not links.isEmpty():
-                labels = components(links, labels)
-            left = open_.join(heads.select("key", F.col("_lead").alias("node")), ["key", "node"], "left_anti").drop("label")
-            if labels is not None:
-                left = left.join(labels, "node", "left").select("key", "node", F.coalesce("label", "node").alias("label"))
-            else:
-                left = left.withColumn("label", F.col("node"))
-            split = left.groupBy("key").agg(F.min("label").alias("_lo"), F.max("label").alias("_hi")).where("_lo <> _hi").select("key")
-            open_ = staged(left.join(split, "key", "left_semi"), "entries")
-            if open_.isEmpty():
-                break
-            leaders, turn = leaders * 4, turn + 1
+        degree = open_.groupBy("node").agg(F.sum("n").alias("degree"))
+        ranked = open_.select("key", "node").join(degree, "node")
+        heads = ranked.groupBy("key").agg(F.max(F.struct("degree", "node")).alias("m")).select("key", F.col("m.node").alias("lead"))
+        pairs = open_.select("key", "node").join(heads, "key").where("node <> lead").select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct()
+        links = staged(verified(pairs, shingles, threshold), "links")
+        labels = None if links.isEmpty() else components(links)
+        # two members were compared with each other already
+        open_ = open_.where("n > 2").select("key", "node")
+        open_ = open_.withColumn("label", F.col("node")) if labels is None else open_.join(labels, "node", "left").select("key", "node", F.coalesce("label", "node").alias("label"))
+        split = open_.groupBy("key").agg(F.min("label").alias("_lo"), F.max("label").alias("_hi")).where("_lo <> _hi").select("key")
+        open_ = staged(open_.join(split, "key", "left_semi"), "entries")
+        if not open_.isEmpty():
+            least = threshold - 4 * float(np.sqrt(threshold * (1 - threshold) / registers))
+            full = open_.join(nodes.select("node", "sign", "bands"), "node")
+            some = staged(hopeful(full, least, 512, partitions), "hopeful")
+            if not some.isEmpty():
+                asked = open_.join(some, ["key", "node"]).join(nodes.select("node", "sign", "bands"), "node").join(shingles, "node")
+                links = staged(settled_links(asked, threshold, least, 128, partitions), "links")
+                if not links.isEmpty():
+                    labels = components(links, labels)
     named = nodes.select("node", "doc_id", "rows")
     if labels is None:
         return signed, named.select("node", "doc_id", F.col("node").alias("class"), F.col("doc_id").alias("class_id"), F.col("rows").alias("class_size"))
