@@ -14,6 +14,7 @@ Rules kept by every operator of this subpackage:
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
@@ -61,6 +62,28 @@ def staged(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def tidy() -> None:
+    """Gives memory that a task no longer uses back to the system: workers live on and wait for other tasks."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def tidied(f):
+    """An Arrow map function that tidies up at the end of its task."""
+
+    def run(batches):
+        try:
+            yield from f(batches)
+        finally:
+            tidy()
+
+    return run
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

@@ -14,10 +14,10 @@ with a smaller id. The plan, from cheap to dear:
    that are equal meet in one shard. A shard builds a suffix array over its runs by
    Larsson-Sadakane refinement, takes common prefixes of neighbours in Kasai's sense
    (cut at ``length``), and finds each window's least document.
-4. A key with very many different runs is dealt over several shards. Each settles what
-   it can and sends on its distinct windows only, which are merged by binary search in
-   sorted tables.
-5. Runs report removed bytes; these are merged by document and cut out of the text.
+4. A bucket of keys with far more runs than others is dealt over several shards. Each
+   settles what it can and sends on the windows of its least owners only, which are
+   merged by binary search in sorted tables.
+5. Removed byte ranges are merged by document and cut out of the text.
 """
 
 from __future__ import annotations
@@ -27,14 +27,17 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks_of, mix64, shuffle_partitions, staged
+from .common import blocks_of, mix64, shuffle_partitions, staged, tidied
 
 _NO_ID = -(1 << 63)
 _ENTRY = np.dtype([("hash", "<u4"), ("node", "<i8"), ("start", "<u4"), ("count", "u1")])
-_SHARED = np.dtype([("node", "<i8"), ("start", "<u4"), ("count", "u1")])
+_SHARED = np.dtype([("node", "<i8"), ("start", "<u4"), ("count", "u1"), ("bucket", "<u4"), ("hash", "<u4")])
+_RUN = np.dtype([("doc", "<i8"), ("node", "<i8"), ("start", "<u4"), ("count", "u1"), ("hash", "<u4")])
+_MARK = np.dtype([("doc", "<i8"), ("node", "<i8"), ("first", "<u4"), ("last", "<u4")])
 _MAX_RUN = 200
 
 
@@ -98,7 +101,7 @@ def suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
     """
     n = len(text)
     key = _grams(text).byteswap()
-    order = np.argsort(key, kind="stable")
+    order = np.argsort(key)
     ordered = key[order]
     new = np.concatenate([[True], ordered[1:] != ordered[:-1]]) if n else np.zeros(0, bool)
     starts = np.flatnonzero(new)
@@ -113,7 +116,7 @@ def suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
             break
         own = order[place]
         group, ahead = rank[own], rank[own + step]
-        sub = np.lexsort((ahead, group))
+        sub = np.argsort(group * (n + 1) + ahead)  # both are below n
         own, group, ahead = own[sub], group[sub], ahead[sub]
         order[place] = own
         fresh = np.concatenate([[True], (group[1:] != group[:-1]) | (ahead[1:] != ahead[:-1])])
@@ -222,24 +225,25 @@ def _entries(docs: DataFrame, length: int, gram: int, buckets: int, flush_bytes:
         def flush():
             node, start, count, key = (np.concatenate(x) for x in zip(*held, strict=True))
             held.clear()
-            order = np.lexsort((node, key))
+            order = np.argsort(key)
             node, start, count, key = node[order], start[order], count[order], key[order]
             new = np.concatenate([[True], key[1:] != key[:-1]])
             group = np.cumsum(new) - 1
-            other = np.zeros(group[-1] + 1, bool)
-            other[group[1:][~new[1:] & (node[1:] != node[:-1])]] = True
-            known = other[group]
+            first = np.flatnonzero(new)
+            known = (np.minimum.reduceat(node, first) != np.maximum.reduceat(node, first))[group]
             shared = np.empty(int(known.sum()), _SHARED)
-            for name, value in (("node", node), ("start", start), ("count", count)):
+            bucket = ((key >> np.uint64(32)) % np.uint64(buckets)).astype(np.int64)
+            for name, value in (("node", node), ("start", start), ("count", count), ("bucket", bucket), ("hash", key & np.uint64(0xFFFFFFFF))):
                 shared[name] = value[known]
-            # one entry stands for a key that is shared here; its node 0 differs from all others
+            # one entry stands for a key that is shared here: node 0, and how many it stands for
             send = ~known | new
-            bucket = ((key[send] >> np.uint64(32)) % np.uint64(buckets)).astype(np.int64)
+            start = np.where(known, np.bincount(group)[group], start)
+            bucket = bucket[send]
             packed = np.empty(int(send.sum()), _ENTRY)
             packed["hash"] = key[send] & np.uint64(0xFFFFFFFF)
             packed["node"] = np.where(known[send], 0, node[send])
             packed["start"], packed["count"] = start[send], count[send]
-            by = np.argsort(bucket, kind="stable")
+            by = np.argsort(bucket)
             packed, bounds = packed[by], np.searchsorted(bucket[by], np.arange(buckets + 1))
             rows = [(b, 0, packed[bounds[b] : bounds[b + 1]].tobytes()) for b in range(buckets) if bounds[b + 1] > bounds[b]]
             piece = 1 << 16
@@ -264,15 +268,19 @@ def _entries(docs: DataFrame, length: int, gram: int, buckets: int, flush_bytes:
         if held:
             yield flush()
 
-    return docs.mapInArrow(scan, "bucket int, kind int, packed binary")
+    return docs.mapInArrow(tidied(scan), "bucket int, kind int, packed binary")
 
 
 def _shared_runs(entries: DataFrame, partitions: int) -> DataFrame:
-    """(node, start, count): runs whose key occurs in two different texts."""
-    schema = pa.schema([("node", pa.int64()), ("start", pa.int64()), ("count", pa.int32())])
+    """(node, place, key): runs whose key occurs in two different texts, place being start * 256 + count.
 
-    def pack(node, start, count):
-        return pa.RecordBatch.from_arrays([pa.array(node.astype(np.int64)), pa.array(start.astype(np.int64)), pa.array(count.astype(np.int32))], schema=schema)
+    One row without node for each bucket gives the number of its shared runs.
+    """
+    schema = pa.schema([("node", pa.int64()), ("place", pa.int64()), ("key", pa.int64())])
+
+    def pack(x, bucket, hashes):
+        place = x["start"].astype(np.int64) * 256 + x["count"]
+        return pa.RecordBatch.from_arrays([pa.array(x["node"].astype(np.int64)), pa.array(place), pa.array((bucket << 32) | hashes.astype(np.int64))], schema=schema)
 
     def meet(batches):
         buckets: dict[int, list[bytes]] = {}
@@ -280,177 +288,269 @@ def _shared_runs(entries: DataFrame, partitions: int) -> DataFrame:
             for bucket, kind, packed in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
                 if kind == 1:
                     x = np.frombuffer(packed, _SHARED)
-                    yield pack(x["node"], x["start"], x["count"])
+                    yield pack(x, x["bucket"].astype(np.int64), x["hash"])
                 else:
                     buckets.setdefault(bucket, []).append(packed)
         for bucket in sorted(buckets):
             x = np.frombuffer(b"".join(buckets.pop(bucket)), _ENTRY)
-            order = np.argsort(x["hash"], kind="stable")
+            order = np.argsort(x["hash"])
             h, node = x["hash"][order], x["node"][order]
             new = np.concatenate([[True], h[1:] != h[:-1]])
             group = np.cumsum(new) - 1
+            first = np.flatnonzero(new)
             # shared: two different nodes, or an entry that stands for a shared key
-            low, high = np.full(group[-1] + 1, np.iinfo(np.int64).max), np.full(group[-1] + 1, np.iinfo(np.int64).min)
-            np.minimum.at(low, group, node)
-            np.maximum.at(high, group, node)
-            stands = np.zeros(group[-1] + 1, bool)
-            stands[group[node == 0]] = True
-            keep = ((low != high) | stands)[group] & (node != 0)
+            stands = node == 0
+            many = (np.minimum.reduceat(node, first) != np.maximum.reduceat(node, first)) | np.logical_or.reduceat(stands, first)
+            keep = many[group] & ~stands
+            total = int(keep.sum()) + int(x["start"][order[stands]].sum())
+            yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([total]), pa.array([bucket])], schema=schema)
             if keep.any():
-                x = x[order[keep]]
-                yield pack(x["node"], x["start"], x["count"])
+                own = x[order[keep]]
+                yield pack(own, np.int64(bucket), own["hash"])
 
-    return entries.repartition(partitions, "bucket").mapInArrow(meet, "node long, start long, count int")
+    return entries.repartition(partitions, "bucket").mapInArrow(tidied(meet), "node long, place long, key long")
 
 
-def _cut_runs(texts: DataFrame, length: int) -> DataFrame:
-    """Runs cut out of texts (doc_id, node, text, runs): doc_id, node, start, count, run digest, body."""
-    schema = pa.schema([("doc_id", pa.int64()), ("node", pa.int64()), ("start", pa.int64()), ("count", pa.int32()), ("run", pa.binary()), ("body", pa.binary())])
+def _marks_by_bucket(marks: np.ndarray, buckets: int):
+    """(bucket of the node, packed marks)."""
+    bucket = (mix64(marks["node"].view(np.uint64)) % np.uint64(buckets)).astype(np.int64)
+    order = np.argsort(bucket)
+    marks, bounds = marks[order], np.searchsorted(bucket[order], np.arange(buckets + 1))
+    for b in range(buckets):
+        if bounds[b + 1] > bounds[b]:
+            yield b, marks[bounds[b] : bounds[b + 1]].tobytes()
 
-    def cut(batches):
-        for batch in batches:
-            ids, nodes, texts, runs = (batch.column(i) for i in range(4))
-            out = []
-            size = 0
-            for doc, node, text, own in zip(ids.to_pylist(), nodes.to_pylist(), texts.to_pylist(), runs, strict=True):
-                raw = text.encode()
-                if np.uint64(xxhash.xxh64_intdigest(raw, 42)).view(np.int64) != node:
-                    continue
-                pairs = np.unique(own.values.flatten()[0].to_numpy().astype(np.int64) * 256 + own.values.flatten()[1].to_numpy())
-                for start, count in zip((pairs >> 8).tolist(), (pairs & 255).tolist(), strict=True):
-                    body = raw[start : start + count + length - 1]
-                    out.append((doc, node, start, count, hashlib.blake2b(body, digest_size=12).digest(), body))
-                    size += len(body) + 40
-                if size > 8 << 20:
-                    yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), schema, strict=True)], schema=schema)
-                    out, size = [], 0
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), schema, strict=True)], schema=schema)
 
-    return texts.select("doc_id", "node", "text", "runs").mapInArrow(cut, "doc_id long, node long, start long, count int, run binary, body binary")
+_CUT = pa.schema([("bucket", pa.int32()), ("salt", pa.int32()), ("kind", pa.int32()), ("packed", pa.binary()), ("bodies", pa.binary())])
+_CUT_DDL = "bucket int, salt int, kind int, packed binary, bodies binary"
 
 
-def _spans(places: np.ndarray, length: int) -> list[int]:
-    """Bytes covered by windows at sorted places, as a flat list of bounds."""
-    if not len(places):
-        return []
-    cut = np.flatnonzero(np.diff(places) > length)
-    first, last = places[np.concatenate([[0], cut + 1])], places[np.concatenate([cut, [len(places) - 1]])] + length
-    return np.stack([first, last], 1).ravel().tolist()
-
+def _cut_runs(texts: DataFrame, length: int, splits: np.ndarray, flush_bytes: int) -> DataFrame:
+    """Runs cut out of texts (doc_id, node, text, runs), packed by shard (bucket, salt): kind 0.
 
-def _settle(distinct: DataFrame, length: int, gram: int, salted_at: int, partitions: int) -> DataFrame:
-    """(run, owner, spans): bytes of a run that its owner (least document) loses to smaller documents."""
-    keyed = staged(_keys(distinct, length, gram), "keyed")
-    hot = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") > salted_at)
-    dealt = keyed.join(hot, "key", "left").withColumn("salt", F.when(F.col("_n").isNotNull(), F.pmod(F.xxhash64("run"), F.ceil(F.col("_n") / salted_at))).otherwise(F.lit(-1)).cast("long"))
-    dealt = dealt.select("key", "salt", "run", "owner", "body").repartition(partitions, "key", "salt").sortWithinPartitions("key", "salt")
-    schema = pa.schema([("run", pa.binary()), ("owner", pa.int64()), ("spans", pa.list_(pa.int32())), ("window", pa.binary()), ("place", pa.int32())])
-    ddl = "run binary, owner long, spans array<int>, window binary, place int"
+    Equal runs of one flush are sent once, with their least document; the others are
+    known to lose the whole run: kind 1, packed marks by bucket of the node.
+    """
+    buckets = len(splits)
 
-    def shard(batches):
-        held: list[tuple] = []
-        size = 0
+    def cut(batches):
+        part = TaskContext.get().partitionId()
+        runs, bodies, size, flushes = [], [], 0, 0
 
         def flush():
-            bodies = [x[4] for x in held]
-            counts = np.array([len(b) - length + 1 for b in bodies])
-            owners = np.array([x[3] for x in held], np.int64)
-            salted = np.array([x[1] >= 0 for x in held])
-            run, place, least, _ = least_owners(bodies, counts, owners, length)
-            lost = least < owners[run]
-            out = []
-            bounds = np.searchsorted(run, np.arange(len(held) + 1))
+            x = np.concatenate([r[0] for r in runs])
+            bucket = np.concatenate([r[1] for r in runs])
+            docs = x["doc"].tolist()
+            best: dict[bytes, int] = {}
+            for i, body in enumerate(bodies):
+                j = best.get(body)
+                if j is None or docs[i] < docs[j]:
+                    best[body] = i
+            keep = x["doc"] == x["doc"][np.fromiter((best[b] for b in bodies), np.int64, len(bodies))]
+            rows = []
+            lost = x[~keep]
+            if len(lost):
+                marks = np.empty(len(lost), _MARK)
+                marks["doc"], marks["node"], marks["first"] = lost["doc"], lost["node"], lost["start"]
+                marks["last"] = lost["start"] + lost["count"] + (length - 1)
+                rows += [(b, 0, 1, packed, None) for b, packed in _marks_by_bucket(marks, buckets)]
+            own = np.flatnonzero(keep)
+            own = own[np.argsort(bucket[own], kind="stable")]
+            bounds = np.searchsorted(bucket[own], np.arange(buckets + 1))
+            turn = part * 7 + flushes
+            for b in range(buckets):
+                mine = own[bounds[b] : bounds[b + 1]]
+                if len(mine):
+                    rows.append((b, turn % int(splits[b]), 0, x[mine].tobytes(), b"".join([bodies[i] for i in mine.tolist()])))
+            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), _CUT, strict=True)], schema=_CUT)
+
+        for batch in batches:
+            ids, nodes, texts, found = (batch.column(i) for i in range(4))
+            for doc, node, text, own in zip(ids.to_pylist(), nodes.to_pylist(), texts, found, strict=True):
+                raw = text.as_py().encode()
+                place, key = (c.to_numpy() for c in own.values.flatten())
+                place, one = np.unique(place, return_index=True)
+                key = key[one]
+                x = np.empty(len(place), _RUN)
+                x["doc"], x["node"], x["start"], x["count"], x["hash"] = doc, node, place >> 8, place & 255, key & 0xFFFFFFFF
+                runs.append((x, key >> 32))
+                bodies += [raw[a >> 8 : (a >> 8) + (a & 255) + length - 1] for a in place.tolist()]
+                size += int((place & 255).sum()) + (length + 60) * len(place)
+                if size >= flush_bytes:
+                    yield flush()
+                    runs, bodies, size, flushes = [], [], 0, flushes + 1
+        if runs:
+            yield flush()
+
+    return texts.select("doc_id", "node", "text", "runs").mapInArrow(tidied(cut), _CUT_DDL)
+
+
+_SETTLED = pa.schema([("bucket", pa.int32()), ("marks", pa.binary()), ("window", pa.binary()), ("doc", pa.int64()), ("node", pa.int64()), ("start", pa.int64())])
+_SETTLED_DDL = "bucket int, marks binary, window binary, doc long, node long, start long"
+
+
+def _shards(cut: DataFrame, length: int, splits: np.ndarray, partitions: int) -> DataFrame:
+    """Settles each shard: packed marks by bucket of the node, and windows of split shards that go on."""
+    buckets = len(splits)
+
+    def one(x: np.ndarray, raw: bytes, split: bool):
+        size = x["count"].astype(np.int64) + (length - 1)
+        at = np.concatenate([[0], np.cumsum(size)])
+        number: dict[bytes, int] = {}
+        body = np.fromiter((number.setdefault(raw[a:b], len(number)) for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)), np.int64, len(x))
+        distinct = list(number)
+        owner = np.full(len(distinct), np.iinfo(np.int64).max)
+        np.minimum.at(owner, body, x["doc"])
+        key = np.empty(len(distinct), np.uint32)
+        key[body] = x["hash"]
+        _, which, times = np.unique(key, return_inverse=True, return_counts=True)
+        several = np.flatnonzero(times[which] > 1)  # a key with one run holds no other equal window
+        spans: dict[int, list[int]] = {}
+        lost_at: dict[int, np.ndarray] = {}
+        if len(several):
+            counts = np.array([len(distinct[i]) - length + 1 for i in several.tolist()])
+            run, place, least, _ = least_owners([distinct[i] for i in several.tolist()], counts, owner[several], length)
+            lost = np.flatnonzero(least < owner[several][run])
+            bounds = np.searchsorted(run[lost], np.arange(len(several) + 1))
             for i in np.unique(run[lost]).tolist():
-                own = slice(bounds[i], bounds[i + 1])
-                out.append((held[i][2], held[i][3], _spans(place[own][lost[own]], length), None, None))
-            # of a key dealt over shards: the windows of each group's least owner go on
-            for w in np.flatnonzero(salted[run] & ~lost).tolist():
-                i, p = int(run[w]), int(place[w])
-                out.append((held[i][2], held[i][3], None, bodies[i][p : p + length], p))
-            held.clear()
-            if out:
-                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), schema, strict=True)], schema=schema)
+                places = place[lost[bounds[i] : bounds[i + 1]]]
+                spans[int(several[i])] = _spans(places, length)
+                lost_at[int(several[i])] = places
+        whole = x["doc"] > owner[body]
+        marks = np.empty(int(whole.sum()), _MARK)
+        marks["doc"], marks["node"], marks["first"] = x["doc"][whole], x["node"][whole], x["start"][whole]
+        marks["last"] = x["start"][whole] + size[whole]
+        partly = np.flatnonzero(~whole & np.isin(body, np.fromiter(spans, np.int64, len(spans))))
+        more = [(x["doc"][i], x["node"][i], int(x["start"][i]) + a, int(x["start"][i]) + b) for i in partly.tolist() for a, b in zip(spans[int(body[i])][::2], spans[int(body[i])][1::2], strict=True)]
+        marks = np.concatenate([marks, np.array(more, _MARK)]) if more else marks
+        rows = [(b, packed, None, None, None, None) for b, packed in _marks_by_bucket(marks, buckets)] if len(marks) else []
+        if split:
+            for i in np.flatnonzero(~whole).tolist():
+                gone = set(lost_at.get(int(body[i]), np.zeros(0, np.int64)).tolist())
+                rows += [(None, None, raw[at[i] + p : at[i] + p + length], int(x["doc"][i]), int(x["node"][i]), int(x["start"][i]) + p) for p in range(int(x["count"][i])) if p not in gone]
+        return rows
+
+    def settle(batches):
+        held, at = [], None
+
+        def flush():
+            x = np.concatenate([np.frombuffer(p, _RUN) for p, _ in held])
+            return one(x, b"".join(b for _, b in held), splits[at[0]] > 1)
+
+        def pack(rows):
+            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), _SETTLED, strict=True)], schema=_SETTLED)
 
         for batch in batches:
-            for row in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
-                if size > 4 << 20 and (row[0], row[1]) != held[-1][:2]:
-                    yield from flush()
-                    size = 0
-                held.append(row)
-                size += len(row[4])
-        if held:
-            yield from flush()
+            for bucket, salt, kind, packed, bodies in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if kind == 1:
+                    yield pack([(bucket, packed, None, None, None, None)])
+                    continue
+                if (bucket, salt) != at:
+                    if held and (rows := flush()):
+                        yield pack(rows)
+                    held, at = [], (bucket, salt)
+                held.append((packed, bodies))
+        if held and (rows := flush()):
+            yield pack(rows)
 
-    settled = staged(dealt.mapInArrow(shard, ddl), "settled")
-    schema_2 = pa.schema([("run", pa.binary()), ("owner", pa.int64()), ("spans", pa.list_(pa.int32()))])
+    return cut.repartition(partitions, "bucket", "salt").sortWithinPartitions("bucket", "salt").mapInArrow(tidied(settle), _SETTLED_DDL)
+
+
+def _merge(settled: DataFrame, length: int, buckets: int, partitions: int) -> DataFrame:
+    """Windows of split shards against each other: packed marks of those that a smaller document holds."""
+    schema = pa.schema([("bucket", pa.int32()), ("marks", pa.binary())])
 
     def merge(batches):
         rows = [b for b in batches if b.num_rows]
         if not rows:
             return
         whole = pa.Table.from_batches(rows).combine_chunks()
-        owners = whole.column(1).to_numpy()
-        windows = np.frombuffer(b"".join(whole.column(2).to_pylist()), np.uint8).reshape(len(owners), length)
-        lost = np.flatnonzero(merge_windows(windows, owners) < owners)
-        if len(lost):
-            run = whole.column(0).take(pa.array(lost)).combine_chunks()
-            place = whole.column(3).to_numpy()[lost]
-            spans = [[int(p), int(p) + length] for p in place]
-            yield pa.RecordBatch.from_arrays([run, pa.array(owners[lost]), pa.array(spans, pa.list_(pa.int32()))], schema=schema_2)
-
-    asked = settled.where(F.col("window").isNotNull()).select("run", "owner", "window", "place").repartition(partitions, F.xxhash64("window"))
-    merged = asked.mapInArrow(merge, "run binary, owner long, spans array<int>")
-    own = settled.where(F.col("spans").isNotNull()).select("run", "owner", "spans")
-    return own.unionByName(merged)
-
-
-def _keys(distinct: DataFrame, length: int, gram: int) -> DataFrame:
-    """The key of each run's windows, from its body."""
-    schema = pa.schema([("key", pa.int64()), ("run", pa.binary()), ("owner", pa.int64()), ("body", pa.binary())])
-
-    def keyed(batches):
+        docs, nodes, starts = (whole.column(i).to_numpy() for i in (1, 2, 3))
+        windows = np.frombuffer(b"".join(whole.column(0).to_pylist()), np.uint8).reshape(len(docs), length)
+        lost = merge_windows(windows, docs) < docs
+        if lost.any():
+            marks = np.empty(int(lost.sum()), _MARK)
+            marks["doc"], marks["node"], marks["first"], marks["last"] = docs[lost], nodes[lost], starts[lost], starts[lost] + length
+            packed = list(_marks_by_bucket(marks, buckets))
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*packed, strict=True), schema, strict=True)], schema=schema)
+
+    asked = settled.where(F.col("window").isNotNull()).select("window", "doc", "node", "start").repartition(partitions, F.xxhash64("window"))
+    return asked.mapInArrow(tidied(merge), "bucket int, marks binary")
+
+
+def _united(marks: DataFrame, partitions: int) -> DataFrame:
+    """(doc_id, node, marks): removed byte ranges of each text, sorted and merged."""
+    schema = pa.schema([("doc_id", pa.int64()), ("node", pa.int64()), ("marks", pa.list_(pa.int64()))])
+
+    def unite(batches):
+        held: list[bytes] = []
+        at = None
+
+        def flush():
+            x = np.frombuffer(b"".join(held), _MARK)
+            x = x[np.lexsort((x["first"], x["node"], x["doc"]))]
+            new = np.concatenate([[True], (x["doc"][1:] != x["doc"][:-1]) | (x["node"][1:] != x["node"][:-1])])
+            text = np.cumsum(new) - 1
+            first, last = x["first"].astype(np.int64), x["last"].astype(np.int64)
+            shift = text.astype(np.int64) << 33  # texts apart, so that one running maximum serves all
+            reach = np.maximum.accumulate(last + shift)
+            begin = np.concatenate([[True], first[1:] + shift[1:] > reach[:-1]])
+            starts = np.flatnonzero(begin)
+            ends = np.concatenate([starts[1:] - 1, [len(x) - 1]])
+            flat = np.stack([first[starts], reach[ends] - shift[ends]], 1).ravel()
+            head = np.flatnonzero(new)
+            bounds = 2 * np.searchsorted(starts, np.concatenate([head, [len(x)]]))
+            return pa.RecordBatch.from_arrays([pa.array(x["doc"][head]), pa.array(x["node"][head]), pa.ListArray.from_arrays(pa.array(bounds.astype(np.int32)), pa.array(flat))], schema=schema)
+
         for batch in batches:
-            bodies = batch.column(2)
-            raw = bodies.to_pylist()
-            offsets = np.concatenate([[0], np.cumsum([len(x) for x in raw])]).astype(np.int64)
-            text, first, _, key = window_runs(np.frombuffer(b"".join(raw), np.uint8), offsets, length, gram)
-            at = np.searchsorted(text, np.arange(len(raw)))
-            yield pa.RecordBatch.from_arrays([pa.array(key[at].view(np.int64)), batch.column(0), batch.column(1), bodies], schema=schema)
+            for bucket, packed in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if bucket != at:
+                    if held:
+                        yield flush()
+                    held, at = [], bucket
+                held.append(packed)
+        if held:
+            yield flush()
+
+    return marks.repartition(partitions, "bucket").sortWithinPartitions("bucket").mapInArrow(tidied(unite), "doc_id long, node long, marks array<long>")
 
-    return distinct.select("run", "owner", "body").mapInArrow(keyed, "key long, run binary, owner long, body binary")
+
+def _spans(places: np.ndarray, length: int) -> list[int]:
+    """Bytes covered by windows at sorted places, as a flat list of bounds."""
+    cut = np.flatnonzero(np.diff(places) > length)
+    first, last = places[np.concatenate([[0], cut + 1])], places[np.concatenate([cut, [len(places) - 1]])] + length
+    return np.stack([first, last], 1).ravel().tolist()
 
 
-def removed_bytes(docs: DataFrame, length: int = 50, gram: int = 16, salted_at: int = 4096, flush_bytes: int = 48 << 20) -> DataFrame:
+def removed_bytes(docs: DataFrame, length: int = 50, gram: int = 16, crowded: float = 3.0, flush_bytes: int = 16 << 20) -> DataFrame:
     """Bytes of each document (doc_id, text) covered by a ``length``-byte string that starts in a smaller document.
 
     Returns doc_id, n_bytes, n_removed, n_spans, kept_sha256, spans (removed byte ranges): one row for
     each input row. A null text is empty; a null doc_id is smaller than all others; rows
     with one doc_id do not count as smaller than each other; texts under ``length`` bytes
-    keep everything; an empty table gives no rows.
+    keep everything; an empty table gives no rows. A bucket of keys with over ``crowded``
+    times the mean number of shared runs is split over several shards.
     """
     spark = docs.sparkSession
     partitions = shuffle_partitions(spark)
-    base = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NO_ID)).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    index = staged(base.select("doc_id", F.xxhash64("text").alias("node"), F.unhex(F.sha2("text", 256)).alias("digest")), "index")
+    buckets = 16 * partitions
+    base = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NO_ID)).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("node", F.xxhash64("text"))
+    index = staged(base.select("doc_id", "node", F.unhex(F.sha2("text", 256)).alias("digest")), "index")
     nodes = staged(index.groupBy("node", "digest").agg(F.min("doc_id").alias("first")), "nodes")
-    shared = _shared_runs(_entries(base.select("text"), length, gram, 4 * partitions, flush_bytes), partitions)
-    packed = shared.groupBy("node").agg(F.collect_list(F.struct("start", "count")).alias("runs"))
+    shared = staged(_shared_runs(_entries(base.select("text"), length, gram, buckets, flush_bytes), partitions), "shared")
+    totals = np.zeros(buckets, np.int64)  # one number for each bucket: bounded by the number of partitions
+    for r in shared.where(F.col("node").isNull()).select("key", "place").collect():
+        totals[r["key"]] += r["place"]
+    splits = np.maximum(1, np.ceil(totals / max(1.0, crowded * totals.mean()))).astype(np.int64)
+    packed = shared.where(F.col("node").isNotNull()).groupBy("node").agg(F.collect_list(F.struct("place", "key")).alias("runs"))
     wanted = staged(packed.join(nodes.select("node", F.col("first").alias("doc_id")), "node"), "wanted")
-    runs = staged(_cut_runs(base.join(wanted, "doc_id").select("doc_id", "node", "text", "runs"), length), "runs")
-    distinct = staged(runs.groupBy("run").agg(F.min("doc_id").alias("owner"), F.max("doc_id").alias("last"), F.first("body").alias("body")), "distinct")
-    # documents after a run's owner lose the whole run, the owner what smaller documents hold
-    settled = _settle(distinct.select("run", "owner", "body"), length, gram, salted_at, partitions)
-    found = settled.unionByName(distinct.where("owner < last").select("run", "owner", F.lit(None).cast("array<int>").alias("spans")))
-    hits = runs.select("doc_id", "node", "start", "count", "run").join(staged(found, "found"), "run")
-    hits = hits.where(((F.col("doc_id") == F.col("owner")) & F.col("spans").isNotNull()) | ((F.col("doc_id") > F.col("owner")) & F.col("spans").isNull()))
-    whole = F.array(F.lit(0), F.col("count") + length - 1)
-    marks = hits.select("doc_id", "node", F.transform(F.coalesce("spans", whole), lambda x: x.cast("long") + F.col("start")).alias("marks"))
-    marks = marks.groupBy("doc_id", "node").agg(F.flatten(F.collect_list("marks")).alias("marks"))
+    cut = _cut_runs(base.join(wanted, ["doc_id", "node"]).select("doc_id", "node", "text", "runs"), length, splits, flush_bytes)
+    settled = staged(_shards(cut, length, splits, partitions), "settled")
+    marks = settled.where(F.col("marks").isNotNull()).select("bucket", "marks").unionByName(_merge(settled, length, buckets, partitions))
+    marks = staged(_united(marks, partitions), "marks")
     copies = index.join(nodes, ["node", "digest"]).where("doc_id > first").select("doc_id", "node").distinct().withColumn("copy", F.lit(True))
     lost = marks.join(copies, ["doc_id", "node"], "full")
-    joined = base.withColumn("node", F.xxhash64("text")).join(lost, ["doc_id", "node"], "left")
-    return _finish(joined, length)
+    return _finish(base.join(lost, ["doc_id", "node"], "left"), length)
 
 
 def _finish(joined: DataFrame, length: int) -> DataFrame:
@@ -463,14 +563,8 @@ def _finish(joined: DataFrame, length: int) -> DataFrame:
                 raw = text.encode()
                 if copy and len(raw) >= length:
                     spans = [0, len(raw)]
-                elif marks:
-                    pairs = np.array(marks, np.int64).reshape(-1, 2)
-                    pairs = pairs[np.argsort(pairs[:, 0], kind="stable")]
-                    reach = np.maximum.accumulate(pairs[:, 1])
-                    cut = np.flatnonzero(pairs[1:, 0] > reach[:-1])
-                    spans = np.stack([pairs[np.concatenate([[0], cut + 1]), 0], reach[np.concatenate([cut, [len(pairs) - 1]])]], 1).ravel().tolist()
                 else:
-                    spans = []
+                    spans = marks or []
                 kept, at = hashlib.sha256(), 0
                 for a, b in zip(spans[::2], spans[1::2], strict=True):
                     kept.update(raw[at:a])
@@ -480,4 +574,4 @@ def _finish(joined: DataFrame, length: int) -> DataFrame:
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), schema, strict=True)], schema=schema)
 
-    return joined.select("doc_id", "text", "marks", "copy").mapInArrow(finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<long>")
+    return joined.select("doc_id", "text", "marks", "copy").mapInArrow(tidied(finish), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, spans array<long>")
