@@ -39,6 +39,8 @@ _SHARED = np.dtype([("node", "<i8"), ("start", "<u4"), ("count", "u1"), ("bucket
 _RUN = np.dtype([("doc", "<i8"), ("node", "<i8"), ("start", "<u4"), ("count", "u1"), ("hash", "<u4")])
 _MARK = np.dtype([("doc", "<i8"), ("node", "<i8"), ("first", "<u4"), ("last", "<u4")])
 _MAX_RUN = 200
+#: Parts of a bucket that are settled one after the other (by the low bits of the key), so that a suffix array stays small.
+_FINE = 8
 
 
 def _grams(data: np.ndarray) -> np.ndarray:
@@ -385,12 +387,29 @@ def _cut_runs(texts: DataFrame, length: int, splits: np.ndarray, flush_bytes: in
     return texts.select("doc_id", "node", "text", "runs").mapInArrow(tidied(cut), _CUT_DDL)
 
 
-_SETTLED = pa.schema([("bucket", pa.int32()), ("marks", pa.binary()), ("window", pa.binary()), ("doc", pa.int64()), ("node", pa.int64()), ("start", pa.int64())])
-_SETTLED_DDL = "bucket int, marks binary, window binary, doc long, node long, start long"
+_SETTLED = pa.schema([("bucket", pa.int32()), ("marks", pa.binary()), ("windows", pa.binary())])
+_SETTLED_DDL = "bucket int, marks binary, windows binary"
+
+
+def _window(length: int) -> np.dtype:
+    return np.dtype([("bytes", "u1", (length,)), ("doc", "<i8"), ("node", "<i8"), ("start", "<u4")])
+
+
+def _windows_by_bucket(windows: np.ndarray, buckets: int):
+    """(bucket of the window's bytes, packed windows)."""
+    total = np.zeros(len(windows), np.uint64)
+    for c in _columns(windows["bytes"]):
+        total = mix64(total ^ c)
+    bucket = (total % np.uint64(buckets)).astype(np.int64)
+    order = np.argsort(bucket)
+    windows, bounds = windows[order], np.searchsorted(bucket[order], np.arange(buckets + 1))
+    for b in range(buckets):
+        if bounds[b + 1] > bounds[b]:
+            yield b, windows[bounds[b] : bounds[b + 1]].tobytes()
 
 
 def _shards(cut: DataFrame, length: int, splits: np.ndarray, partitions: int) -> DataFrame:
-    """Settles each shard: packed marks by bucket of the node, and windows of split shards that go on."""
+    """Settles each shard: packed marks by bucket of the node, and packed windows of split shards that go on."""
     buckets = len(splits)
 
     def one(x: np.ndarray, raw: bytes, split: bool):
@@ -423,35 +442,60 @@ def _shards(cut: DataFrame, length: int, splits: np.ndarray, partitions: int) ->
         partly = np.flatnonzero(~whole & np.isin(body, np.fromiter(spans, np.int64, len(spans))))
         more = [(x["doc"][i], x["node"][i], int(x["start"][i]) + a, int(x["start"][i]) + b) for i in partly.tolist() for a, b in zip(spans[int(body[i])][::2], spans[int(body[i])][1::2], strict=True)]
         marks = np.concatenate([marks, np.array(more, _MARK)]) if more else marks
-        rows = [(b, packed, None, None, None, None) for b, packed in _marks_by_bucket(marks, buckets)] if len(marks) else []
+        parts = []
         if split:
+            data = np.frombuffer(raw, np.uint8)
             for i in np.flatnonzero(~whole).tolist():
-                gone = set(lost_at.get(int(body[i]), np.zeros(0, np.int64)).tolist())
-                rows += [(None, None, raw[at[i] + p : at[i] + p + length], int(x["doc"][i]), int(x["node"][i]), int(x["start"][i]) + p) for p in range(int(x["count"][i])) if p not in gone]
-        return rows
+                places = np.setdiff1d(np.arange(int(x["count"][i])), lost_at.get(int(body[i]), np.zeros(0, np.int64)), assume_unique=True)
+                own = np.empty(len(places), _window(length))
+                own["bytes"] = np.lib.stride_tricks.sliding_window_view(data[at[i] : at[i + 1]], length)[places]
+                own["doc"], own["node"], own["start"] = x["doc"][i], x["node"][i], int(x["start"][i]) + places
+                parts.append(own)
+        return marks, parts
 
     def settle(batches):
-        held, at = [], None
+        held, at, marks, windows, size = [], None, [], [], 0
 
         def flush():
             x = np.concatenate([np.frombuffer(p, _RUN) for p, _ in held])
-            return one(x, b"".join(b for _, b in held), splits[at[0]] > 1)
+            raw = b"".join(b for _, b in held)
+            ends = np.cumsum(x["count"].astype(np.int64) + (length - 1))
+            begins = ends - (x["count"].astype(np.int64) + (length - 1))
+            total = 0
+            for part in range(_FINE):
+                mine = np.flatnonzero(x["hash"] % _FINE == part)
+                if len(mine):
+                    own, more = one(x[mine], b"".join([raw[a:b] for a, b in zip(begins[mine].tolist(), ends[mine].tolist(), strict=True)]), splits[at[0]] > 1)
+                    marks.append(own)
+                    windows.extend(more)
+                    total += own.nbytes + sum(w.nbytes for w in more)
+            held.clear()
+            return total
 
-        def pack(rows):
-            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), _SETTLED, strict=True)], schema=_SETTLED)
+        def pack():
+            rows = [(b, packed, None) for b, packed in _marks_by_bucket(np.concatenate(marks), buckets)] if marks else []
+            rows += [(b, None, packed) for b, packed in _windows_by_bucket(np.concatenate(windows), buckets)] if windows else []
+            marks.clear()
+            windows.clear()
+            if rows:
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), _SETTLED, strict=True)], schema=_SETTLED)
 
         for batch in batches:
             for bucket, salt, kind, packed, bodies in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 if kind == 1:
-                    yield pack([(bucket, packed, None, None, None, None)])
+                    marks.append(np.frombuffer(packed, _MARK))
+                    size += len(packed)
                     continue
                 if (bucket, salt) != at:
-                    if held and (rows := flush()):
-                        yield pack(rows)
-                    held, at = [], (bucket, salt)
+                    size += flush() if held else 0
+                    at = (bucket, salt)
                 held.append((packed, bodies))
-        if held and (rows := flush()):
-            yield pack(rows)
+            if size > 32 << 20:
+                yield from pack()
+                size = 0
+        if held:
+            flush()
+        yield from pack()
 
     return cut.repartition(partitions, "bucket", "salt").sortWithinPartitions("bucket", "salt").mapInArrow(tidied(settle), _SETTLED_DDL)
 
@@ -461,20 +505,29 @@ def _merge(settled: DataFrame, length: int, buckets: int, partitions: int) -> Da
     schema = pa.schema([("bucket", pa.int32()), ("marks", pa.binary())])
 
     def merge(batches):
-        rows = [b for b in batches if b.num_rows]
-        if not rows:
-            return
-        whole = pa.Table.from_batches(rows).combine_chunks()
-        docs, nodes, starts = (whole.column(i).to_numpy() for i in (1, 2, 3))
-        windows = np.frombuffer(b"".join(whole.column(0).to_pylist()), np.uint8).reshape(len(docs), length)
-        lost = merge_windows(windows, docs) < docs
-        if lost.any():
-            marks = np.empty(int(lost.sum()), _MARK)
-            marks["doc"], marks["node"], marks["first"], marks["last"] = docs[lost], nodes[lost], starts[lost], starts[lost] + length
-            packed = list(_marks_by_bucket(marks, buckets))
-            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*packed, strict=True), schema, strict=True)], schema=schema)
-
-    asked = settled.where(F.col("window").isNotNull()).select("window", "doc", "node", "start").repartition(partitions, F.xxhash64("window"))
+        held, at = [], None
+
+        def flush():
+            x = np.frombuffer(b"".join(held), _window(length))
+            lost = x[merge_windows(np.ascontiguousarray(x["bytes"]), x["doc"]) < x["doc"]]
+            marks = np.empty(len(lost), _MARK)
+            marks["doc"], marks["node"], marks["first"], marks["last"] = lost["doc"], lost["node"], lost["start"], lost["start"] + length
+            return list(_marks_by_bucket(marks, buckets))
+
+        def pack(rows):
+            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
+
+        for batch in batches:
+            for bucket, packed in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if bucket != at:
+                    if held and (rows := flush()):
+                        yield pack(rows)
+                    held, at = [], bucket
+                held.append(packed)
+        if held and (rows := flush()):
+            yield pack(rows)
+
+    asked = settled.where(F.col("windows").isNotNull()).select("bucket", "windows").repartition(partitions, "bucket").sortWithinPartitions("bucket")
     return asked.mapInArrow(tidied(merge), "bucket int, marks binary")
 
 
@@ -533,7 +586,7 @@ def removed_bytes(docs: DataFrame, length: int = 50, gram: int = 16, crowded: fl
     """
     spark = docs.sparkSession
     partitions = shuffle_partitions(spark)
-    buckets = 16 * partitions
+    buckets = 2 * partitions
     base = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NO_ID)).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("node", F.xxhash64("text"))
     index = staged(base.select("doc_id", "node", F.unhex(F.sha2("text", 256)).alias("digest")), "index")
     nodes = staged(index.groupBy("node", "digest").agg(F.min("doc_id").alias("first")), "nodes")
