@@ -34,9 +34,9 @@ class _Numbers(dict):
 
 
 class WordIds:
-    """Encoder with a bounded cache of words (``cache_words``; it starts anew when full)."""
+    """Encoder with a bounded cache of words: when over ``cache_words``, the half that was used most stays."""
 
-    def __init__(self, path: str, cache_words: int = 600_000):
+    def __init__(self, path: str, cache_words: int = 300_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -49,12 +49,36 @@ class WordIds:
         self.starts = np.zeros(0, np.int64)
         self.lengths = np.zeros(0, np.int64)
         self.flat = np.zeros(0, np.uint32)
-
-    def _learn(self) -> None:
-        found = self.tokenizer.encode_batch_fast(self.numbers.fresh, add_special_tokens=False)
-        ids = [x.ids for x in found]
-        lengths = np.fromiter(map(len, ids), np.int64, len(ids))
-        flat = np.fromiter((i for x in ids for i in x), np.uint32, int(lengths.sum()))
+        self.used = np.zeros(0, np.int64)
+
+    def _trim(self) -> None:
+        """Keeps the words used most, and only those used more than once."""
+        count = min(self.cache_words // 2, int((self.used > 1).sum()))
+        kept = np.sort(np.argsort(-self.used, kind="stable")[:count])
+        words = list(self.numbers)
+        numbers = _Numbers()
+        for i, k in enumerate(kept.tolist()):
+            numbers[words[k]] = i
+        lengths = self.lengths[kept]
+        total = np.cumsum(lengths) - lengths
+        self.flat = self.flat[np.repeat(self.starts[kept] - total, lengths) + np.arange(lengths.sum())]
+        self.numbers, self.starts, self.lengths, self.used = numbers, total, lengths, self.used[kept] // 2
+
+    def _learn(self, at_once: int = 4096) -> None:
+        """Encodes new words, many in one text: each is one pre-token, so the library tells their ids apart."""
+        all_ids, all_lengths = [], []
+        for i in range(0, len(self.numbers.fresh), at_once):
+            words = self.numbers.fresh[i : i + at_once]
+            found = self.tokenizer.encode(" ".join(words), add_special_tokens=False)
+            lengths = np.bincount(np.array(found.word_ids, np.int64), minlength=len(words))
+            ids = found.ids
+            if len(lengths) != len(words):  # the library splits one of them otherwise: one by one
+                single = [x.ids for x in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+                lengths = np.fromiter(map(len, single), np.int64, len(single))
+                ids = [k for x in single for k in x]
+            all_ids.append(np.array(ids, np.uint32))
+            all_lengths.append(lengths)
+        lengths, flat = np.concatenate(all_lengths), np.concatenate(all_ids)
         self.starts = np.concatenate([self.starts, len(self.flat) + np.cumsum(lengths) - lengths])
         self.lengths = np.concatenate([self.lengths, lengths])
         self.flat = np.concatenate([self.flat, flat])
@@ -63,7 +87,7 @@ class WordIds:
     def encode(self, texts: list[str], end_id: int | None) -> tuple[np.ndarray, np.ndarray]:
         """Returns all ids as uint32 and the bounds by text (length texts + 1)."""
         if len(self.numbers) > self.cache_words:
-            self._reset()
+            self._trim()
         counts, words, odd = np.zeros(len(texts), np.int64), [], []
         for i, text in enumerate(texts):
             try:
@@ -79,6 +103,8 @@ class WordIds:
         numbers = np.fromiter(map(self.numbers.__getitem__, words), np.int64, len(words))
         if self.numbers.fresh:
             self._learn()
+        self.used = np.pad(self.used, (0, len(self.numbers) - len(self.used)))
+        self.used += np.bincount(numbers, minlength=len(self.used))
         lengths = self.lengths[numbers]
         total = np.zeros(len(numbers) + 1, np.int64)
         np.cumsum(lengths, out=total[1:])
@@ -116,12 +142,12 @@ def encoder(path: str) -> WordIds:
     return _ENCODERS[path]
 
 
-def text_lists(batch, bytes_at_once: int = 4 << 20):
+def text_lists(batch, bytes_at_once: int = 2 << 20):
     """(first row, texts) in pieces of about ``bytes_at_once``; null texts are empty."""
     column = batch.column(batch.schema.get_field_index("text"))
     first, size, own = 0, 0, []
-    for i, value in enumerate(column.to_pylist()):
-        value = value or ""
+    for i in range(len(column)):
+        value = column[i].as_py() or ""
         own.append(value)
         size += len(value)
         if size >= bytes_at_once:
