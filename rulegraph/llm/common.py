@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import ctypes
 import gc
+import sys
 import tempfile
 import uuid
 
@@ -72,10 +73,20 @@ def tidy() -> None:
         pass
 
 
+def clear_encoders() -> None:
+    """Lets go of tokenizer caches that an earlier task of this worker left, for tasks that need none."""
+    held = sys.modules.get(f"{__package__}.word_ids")
+    if held is not None and held._ENCODERS:
+        held._ENCODERS.clear()
+        tidy()
+
+
 def tidied(f):
-    """An Arrow map function that tidies up at the end of its task."""
+    """An Arrow map function that tidies up at the end of its task, and begins without caches it has no use for."""
 
     def run(batches):
+        if "encoder" not in f.__code__.co_names:
+            clear_encoders()
         try:
             yield from f(batches)
         finally:
@@ -105,7 +116,7 @@ def dealt_rank(df: DataFrame, keys: list[str], order: list[str], name: str, buck
     return joined.select(*df.columns, (F.col("_inside") + F.col("_shift")).cast("long").alias(name))
 
 
-def blocks_of(batch: pa.RecordBatch, column: str = "text", limit: int = 4 << 20):
+def blocks_of(batch: pa.RecordBatch, column: str = "text", limit: int = 1 << 20):
     """Cuts an Arrow batch into pieces of about ``limit`` bytes of text.
 
     Yields (first row, row count, bytes as uint8, offsets as int64 from 0). Null
@@ -145,7 +156,7 @@ _POWER_CACHE: dict[str, np.ndarray] = {}
 
 def _cached_powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     if "up" not in _POWER_CACHE or len(_POWER_CACHE["up"]) < n:
-        if n > 8 << 20:  # one huge text: not kept
+        if n > 2 << 20:  # one huge text: not kept
             return _powers(_MULTIPLIER, n), _powers(_INVERSE, n)
         m = max(n, 1 << 20)
         _POWER_CACHE["up"], _POWER_CACHE["down"] = _powers(_MULTIPLIER, m), _powers(_INVERSE, m)

@@ -16,12 +16,11 @@ import hashlib
 import re
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks_of, words_of
+from .common import blocks_of, tidied, words_of
 
 #: A word after lower-casing A-Z.
 WORD = re.compile("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+")
@@ -218,7 +217,7 @@ def _windows(benchmark: DataFrame, size: int, max_benchmark_mb: int) -> Windows:
     return Windows([(r[0], words(r[1])) for r in rows], size)
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 4 << 20, max_benchmark_mb: int = 64) -> DataFrame:
+def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 1 << 20, max_benchmark_mb: int = 64) -> DataFrame:
     """Words of documents (doc_id, text) inside occurrences of benchmark (item_id, text) windows.
 
     Returns doc_id, n_words, n_hit, n_items, items_sha256, contaminated, items (sorted
@@ -242,29 +241,29 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_b
                 columns = [batch.column(0).slice(first, len(own)), n_words, hit, [len(x) for x in own], [hashlib.sha256(",".join(x).encode()).hexdigest() for x in own], [n > 0 for n in hit], own, spans]
                 yield pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, _OUT, strict=True)], schema=_OUT)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scan, _OUT_DDL)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidied(scan), _OUT_DDL)
 
 
-def cut_passages(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 4 << 20, max_benchmark_mb: int = 64) -> DataFrame:
+def cut_passages(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 1 << 20, max_benchmark_mb: int = 64) -> DataFrame:
     """The same rows and columns with all hit words cut out of the texts (from a span's first word to its last)."""
     windows = _windows(benchmark, size, max_benchmark_mb)
 
-    @F.pandas_udf("string")
-    def cleaned(texts: pd.Series) -> pd.Series:
-        batch = pa.RecordBatch.from_arrays([pa.array(texts, pa.string(), from_pandas=True)], ["text"])
-        out = texts.tolist()
-        for first, _, _, marks in _scan(windows, batch, block_bytes):
-            for d, spans in marks.items():
-                text = out[first + d]
-                place = [m.span() for m in WORD.finditer(text.translate(_LOWER))]
-                pieces, at = [], 0
-                for a, b in spans:
-                    pieces.append(text[at : place[a][0]])
-                    at = place[b - 1][1]
-                out[first + d] = "".join([*pieces, text[at:]])
-        return pd.Series(out, dtype=object)
-
-    return docs.withColumn("text", cleaned(F.col("text")))
+    def clean(batches):
+        for batch in batches:
+            at = batch.schema.get_field_index("text")
+            out = batch.column(at).to_pylist()
+            for first, _, _, marks in _scan(windows, batch, block_bytes):
+                for d, spans in marks.items():
+                    text = out[first + d]
+                    place = [m.span() for m in WORD.finditer(text.translate(_LOWER))]
+                    pieces, end = [], 0
+                    for a, b in spans:
+                        pieces.append(text[end : place[a][0]])
+                        end = place[b - 1][1]
+                    out[first + d] = "".join([*pieces, text[end:]])
+            yield batch.set_column(at, "text", pa.array(out, pa.string()))
+
+    return docs.mapInArrow(tidied(clean), docs.schema)
 
 
 def decontaminate_in_parts(docs: DataFrame, benchmark: DataFrame, parts: int, **options) -> DataFrame:

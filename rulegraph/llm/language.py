@@ -18,8 +18,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import blocks_of, mix64, words_of
+from .common import blocks_of, mix64, tidied, words_of
 
 _AFFIXES = 7
 _OUT = pa.schema([("doc_id", pa.int64()), ("held_out", pa.bool_()), ("lang_pred", pa.string()), ("score", pa.float64())])
@@ -247,7 +248,7 @@ def _has_letters(data: np.ndarray) -> bool:
     return bool((data >= 128).any()) and any(c.isalpha() for c in data.tobytes().decode("utf-8", "ignore"))
 
 
-def predict_batch(model: LanguageModel, batch: pa.RecordBatch, block_bytes: int = 4 << 20):
+def predict_batch(model: LanguageModel, batch: pa.RecordBatch, block_bytes: int = 1 << 20):
     """(first row, labels, scores) for the texts of a batch, block by block."""
     for first, n, data, offsets in blocks_of(batch, limit=block_bytes):
         total, words = model.posteriors(data, offsets)
@@ -275,23 +276,20 @@ def identify(docs: DataFrame, model: LanguageModel) -> DataFrame:
             for first, labels, score in predict_batch(sent.value, batch):
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(labels)), batch.column(2).slice(first, len(labels)), pa.array(labels, pa.string()), pa.array(score)], schema=_OUT)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", held_out().alias("held_out")).mapInArrow(predict, _DDL)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", held_out().alias("held_out")).mapInArrow(tidied(predict), _DDL)
 
 
 def with_language(docs: DataFrame, model: LanguageModel, label: str, score: str) -> DataFrame:
     """All rows and columns of docs with the predicted language and its score as two more columns."""
     sent = docs.sparkSession.sparkContext.broadcast(model)
 
-    @F.pandas_udf("struct<label string, score double>")
-    def judged(texts):
-        import pandas as pd
-
-        batch = pa.RecordBatch.from_arrays([pa.array(texts, pa.string(), from_pandas=True)], ["text"])
-        labels, scores = [], []
-        for _, own, found in predict_batch(sent.value, batch):
-            labels += own
-            scores += found.tolist()
-        return pd.DataFrame({"label": labels, "score": scores})
-
-    found = docs.withColumn(label, judged(F.col("text")))
-    return found.withColumn(score, F.col(label)["score"]).withColumn(label, F.col(label)["label"])
+    def judge(batches):
+        for batch in batches:
+            labels, scores = [], []
+            for _, own, found in predict_batch(sent.value, batch):
+                labels += own
+                scores += found.tolist()
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(labels, pa.string()), pa.array(scores, pa.float64())], [*batch.schema.names, label, score])
+
+    schema = T.StructType([*docs.schema.fields, T.StructField(label, T.StringType()), T.StructField(score, T.DoubleType())])
+    return docs.mapInArrow(tidied(judge), schema)

@@ -145,7 +145,7 @@ def with_nodes(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.substring(F.unhex(F.sha2(text, 256)), 1, 16).alias("node"), text.alias("text"))
 
 
-def signed_nodes(docs: DataFrame, registers: int, bands: int, size: int, block_bytes: int = 2 << 20) -> DataFrame:
+def signed_nodes(docs: DataFrame, registers: int, bands: int, size: int, block_bytes: int = 1 << 20) -> DataFrame:
     """(doc_id, node, bands, sign) of texts (doc_id, node, text): sign is a byte of each register; a text without words has no bands."""
 
     def sign(batches):

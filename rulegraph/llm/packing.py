@@ -18,7 +18,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import staged
+from .common import staged, tidied
 from .word_ids import encoder, text_lists
 
 _PIECES = pa.schema([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("doc_tokens", pa.int64()), ("cls", pa.int32()), ("part", pa.int32()), ("inside", pa.int64())])
@@ -148,7 +148,7 @@ def pieces_of(docs: DataFrame, tokenizer: str, end_id: int = 2, room: int = 4096
                 own = doc_ids.slice(first, len(texts)).take(pa.array(doc))
                 yield pa.RecordBatch.from_arrays([own, pa.array(start), pa.array(length), pa.array(crc), pa.array(sizes[doc]), pa.array(cls.astype(np.int32)), pa.array(np.full(len(doc), part, np.int32)), pa.array(inside)], schema=_PIECES)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(cut, _PIECES_DDL)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidied(cut), _PIECES_DDL)
 
 
 def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, room: int = 4096, grain: int = 16) -> DataFrame:
@@ -178,6 +178,6 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 2, room: int = 4096, gra
                 sequence[at], place[at] = base[k] + step // copies[k], spot[k] + step % copies[k]
             yield pa.RecordBatch.from_arrays([*batch.columns[:5], pa.array(sequence), pa.array(place)], schema=_PLACED)
 
-    placed = ranked.mapInArrow(assign, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, place long")
+    placed = ranked.mapInArrow(tidied(assign), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, place long")
     earlier = Window.partitionBy("sequence_id").orderBy("place").rowsBetween(Window.unboundedPreceding, -1)
     return placed.withColumn("offset", F.coalesce(F.sum("length").over(earlier), F.lit(0)).cast("long")).drop("place")

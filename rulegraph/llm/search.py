@@ -17,6 +17,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import tidied
+
 _OUT = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
 #: Components up to this size give exact sums in float64 for any dimension up to 4096.
 EXACT = 1 << 20
@@ -146,7 +148,7 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
                     count = 0
             yield from flush()
 
-        parts.append(candidates.mapInArrow(scan, "query_id long, vec_id long, score long"))
+        parts.append(candidates.mapInArrow(tidied(scan), "query_id long, vec_id long, score long"))
     found = parts[0]
     for part in parts[1:]:
         found = found.unionByName(part)

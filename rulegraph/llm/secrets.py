@@ -14,11 +14,11 @@ import json
 import re
 import zlib
 
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import tidied
 from .word_ids import text_lists
 
 _OUT = pa.schema([("doc_id", pa.int64()), ("n_assign", pa.int64()), ("n_access", pa.int64()), ("n_hex", pa.int64()), ("base_sha256", pa.string()), ("spans", pa.string())])
@@ -148,14 +148,15 @@ def scan_secrets(docs: DataFrame) -> DataFrame:
                 columns = [pa.array(c, f.type) for c, f in zip(zip(*rows, strict=True), list(_OUT)[1:], strict=True)]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(texts)), *columns], schema=_OUT)
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(scan, "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidied(scan), "doc_id long, n_assign long, n_access long, n_hex long, base_sha256 string, spans string")
 
 
 def redact_column(docs: DataFrame, column: str = "text") -> DataFrame:
     """The same rows and columns with secrets in ``column`` masked by their kind."""
 
-    @F.pandas_udf("string")
-    def masked(texts: pd.Series) -> pd.Series:
-        return texts.map(redact, na_action="ignore")
+    def mask(batches):
+        for batch in batches:
+            at = batch.schema.get_field_index(column)
+            yield batch.set_column(at, column, pa.array([redact(x.as_py()) for x in batch.column(at)], pa.string()))
 
-    return docs.withColumn(column, masked(F.col(column)))
+    return docs.mapInArrow(tidied(mask), docs.schema)

@@ -30,7 +30,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import new_path
+from .common import new_path, tidied
 from .word_ids import encoder, text_lists
 
 #: Fixed values of the seekable layout.
@@ -176,7 +176,7 @@ def write_token_files(docs: DataFrame, out: str, tokenizer: str, end_id: int = 2
         yield pa.RecordBatch.from_arrays([pa.array([x], f.type) for x, f in zip((part, place, n_docs, n_ids), _MANIFEST, strict=True)], schema=_MANIFEST)
 
     ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").repartitionByRange("doc_id", F.xxhash64("text")).sortWithinPartitions("doc_id", F.xxhash64("text"), "text")
-    rows = [r.asDict() for r in ordered.mapInArrow(write, "part int, path string, n_docs long, n_ids long").collect()]
+    rows = [r.asDict() for r in ordered.mapInArrow(tidied(write), "part int, path string, n_docs long, n_ids long").collect()]
     rows.sort(key=lambda r: r["part"])
     start = 0
     for r in rows:
@@ -201,7 +201,7 @@ def read_token_files(spark, out: str, manifest: list[dict]) -> DataFrame:
 
     rows = [(r["path"], r["start"]) for r in manifest if r["n_docs"]]
     files = spark.createDataFrame(rows, "path string, start long").repartition(max(1, len(rows)))
-    return files.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return files.mapInArrow(tidied(read), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def token_files(docs: DataFrame, tokenizer: str, end_id: int = 2, out: str | None = None, frame_ids: int = 1 << 16) -> DataFrame:
