@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import gc
 import tempfile
 import uuid
 
@@ -33,13 +32,10 @@ def new_path(spark: SparkSession, name: str) -> str:
 def staged(df: DataFrame, name: str, partition_by: list[str] | None = None) -> DataFrame:
     """Writes df once to the shared folder and reads it back: lineage ends here.
 
-    Unlike a local checkpoint this survives the loss of executors. Shuffle files of the
-    finished plan are let go, as nothing can need them any more.
+    Unlike a local checkpoint this survives the loss of executors.
     """
     spark = df.sparkSession
     path = new_path(spark, name)
     writer = df.write.option("compression", "zstd")
     (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
-    gc.collect()
-    spark._jvm.System.gc()
     return spark.read.schema(df.schema).parquet(path)
