@@ -94,15 +94,21 @@ class Model:
             half = np.ones((len(s), 1, self.dim), np.float32)
             half[:, :, self.dim // 2 :] = self.sines[t][:, None, self.dim // 2 :]
             ga, gc = ga * half, gc * half
-        np.add.at(self.p["e"], s, rate * (ga - decay * a))
-        np.add.at(self.p["e"], o, rate * (gc - decay * c))
-        np.add.at(self.p["r"], r, rate * gb)
+        self._add("e", s, rate * (ga - decay * a))
+        self._add("e", o, rate * (gc - decay * c))
+        self._add("r", r, rate * gb)
         if self.family.time.startswith("relation"):
             rt, tt = self.p["rt"][r], self.p["t"][t]
-            np.add.at(self.p["rt"], r, rate * gb * tt)
-            np.add.at(self.p["t"], t, 0.1 * rate * gb * rt)
+            self._add("rt", r, rate * gb * tt)
+            self._add("t", t, 0.1 * rate * gb * rt)
         if self.family.time == "tokens":
-            np.add.at(self.p["t"], t, 0.5 * rate * gb)
+            self._add("t", t, 0.5 * rate * gb)
+
+    def _add(self, name, rows, grad, bound=2.0):
+        """Adds gradients by row, damped where many meet in one row, and keeps values within bounds."""
+        count = np.bincount(rows, minlength=len(self.p[name]))[rows]
+        np.add.at(self.p[name], rows, grad / np.sqrt(count)[:, None, None].astype(np.float32))
+        np.clip(self.p[name], -bound, bound, out=self.p[name])
 
 
 def _coded(facts: DataFrame, rows: int, relations: dict, low: int, width: float, buckets: int) -> DataFrame:

@@ -92,7 +92,7 @@ def best_threshold(curve: DataFrame, beta: float = 0.5) -> tuple[float, float]:
     """(score, F) of the step with the largest F-score."""
     b = beta * beta
     f = (1 + b) * F.col("precision") * F.col("recall") / (b * F.col("precision") + F.col("recall"))
-    row = curve.where("tp > 0").select("score", f.alias("f")).orderBy(F.desc("f"), F.desc("score")).first()
+    row = curve.where("tp > 0 and score is not null").select("score", f.alias("f")).orderBy(F.desc("f"), F.desc("score")).first()
     return (float(row["score"]), float(row["f"])) if row else (float("inf"), 0.0)
 
 
