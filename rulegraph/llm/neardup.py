@@ -7,11 +7,16 @@ further point can come before the latest register. Equal registers estimate the
 probability Jaccard similarity; bands of registers propose candidates; a candidate
 counts only after its exact similarity is computed from all shingles of both texts.
 
+Plain Jaccard similarity counts as well, so texts that repeat shingles are signed a second
+time with all weights 1. Both signatures share the bands' keys: for a text that repeats
+nothing they are the same, so either kind of similarity is met by bands of its own.
+
 Skew: texts with equal bytes are one node, however many copies there are. In a bucket
 members are first compared with one leader, the member that shares most buckets with
 others (the middle of a family of near copies). Buckets that still hold more than one
-class are then settled by blocks: signatures alone tell which members have any possible
-partner of another class, and those are compared exactly, inside the task, skipping
+class are then settled by blocks: counts of shingles in cells bound what two members
+can share from above, so they tell which members have any possible partner of another
+class and never lose a pair; those are compared exactly, inside the task, skipping
 pairs of one class. A large bucket is dealt out as pairs of blocks of bounded size, and
 what leaves a task are the links of a spanning forest, never all pairs. Nothing is capped.
 """
@@ -27,8 +32,9 @@ from .common import blocks_of, mix64, shuffle_partitions, staged, tidied, words_
 
 #: Stands for a null doc_id inside joins.
 _NO_ID = -(1 << 63)
-_NODE = pa.schema([("doc_id", pa.int64()), ("node", pa.binary()), ("bands", pa.list_(pa.int64())), ("sign", pa.binary())])
-_SHINGLES = pa.schema([("node", pa.binary()), ("shingles", pa.binary()), ("weights", pa.binary())])
+_NODE = pa.schema([("doc_id", pa.int64()), ("node", pa.binary()), ("bands", pa.list_(pa.int64()))])
+_SHINGLES = pa.schema([("node", pa.binary()), ("shingles", pa.binary()), ("weights", pa.binary()), ("cells", pa.binary())])
+_CELLS = 128
 _ODD = [np.uint64(x | 1) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB)]
 
 
@@ -145,26 +151,54 @@ def with_nodes(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.substring(F.unhex(F.sha2(text, 256)), 1, 16).alias("node"), text.alias("text"))
 
 
+def all_bands(shingles: np.ndarray, weights: np.ndarray, bounds: np.ndarray, registers: int, bands: int) -> list[list[int]]:
+    """Band keys of each text: by weights, then by shingles alone where some shingle repeats; none for a text without words."""
+    own = band_keys(signatures(shingles, weights, bounds, registers), bands).view(np.int64)
+    out = [keys if n else [] for keys, n in zip(own.tolist(), np.diff(bounds).tolist(), strict=True)]
+    owner = np.repeat(np.arange(len(out)), np.diff(bounds))
+    again = np.unique(owner[weights > 1])
+    if len(again):
+        mask = np.isin(owner, again)
+        ends = np.concatenate([[0], np.cumsum(np.diff(bounds)[again])])
+        plain = band_keys(signatures(shingles[mask], np.ones(int(mask.sum()), np.int64), ends, registers), bands).view(np.int64)
+        for i, keys in zip(again.tolist(), plain.tolist(), strict=True):
+            out[i] += keys
+    return out
+
+
 def signed_nodes(docs: DataFrame, registers: int, bands: int, size: int, block_bytes: int = 1 << 20) -> DataFrame:
-    """(doc_id, node, bands, sign) of texts (doc_id, node, text): sign is a byte of each register; a text without words has no bands."""
+    """(doc_id, node, bands) of texts (doc_id, node, text); a text without words has no bands."""
 
     def sign(batches):
         for batch in batches:
             for first, n, data, offsets in blocks_of(batch, limit=block_bytes):
-                shingles, weights, bounds = shingles_of(data, offsets, size)
-                signed = signatures(shingles, weights, bounds, registers)
-                keys = band_keys(signed, bands).view(np.int64)
-                short = signed.astype(np.uint8).tobytes()
-                signs = [short[i : i + registers] for i in range(0, n * registers, registers)]
-                some = np.diff(bounds) > 0
-                ends = np.concatenate([[0], np.cumsum(some * bands)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), batch.column(1).slice(first, n), pa.ListArray.from_arrays(pa.array(ends), pa.array(keys[some].ravel())), pa.array(signs, pa.binary())], schema=_NODE)
+                keys = all_bands(*shingles_of(data, offsets, size), registers, bands)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), batch.column(1).slice(first, n), pa.array(keys, pa.list_(pa.int64()))], schema=_NODE)
+
+    return docs.mapInArrow(tidied(sign), "doc_id long, node binary, bands array<long>")
 
-    return docs.mapInArrow(tidied(sign), "doc_id long, node binary, bands array<long>, sign binary")
+
+def cells_of(shingles: np.ndarray, weights: np.ndarray) -> np.ndarray:
+    """How many shingles, and how much weight, fall in each cell of their hashes."""
+    cell = (shingles >> np.uint64(32)).astype(np.int64) % _CELLS
+    return np.concatenate([np.bincount(cell, minlength=_CELLS), np.bincount(cell, weights, _CELLS).astype(np.int64)]).astype(np.int32)
+
+
+def may_reach(part: np.ndarray, cells: np.ndarray, threshold: float) -> np.ndarray:
+    """Which texts of part and of all may be similar, by cells: false only where both similarities are below the threshold.
+
+    Two texts share no more than the smaller count of each cell, and probability Jaccard is
+    at most the smaller share of weight summed over cells. What is equal but for rounding passes.
+    """
+    a, b = part[:, :_CELLS].astype(np.float32), cells[:, :_CELLS].astype(np.float32)
+    both = np.minimum(a[:, None], b[None]).sum(2, dtype=np.float64)
+    plain = both >= (threshold - 1e-4) * (a.sum(1, dtype=np.float64)[:, None] + b.sum(1, dtype=np.float64)[None] - both)
+    p, q = (x[:, _CELLS:] / np.maximum(x[:, _CELLS:].sum(1, keepdims=True, dtype=np.int64), 1) for x in (part, cells))
+    return plain | (np.minimum(p.astype(np.float32)[:, None], q.astype(np.float32)[None]).sum(2) >= threshold - 1e-4)
 
 
 def shingle_table(texts: DataFrame, size: int) -> DataFrame:
-    """(node, shingles, weights) as packed arrays of texts (node, text)."""
+    """(node, shingles, weights, cells) as packed arrays of texts (node, text)."""
 
     def cut(batches):
         for batch in batches:
@@ -172,10 +206,11 @@ def shingle_table(texts: DataFrame, size: int) -> DataFrame:
                 shingles, weights, bounds = shingles_of(data, offsets, size)
                 weights = weights.astype(np.int32)
                 cuts = list(zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True))
+                cells = [cells_of(shingles[a:b], weights[a:b]).tobytes() for a, b in cuts]
                 # weights that are all 1 are not written
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), pa.array([shingles[a:b].tobytes() for a, b in cuts], pa.binary()), pa.array([b"" if (weights[a:b] == 1).all() else weights[a:b].tobytes() for a, b in cuts], pa.binary())], schema=_SHINGLES)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, n), pa.array([shingles[a:b].tobytes() for a, b in cuts], pa.binary()), pa.array([b"" if (weights[a:b] == 1).all() else weights[a:b].tobytes() for a, b in cuts], pa.binary()), pa.array(cells, pa.binary())], schema=_SHINGLES)
 
-    return texts.select("node", "text").mapInArrow(tidied(cut), "node binary, shingles binary, weights binary")
+    return texts.select("node", "text").mapInArrow(tidied(cut), "node binary, shingles binary, weights binary, cells binary")
 
 
 def verified(pairs: DataFrame, shingles: DataFrame, threshold: float) -> DataFrame:
@@ -221,46 +256,52 @@ def _groups(batches):
         yield held
 
 
-def _likely(rows: list, sign_at: int, label_at: int, bands_at: int, least: float):
+def _likely(rows: list, cells_at: int, label_at: int, bands_at: int, bands: int, threshold: float):
     """Index pairs of members of different classes that may be similar and meet in no earlier bucket: blocks of rows."""
-    signs = np.stack([np.frombuffer(r[sign_at], np.uint8) for r in rows])
-    bands = np.array([r[bands_at] for r in rows], np.int64)
+    cells = np.stack([np.frombuffer(r[cells_at], np.int32) for r in rows])
+    # both kinds of keys of each member; they are the same where it repeats no shingle
+    kinds = [np.array([r[bands_at][:bands] for r in rows], np.int64), np.array([r[bands_at][-bands:] for r in rows], np.int64)]
     _, label = np.unique(np.array([r[label_at] for r in rows], dtype="V16"), return_inverse=True)
     key = rows[0][0]
-    j = int(np.flatnonzero(bands[0] == key)[0])
-    need = least * signs.shape[1]
-    for first in range(0, len(rows), 64):
-        part = slice(first, first + 64)
-        near = (signs[part, None, :] == signs[None]).sum(2) >= need
-        near &= label[part, None] != label[None]
-        near &= np.arange(len(rows))[None] > np.arange(first, min(first + 64, len(rows)))[:, None]
+    j = next(int(at[0]) for k in kinds if len(at := np.flatnonzero(k[0] == key)))
+    for first in range(0, len(rows), 16):
+        part = slice(first, first + 16)
+        near = label[part, None] != label[None]
+        near &= np.arange(len(rows))[None] > np.arange(first, min(first + 16, len(rows)))[:, None]
+        at = np.flatnonzero(near.any(0))
+        if not len(at):
+            continue
+        near[:, at] &= may_reach(cells[part], cells[at], threshold)
         x, y = np.nonzero(near)
         x = x + first
         if j and len(x):
-            fresh = ~(bands[x, :j] == bands[y, :j]).any(1)
+            fresh = np.ones(len(x), bool)
+            for k in kinds:
+                for m in kinds:
+                    fresh &= ~(k[x, :j] == m[y, :j]).any(1)
             x, y = x[fresh], y[fresh]
         yield x, y
 
 
-def hopeful(entries: DataFrame, least: float, block: int, partitions: int) -> DataFrame:
-    """(key, node): members that may have a partner of another class, judged by signatures."""
+def hopeful(entries: DataFrame, threshold: float, bands: int, block: int, partitions: int) -> DataFrame:
+    """(key, node): members that may have a partner of another class, judged by cells."""
     schema = pa.schema([("key", pa.int64()), ("node", pa.binary())])
 
     def judge(batches):
         for rows in _groups(batches):
             marked = np.zeros(len(rows), bool)
-            for x, y in _likely(rows, 2, 3, 4, least):
+            for x, y in _likely(rows, 2, 3, 4, bands, threshold):
                 marked[x] = True
                 marked[y] = True
             if marked.any():
                 nodes = [rows[i][1] for i in np.flatnonzero(marked).tolist()]
                 yield pa.RecordBatch.from_arrays([pa.array([rows[0][0]] * len(nodes), pa.int64()), pa.array(nodes, pa.binary())], schema=schema)
 
-    dealt = _grouped(entries, ["node", "sign", "label", "bands"], block, partitions)
-    return dealt.select("b1", "b2", "key", "node", "sign", "label", "bands").mapInArrow(tidied(judge), "key long, node binary").distinct()
+    dealt = _grouped(entries, ["node", "cells", "label", "bands"], block, partitions)
+    return dealt.select("b1", "b2", "key", "node", "cells", "label", "bands").mapInArrow(tidied(judge), "key long, node binary").distinct()
 
 
-def settled_links(entries: DataFrame, threshold: float, least: float, block: int, partitions: int) -> DataFrame:
+def settled_links(entries: DataFrame, threshold: float, bands: int, block: int, partitions: int) -> DataFrame:
     """Links (a, b) that join the classes of each group's members, by exact similarity."""
     schema = pa.schema([("a", pa.binary()), ("b", pa.binary())])
 
@@ -276,7 +317,7 @@ def settled_links(entries: DataFrame, threshold: float, least: float, block: int
 
             sets = [(np.frombuffer(r[5], np.uint64), np.frombuffer(r[6], np.int32) if r[6] else np.ones(len(r[5]) // 8, np.int32)) for r in rows]
             out = []
-            for xs, ys in _likely(rows, 2, 3, 4, least):
+            for xs, ys in _likely(rows, 2, 3, 4, bands, threshold):
                 for x, y in zip(xs.tolist(), ys.tolist(), strict=True):
                     a, b = root(rows[x][3]), root(rows[y][3])
                     if a != b and similarity(*sets[x], *sets[y]) >= threshold:
@@ -285,8 +326,8 @@ def settled_links(entries: DataFrame, threshold: float, least: float, block: int
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary()) for c in zip(*out, strict=True)], schema=schema)
 
-    dealt = _grouped(entries, ["node", "sign", "label", "bands", "shingles", "weights"], block, partitions)
-    return dealt.select("b1", "b2", "key", "node", "sign", "label", "bands", "shingles", "weights").mapInArrow(tidied(judge), "a binary, b binary")
+    dealt = _grouped(entries, ["node", "cells", "label", "bands", "shingles", "weights"], block, partitions)
+    return dealt.select("b1", "b2", "key", "node", "cells", "label", "bands", "shingles", "weights").mapInArrow(tidied(judge), "a binary, b binary")
 
 
 def components(edges: DataFrame, labels: DataFrame | None = None) -> DataFrame:
@@ -359,9 +400,9 @@ def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands
     once = _once(signed)
     partitions = shuffle_partitions(docs.sparkSession)
     # one entry for each (bucket, node); copies of a text have equal buckets
-    nodes = signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("rows"), F.first("bands").alias("bands"), F.first("sign").alias("sign"))
+    nodes = signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("rows"), F.first("bands").alias("bands"))
     nodes = staged(nodes, "nodes")
-    entries = nodes.select(F.explode("bands").alias("key"), "node")
+    entries = nodes.select(F.explode(F.array_distinct("bands")).alias("key"), "node")
     crowded = entries.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     open_ = staged(entries.join(crowded, "key"), "entries")
     labels = None
@@ -383,12 +424,11 @@ def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands
         split = open_.groupBy("key").agg(F.min("label").alias("_lo"), F.max("label").alias("_hi")).where("_lo <> _hi").select("key")
         open_ = staged(open_.join(split, "key", "left_semi"), "entries")
         if not open_.isEmpty():
-            least = threshold - 4 * float(np.sqrt(threshold * (1 - threshold) / registers))
-            full = open_.join(nodes.select("node", "sign", "bands"), "node")
-            some = staged(hopeful(full, least, 512, partitions), "hopeful")
+            full = open_.join(nodes.select("node", "bands"), "node").join(shingles.select("node", "cells"), "node")
+            some = staged(hopeful(full, threshold, bands, 512, partitions), "hopeful")
             if not some.isEmpty():
-                asked = open_.join(some, ["key", "node"]).join(nodes.select("node", "sign", "bands"), "node").join(shingles, "node")
-                links = staged(settled_links(asked, threshold, least, 128, partitions), "links")
+                asked = open_.join(some, ["key", "node"]).join(nodes.select("node", "bands"), "node").join(shingles, "node")
+                links = staged(settled_links(asked, threshold, bands, 128, partitions), "links")
                 if not links.isEmpty():
                     labels = components(links, labels)
     named = nodes.select("node", "doc_id", "rows")

@@ -266,6 +266,32 @@ def test_classes_against_brute_force(spark, sf_dir):
     assert {d: min(group) for group in want.values() for d in group} == got
 
 
+def test_plain_similarity_of_texts_that_repeat_lines(spark):
+    docs = []
+    for f in range(60):  # equal sets of shingles, a tenth of them thirty times as often in one text
+        lines = [f"a{f} b{f} c{f} d{f} l{i}" for i in range(2)]
+        body = " ".join(f"w{f}x{i}" for i in range(90))
+        docs += [(100 * f + k, " ".join(lines * n) + " " + body) for k, n in enumerate((2, 60))]
+    got = {r["doc_id"]: r["class_id"] for r in nd.near_duplicates(frame(spark, docs)).collect()}
+    assert got == {100 * f + k: 100 * f for f in range(60) for k in range(2)}
+
+
+def test_cells_never_reject_a_pair_at_the_threshold():
+    rng = np.random.default_rng(3)
+    pool = mix64(np.arange(400, dtype=np.uint64))
+    sets = []
+    for _ in range(60):
+        own = np.sort(rng.choice(pool[: rng.integers(20, 400)], 18, replace=False))
+        sets.append((own, rng.integers(1, 4, len(own))))
+        drop = np.delete(own, rng.integers(len(own)))
+        sets.append((drop, rng.integers(1, 9, len(drop))))
+    cells = np.stack([nd.cells_of(*x) for x in sets])
+    for threshold in (0.3, 0.5, 0.8, 0.9):
+        may = nd.may_reach(cells, cells, threshold)
+        exact = np.array([[nd.similarity(*x, *y) >= threshold for y in sets] for x in sets])
+        assert may[exact].all() and not may.all()
+
+
 def test_repeated_rows_null_ids_and_empty_tables(spark):
     text = "a b c d e f g h"
     rows = [(1, text), (1, text), (None, text), (None, "other words in here now"), (2, "x"), (2, "y")]
