@@ -4,8 +4,11 @@ Documents with equal texts are linked. Every linked document starts in a shard d
 from its id; in each round the members of a group look at their neighbours' shards and
 move to the most frequent one that has room, as far as the shard's quota allows.
 Members of a group in the same shard are interchangeable, so a round works on rows
-(group, shard, count): at most one for each group and shard. Unlinked documents have no
-neighbours and fill what is left, which makes the counts exact.
+(group, shard, count): at most one for each group and shard. Then moves are matched: all
+groups leave at once and are seated again whole, large ones first, in the shard they wish
+for while it has room, else where most room is, so what leaves a shard makes room in it.
+Unlinked documents have no neighbours and fill what is left, which makes the counts exact.
+A group is cut only if no shard has room for it: fewer than ``shards`` groups of one size.
 
 A group with over ``giant`` of a shard's quota cannot sit in one shard for sure; there
 are at most shards / giant of these, placed first, over as few shards as hold them.
@@ -68,6 +71,46 @@ def propagate(state: DataFrame, room: list[int], rounds: int) -> DataFrame:
     return state
 
 
+def seats(sizes: dict[tuple[int, int], int], room: list[int]) -> dict[tuple[int, int], list[tuple[int, int]]]:
+    """How many groups of each (wish, size) go to which shards: lists of (shard, count), the rest has no room.
+
+    ``sizes`` counts groups by wish and size; distinct sizes are few, as their sum is bounded by the rows.
+    """
+    left, plan = list(room), {}
+    for n in sorted({n for _, n in sizes}, reverse=True):
+        over = {}
+        for s in range(len(room)):
+            asked = sizes.get((s, n), 0)
+            stay = min(asked, max(0, left[s]) // n)
+            left[s] -= stay * n
+            plan[s, n] = [(s, stay)] if stay else []
+            over[s] = asked - stay
+        for s, k in over.items():
+            for to in sorted(range(len(room)), key=lambda t: (-left[t], t)):
+                go = min(k, max(0, left[to]) // n)
+                if go:
+                    plan[s, n].append((to, go))
+                    left[to] -= go * n
+                    k -= go
+    return plan
+
+
+def seated(state: DataFrame, room: list[int], buckets: int) -> DataFrame:
+    """(g, shard): one shard for each group of state (g, shard, n), null if none has room for the whole group."""
+    groups = state.groupBy("g").agg(F.max(F.struct("n", "shard")).alias("m"), F.sum("n").alias("size")).select("g", F.col("m.shard").alias("wish"), "size")
+    ranked = staged(dealt_rank(groups, ["wish", "size"], ["g"], "rank", buckets), "seats")
+    sizes = {(r["wish"], r["size"]): r["n"] for r in ranked.groupBy("wish", "size").agg(F.count(F.lit(1)).alias("n")).collect()}
+    ranges = []
+    for (wish, size), parts in seats(sizes, room).items():
+        low = 0
+        for s, k in parts:
+            ranges.append((wish, size, low, low + k, s))
+            low += k
+    spans = state.sparkSession.createDataFrame(ranges, "_w int, _s long, _low long, _high long, shard int")
+    on = (F.col("wish") == F.col("_w")) & (F.col("size") == F.col("_s")) & (F.col("rank") >= F.col("_low")) & (F.col("rank") < F.col("_high"))
+    return ranked.join(F.broadcast(spans), on, "left").select("g", "shard")
+
+
 def shard_rows(docs: DataFrame, shards: int = 8, rounds: int = 4, giant: float = 0.125) -> DataFrame:
     """Puts documents (doc_id, text) into shards with counts at most one apart.
 
@@ -102,21 +145,26 @@ def shard_rows(docs: DataFrame, shards: int = 8, rounds: int = 4, giant: float =
     state = propagate(staged(linked.groupBy("g", start.alias("shard")).agg(F.count(F.lit(1)).alias("n")), "labels"), room, rounds) if total else None
     if state is None:
         return rows.select("doc_id", "size", "text_crc32", F.lit(0).alias("shard"), F.lit(0).cast("long").alias("slot"), F.lit(False).alias("linked"))
-    settled = state.groupBy("g").agg(F.count(F.lit(1)).alias("parts"), F.max("shard").alias("to")).select("g", F.when(F.col("parts") == 1, F.col("to")).alias("_to"), F.lit(True).alias("_small"))
+    buckets = shuffle_partitions(spark)
+    settled = seated(state, room, buckets).select("g", F.col("shard").alias("_to"), F.lit(True).alias("_small"))
     wanted = rows.join(settled, "g", "left")
     # the wish of a member of a giant group: a share of its hash range for each of the group's shards
     giant_wish = F.lit(None).cast("int")
     for g, parts in plan.items():
         own = _drawn(_unit("doc_id", "size", F.lit(7)), [float(sum(n for s, n in parts if s == k)) for k in range(shards)])
         giant_wish = F.when(F.col("g") == F.lit(bytearray(g)), own).otherwise(giant_wish)
-    wish = F.coalesce(giant_wish, F.col("_to"), F.when(F.col("_small"), start), F.lit(-1))
-    wanted = wanted.select("doc_id", "size", "text_crc32", "g", wish.alias("wish"))
-    buckets = shuffle_partitions(spark)
-    ranked = staged(dealt_rank(wanted, ["wish"], ["doc_id", "g"], "rank", buckets), "wishes")
-    counts = {r["wish"]: r["n"] for r in ranked.groupBy("wish").agg(F.count(F.lit(1)).alias("n")).collect()}
+    # members of a group that no shard has room for fill up like unlinked rows
+    wish = F.coalesce(giant_wish, F.col("_to"), F.lit(-1))
+    wanted = wanted.select("doc_id", "size", "text_crc32", "g", wish.alias("wish"), giant_wish.isNotNull().alias("_giant"), (giant_wish.isNotNull() | F.col("_small").isNotNull()).alias("linked"))
+    # the draw for a giant group's rows is not exact: whole groups rank before them
+    ranked = staged(dealt_rank(wanted, ["wish", "_giant"], ["doc_id", "g"], "rank", buckets), "wishes")
+    found = ranked.groupBy("wish").agg(F.count(F.lit(1)).alias("n"), F.sum((~F.col("_giant")).cast("long")).alias("whole")).collect()
+    counts, ahead = ({r["wish"]: r[c] for r in found} for c in ("n", "whole"))
+    shift = F.element_at(F.array([F.lit(int(ahead.get(s, 0))) for s in range(-1, shards)]), F.col("wish") + 2)
+    ranked = ranked.withColumn("rank", F.col("rank") + F.when(F.col("_giant"), shift).otherwise(0)).drop("_giant")
     limit = F.element_at(F.array([F.lit(0), *[F.lit(q) for q in quota]]), F.col("wish") + 2)
-    stays = ranked.where(F.col("rank") < limit).select("doc_id", "size", "text_crc32", F.col("wish").alias("shard"), F.col("rank").alias("slot"), F.lit(True).alias("linked"))
-    pool = ranked.where(F.col("rank") >= limit).withColumn("linked", F.col("wish") >= 0)
+    stays = ranked.where(F.col("rank") < limit).select("doc_id", "size", "text_crc32", F.col("wish").alias("shard"), F.col("rank").alias("slot"), "linked")
+    pool = ranked.where(F.col("rank") >= limit)
     pool = dealt_rank(pool.withColumn("_all", F.lit(0)), ["_all"], ["doc_id", "g"], "place", buckets)
     given = [min(quota[s], counts.get(s, 0)) for s in range(shards)]
     edges = np.cumsum([0] + [q - n for q, n in zip(quota, given, strict=True)])

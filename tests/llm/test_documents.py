@@ -64,6 +64,21 @@ def test_shards_are_even_and_keep_copies_together(spark):
     assert split <= 2
 
 
+@pytest.mark.parametrize("alone", [0, 50])
+def test_groups_are_whole_where_nearly_all_rows_are_linked(spark, alone):
+    sizes = [2] * 200 + [5] * 60 + [20] * 15
+    rows = [(i, f"copy {g}") for i, g in enumerate(g for g, n in enumerate(sizes) for _ in range(n))]
+    rows += [(5000 + i, f"alone {i}") for i in range(alone)]
+    got = sh.shard_rows(frame(spark, rows)).collect()
+    check_shards(got, rows)
+    text = dict(rows)
+    seen = {}
+    for r in got:
+        seen.setdefault(text[r["doc_id"]], set()).add(r["shard"])
+    # each of the eight shards may be left with one row, too little for a group of two
+    assert sum(len(x) > 1 for x in seen.values()) <= 4
+
+
 def test_a_group_of_a_third_fills_whole_shards(spark):
     rows = [(i, "same" if i % 3 == 0 else f"t{i}") for i in range(480)]
     got = sh.shard_rows(frame(spark, rows)).collect()
