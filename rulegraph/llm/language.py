@@ -16,7 +16,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -155,8 +155,16 @@ class LanguageModel:
         return forward_backward(score, first, length, self.transitions)[0]
 
 
+def spread_runs(first: int, last: int, words_each: int, chain: int) -> list[np.ndarray]:
+    """Runs of at most ``chain`` words of a text, ``words_each`` words in all, with even gaps from its first word to its last."""
+    n = min(last - first, words_each)
+    begins = range(0, n, chain)
+    spare = last - first - n
+    return [first + spare * k // max(1, len(begins) - 1) + np.arange(i, min(i + chain, n)) for k, i in enumerate(begins)]
+
+
 def train(texts: list[str], langs: list[str], buckets: int = 1 << 16, chain: int = 64, words_each: int = 400, steps: int = 30, rate: float = 0.3, mixed: float = 0.3, seed: int = 7) -> LanguageModel:
-    """Maximum likelihood by full-batch AdaGrad on chains cut from the texts (``words_each`` words of each)."""
+    """Maximum likelihood by full-batch AdaGrad on chains cut from the texts: all words, or ``words_each`` spread evenly over the text."""
     labels = sorted(set(langs))
     if not labels:
         return LanguageModel([], np.zeros((buckets + 1, 0), np.float32), np.zeros((0, 0), np.float32), chain)
@@ -164,10 +172,9 @@ def train(texts: list[str], langs: list[str], buckets: int = 1 << 16, chain: int
     data = np.frombuffer(b"".join(raw), np.uint8)
     offsets = np.concatenate([[0], np.cumsum([len(x) for x in raw])]).astype(np.int64)
     starts, ends, hashes, bounds = words_of(data, offsets)
-    taken = [np.arange(a, min(b, a + words_each)) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
     number = {x: i for i, x in enumerate(labels)}
     rng = np.random.default_rng(seed)
-    runs = [(own[i : i + chain], number[lang]) for own, lang in zip(taken, langs, strict=True) for i in range(0, len(own), chain)]
+    runs = [(own, number[lang]) for a, b, lang in zip(bounds[:-1], bounds[1:], langs, strict=True) for own in spread_runs(int(a), int(b), words_each, chain)]
     if not runs:
         return LanguageModel(labels, np.zeros((buckets + 1, len(labels)), np.float32), np.zeros((len(labels), len(labels)), np.float32), chain)
     words, truth, sizes = [], [], []
@@ -223,21 +230,32 @@ def held_out() -> F.Column:
     return F.coalesce(F.pmod(F.crc32(F.encode(F.col("doc_id").cast("string"), "UTF-8")), F.lit(4)) == 2, F.lit(False))
 
 
-def fit(docs: DataFrame, per_label: int = 200, max_labels: int = 64, text_bytes: int = 20_000, **options) -> LanguageModel:
+def excerpt(chars: int, pieces: int = 8) -> F.Column:
+    """The text, or pieces of it from its beginning to its end that hold ``chars`` characters in all."""
+    each = max(1, chars // pieces)
+    spare = F.length("text") - each
+    parts = [F.substring(F.col("text"), (F.floor(spare * k / (pieces - 1)) + 1).cast("int"), F.lit(each)) for k in range(pieces)]
+    return F.when(F.length("text") <= chars, F.col("text")).otherwise(F.concat_ws(" ", *parts))
+
+
+def fit(docs: DataFrame, per_label: int = 200, text_bytes: int = 20_000, **options) -> LanguageModel:
     """Learns from labelled documents (doc_id, text, lang) that are not held out.
 
-    The sample is bounded: about ``per_label`` documents, drawn by a hash of the id, of
-    each of the ``max_labels`` most frequent labels, and ``text_bytes`` of each (training
-    only; prediction reads whole texts). No labelled document gives a model without labels.
+    All labels are learned. The sample is bounded: about ``per_label`` documents of each
+    label, drawn by a hash of the id, of each the whole text or, if it is longer, eight
+    pieces of ``text_bytes`` characters in all, spread over it, and of these the words that
+    ``train`` takes (training only; prediction reads whole texts). The model's size grows
+    with the labels. No labelled document gives a model without labels.
     """
     labelled = docs.where(~held_out() & F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
-    counts = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(max_labels).collect()
+    counts = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()
     if not counts:
         return train([], [], **options)
     share = F.create_map(*[x for r in counts for x in (F.lit(r["lang"]), F.lit(min(1.0, per_label / r["n"])))])
     unit = F.xxhash64("doc_id", F.lit(3)).bitwiseAND(F.lit((1 << 53) - 1)).cast("double") / float(1 << 53)
-    sample = labelled.where(unit < F.element_at(share, F.col("lang"))).select("doc_id", "lang", F.substring("text", 1, text_bytes).alias("text"))
-    rows = sample.orderBy(F.xxhash64("doc_id", F.lit(3)), "doc_id", "text").limit(2 * per_label * len(counts)).collect()
+    sample = labelled.where(unit < F.element_at(share, F.col("lang"))).select("doc_id", "lang", excerpt(text_bytes).alias("text"))
+    nth = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id", F.lit(3)), "doc_id", "text")
+    rows = sample.withColumn("_n", F.row_number().over(nth)).where(F.col("_n") <= 2 * per_label).drop("_n").collect()
     rows.sort(key=lambda r: (r["doc_id"], r["text"]))
     return train([r["text"] for r in rows], [r["lang"] for r in rows], **options)
 

@@ -392,6 +392,18 @@ def test_held_out_accuracy_and_code_switching(spark, sf_dir):
     assert (labels[: half - 5] == "de").mean() > 0.8 and (labels[half + 5 :] == "en").mean() > 0.8
 
 
+def test_all_labels_and_all_of_a_text_are_learned(spark):
+    held = lambda d: zlib.crc32(str(d).encode()) % 4 == 2
+    rows = [(d, f"word{d % 70} text", f"l{d % 70}") for d in range(400) if not held(d)]
+    model = la.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"), buckets=256, steps=1)
+    assert model.labels == sorted({x for _, _, x in rows}) and len(model.labels) == 70
+    runs = la.spread_runs(10, 5010, 400, 64)
+    assert runs[0][0] == 10 and runs[-1][-1] == 5009 and sum(map(len, runs)) == 400
+    assert np.concatenate(la.spread_runs(3, 303, 400, 64)).tolist() == list(range(3, 303))
+    long = spark.createDataFrame([("a" * 50 + "b" * 50,), ("short",)], "text string")
+    assert [r[0] for r in long.select(la.excerpt(16)).collect()] == [" ".join(["aa"] * 4 + ["bb"] * 4), "short"]
+
+
 def test_texts_without_letters_and_models_without_labels(spark):
     model = la.train(["der die das und", "the and of to"], ["de", "en"])
     rows = [(1, None), (2, ""), (3, "123 --"), (4, "—"), (5, "the and"), (None, "der"), (5, "the and")]
