@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..storage import staged
+from .running import running_sums
 
 
 def entity_relations(facts: DataFrame, roles: str = "both") -> DataFrame:
@@ -106,36 +107,56 @@ class CategoryConfig:
     measure: str = "jaccard"
     roles: str = "both"
     aggregate: bool = True
-    max_rounds: int = 3
-    max_combos: int = 5000
+
+
+def _collapsed(combos: DataFrame, members: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Combinations with equal covers become the largest of their relation sets (they overlap fully, so merging forms that union)."""
+    same = members.groupBy("combo").agg(F.hash(F.sort_array(F.collect_list("profile"))).alias("_h"), F.xxhash64(F.sort_array(F.collect_list("profile"))).alias("_c"), F.sum("n_ent").alias("n_ent"))
+    held = combos.select("combo", "rels").join(same, "combo")
+    joined = held.groupBy("_c", "_h", "n_ent").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("rels")))).alias("rels"), F.min("combo").alias("_one"))
+    named = staged(_named(joined.select("rels", "_one")).groupBy("combo", "rels").agg(F.min("_one").alias("_one")), "combos")
+    moved = members.withColumnRenamed("combo", "_one").join(named.select("combo", "_one"), "_one").select("combo", "profile", "n_ent")
+    return named.select("combo", "rels"), staged(moved.distinct(), "members")
+
+
+def needed(combos: DataFrame, members: DataFrame, k: int) -> DataFrame:
+    """Combinations (combo) that :func:`prune` can still keep: some member has fewer than k larger ones.
+
+    More combinations only push others back, and all that a merge by entities makes of a
+    combination lies behind it for the same members, so what is not needed now is never
+    needed, nor is anything merged from it.
+    """
+    size = members.groupBy("combo").agg(F.sum("n_ent").alias("n")).join(combos.select("combo", F.size("rels").alias("_k")), "combo")
+    order = Window.partitionBy("profile").orderBy(F.desc("n"), F.desc("_k"), "combo")
+    placed = members.select("combo", "profile").join(size, "combo").withColumn("_place", F.row_number().over(order))
+    return placed.groupBy("combo").agg(F.min("_place").alias("_place")).where(F.col("_place") <= k).select("combo")
 
 
 def close_combos(combos: DataFrame, profiles: DataFrame, config: CategoryConfig) -> tuple[DataFrame, DataFrame]:
-    """Merges in turn by entities and by relations until nothing new appears or max_rounds is over.
+    """Merges in turn by entities and by relations until nothing new appears.
 
-    First, combinations with equal covers become the largest of their relation sets: such
-    pairs overlap fully, so merging by entities would form that union anyway. Each round
-    keeps the max_combos combinations of largest cover.
+    Combinations that no entity can need for its k categories are left out before and
+    after each round (see :func:`needed`), which keeps the closure as small as its use:
+    at most k combinations a profile are merged with each other.
     """
-    members = cover(combos, profiles)
-    same = members.groupBy("combo").agg(F.hash(F.sort_array(F.collect_list("profile"))).alias("_h"), F.xxhash64(F.sort_array(F.collect_list("profile"))).alias("_c"), F.sum("n_ent").alias("n_ent"))
-    joined = combos.select("combo", "rels").join(same, "combo").groupBy("_c", "_h", "n_ent").agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("rels")))).alias("rels"))
-    combos = staged(_named(joined.select("rels")), "combos")
-    members = staged(cover(combos, profiles), "members")
-    for _ in range(config.max_rounds):
+    keep = lambda c, m: (c.join(w := staged(needed(c, m, config.k), "needed"), "combo", "left_semi"), m.join(w, "combo", "left_semi"))
+    combos, members = _collapsed(combos, cover(combos, profiles))
+    combos, members = keep(combos, members)
+    while True:
         finer = merge_by_entities(combos, members, config.overlap, config.measure).join(combos.select("combo"), "combo", "left_anti")
         coarse, coarse_members = merge_by_relations(combos, members, config.relation_overlap, config.measure)
         coarse = coarse.join(combos.select("combo"), "combo", "left_anti")
         fresh = finer.select("combo", "rels").unionByName(coarse.select("combo", "rels")).dropDuplicates(["combo"])
         fresh_members = cover(finer, profiles).unionByName(coarse_members.join(coarse.select("combo"), "combo", "left_semi")).distinct()
-        size = fresh_members.groupBy("combo").agg(F.sum("n_ent").alias("n"))
-        best = size.orderBy(F.desc("n"), "combo").limit(config.max_combos)
-        fresh = staged(fresh.join(best.select("combo"), "combo", "left_semi"), "combos")
+        fresh = staged(fresh, "fresh")
         if fresh.isEmpty():
-            break
-        members = staged(members.unionByName(fresh_members.join(fresh.select("combo"), "combo", "left_semi")), "members")
-        combos = staged(combos.unionByName(fresh.select(*combos.columns)), "combos")
-    return combos, members
+            return combos, members
+        old = combos
+        combos, members = _collapsed(combos.unionByName(fresh), members.unionByName(fresh_members))
+        combos, members = keep(combos, members)
+        combos, members = staged(combos, "combos"), staged(members, "members")
+        if combos.join(old.select("combo"), "combo", "left_anti").isEmpty():
+            return combos, members
 
 
 def prune(combos: DataFrame, members: DataFrame, k: int) -> DataFrame:
@@ -146,8 +167,8 @@ def prune(combos: DataFrame, members: DataFrame, k: int) -> DataFrame:
     first i ranks are right after i rounds at the latest.
     """
     size = members.groupBy("combo").agg(F.sum("n_ent").alias("n_ent"))
-    ranked = combos.select("combo", "rels").join(size, "combo").withColumn("rank", F.row_number().over(Window.orderBy(F.desc("n_ent"), F.desc(F.size("rels")), "combo")))
-    ranked = staged(ranked, "ranked")  # at most max_combos rows a round
+    ranked = combos.select("combo", "rels").join(size, "combo").withColumn("_one", F.lit(1))
+    ranked = staged(running_sums(ranked, [F.desc("n_ent"), F.desc(F.size("rels")), "combo"], {"rank": "_one"}).drop("_one"), "ranked")
     held = members.select("combo", "profile").join(ranked.select("combo", "rank"), "combo")
     kept, before = ranked.select("combo"), -1
     while True:
@@ -173,10 +194,10 @@ class Categories:
         return self.entities.join(self.cats, "profile").select("eid", "cat")
 
 
-def learn(facts: DataFrame, config: CategoryConfig | None = None) -> Categories:
-    """Categories of all entities of facts."""
+def learn(facts: DataFrame, config: CategoryConfig | None = None, entities: DataFrame | None = None) -> Categories:
+    """Categories of all entities of facts; ``entities`` are their profiles where known already."""
     config = config or CategoryConfig()
-    entities = staged(entity_profiles(entity_relations(facts, config.roles)), "entities")
+    entities = staged(entity_profiles(entity_relations(facts, config.roles)), "entities") if entities is None else entities
     profiles = staged(profiles_of(entities), "profiles")
     total = profiles.agg(F.sum("n_ent")).first()[0] or 0
     support = config.min_support or max(2, total // 1000)
@@ -197,12 +218,14 @@ def by_kind(facts: DataFrame) -> Categories:
     return Categories(entities, entities.select("profile", F.col("profile").alias("cat")).distinct())
 
 
-def describe(categories: Categories, names: DataFrame | None = None, top: int = 4) -> DataFrame:
-    """For people: the relations that define a category and some of its entities."""
+def describe(categories: Categories, top: int = 4) -> DataFrame:
+    """For people: the relations that define a category and some of its entities (the least names, by a bounded aggregate)."""
     members = categories.of_entities()
-    order = Window.partitionBy("cat").orderBy("eid")
-    few = members.withColumn("_i", F.row_number().over(order)).where(F.col("_i") <= top).groupBy("cat").agg(F.array_sort(F.collect_list(F.col("eid").cast("string"))).alias("entities"))
-    out = few.join(members.groupBy("cat").agg(F.count(F.lit(1)).alias("n_entities")), "cat")
+    few = members.groupBy("cat").agg(F.count(F.lit(1)).alias("n_entities"), *[F.min("eid").alias("_e0")])
+    for i in range(1, top):
+        last = few.select("cat", F.col(f"_e{i - 1}").alias("_last"))
+        few = few.join(members.join(last, "cat").where("eid > _last").groupBy("cat").agg(F.min("eid").alias(f"_e{i}")), "cat", "left")
+    out = few.select("cat", F.filter(F.array(*[F.col(f"_e{i}").cast("string") for i in range(top)]), lambda x: x.isNotNull()).alias("entities"), "n_entities")
     if categories.combos is not None:
         out = out.join(categories.combos.select("cat", F.array_join(F.transform("rels", lambda r: r.cast("string")), ", ").alias("relations")), "cat", "left")
     return out

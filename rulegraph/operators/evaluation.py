@@ -61,9 +61,14 @@ def inject_time(facts: DataFrame, known: DataFrame, rate: float = 0.15, salt: st
     return made.join(known.select("s", "r", "o", "t"), ["s", "r", "o", "t"], "left_anti").select("s", "r", "o", "t")
 
 
+def is_missing(rate: float, salt: str):
+    """Whether a fact (s, r, o, t) is among the deleted ones."""
+    return draw(salt, "s", "r", "o", "t") < int(rate * 16**8)
+
+
 def inject_missing(facts: DataFrame, rate: float = 0.15, salt: str = "missing") -> tuple[DataFrame, DataFrame]:
     """(facts left, facts deleted)."""
-    gone = draw(salt, "s", "r", "o", "t") < int(rate * 16**8)
+    gone = is_missing(rate, salt)
     return facts.where(~gone), facts.where(gone)
 
 

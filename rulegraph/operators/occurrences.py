@@ -52,51 +52,84 @@ def chain_witnesses(facts: DataFrame) -> DataFrame:
     return facts.select("s", "o", F.xxhash64(F.lit("chain"), "r").alias("wid"), F.lit(NO_CORNER).alias("corner"), "t")
 
 
-def triangles(facts: DataFrame, pairs: DataFrame) -> DataFrame:
-    """(s, o, x): third entities linked with both ends of a pair, over distinct neighbours."""
-    near = half_edges(facts).select("leaf", "corner").where("leaf <> corner").distinct()
-    first = pairs.join(near.select(F.col("leaf").alias("s"), F.col("corner").alias("x")), "s").where("x <> o")
-    return first.join(near.select(F.col("leaf").alias("o"), F.col("corner").alias("x")), ["o", "x"], "left_semi").select("s", "o", "x")
-
-
-def closure_witnesses(facts: DataFrame, entities: DataFrame, pairs: DataFrame, window: int) -> DataFrame:
-    """Two facts over a corner, at most window ticks apart, for the given pairs; their time is the later one."""
-    half = half_edges(facts)
-    found = triangles(facts, pairs)
-    one = half.select(F.col("leaf").alias("s"), F.col("corner").alias("x"), F.col("r").alias("r1"), F.col("d").alias("d1"), F.col("t").alias("t1"))
-    two = half.select(F.col("leaf").alias("o"), F.col("corner").alias("x"), F.col("r").alias("r2"), F.col("d").alias("d2"), F.col("t").alias("t2"))
-    width = max(1, window)
-    one = one.withColumn("b", F.floor(F.col("t1") / width))
-    two = two.withColumn("b", F.explode(F.array(*[F.floor(F.col("t2") / width) + k for k in (-1, 0, 1)])))
-    met = found.join(one, ["s", "x"]).join(two, ["o", "x", "b"]).where(F.abs(F.col("t1") - F.col("t2")) <= window)
+def _block(t: str, width: int | None):
+    """The block of ticks that t lies in; one block where there is no horizon."""
+    return F.lit(0).cast("long") if width is None else F.floor(F.col(t) / width).cast("long")
+
+
+def closure_witnesses(facts: DataFrame, entities: DataFrame, asked: DataFrame, window: int, horizon: int | None = None) -> DataFrame:
+    """Two facts over a corner, at most window ticks apart, for asked pairs; their time is the later one.
+
+    With a horizon ``asked`` has s, o and t, and only legs that a fact of that tick can still
+    see are met, block of ticks by block of ticks. In each block a pair is opened from its end with
+    fewer facts, so the sum over pairs stays below (number of facts) ** 1.5 and a hub is
+    opened only where both ends are hubs.
+    """
+    width = None if horizon is None else max(1, horizon + window)
+    half = half_edges(facts).where("leaf <> corner").distinct().withColumn("b", _block("t", width))
+    if width is not None:  # a fact sees legs of its own block and of the one before
+        half = half.withColumn("b", F.explode(F.array(F.col("b"), F.col("b") + 1)))
+    pairs = (asked.withColumn("b", _block("t", width)) if width is not None else asked.withColumn("b", F.lit(0).cast("long"))).select("s", "o", "b").distinct()
+    degree = half.groupBy("leaf", "b").agg(F.count(F.lit(1)).alias("n"))
+    end = lambda c: degree.select(F.col("leaf").alias(c), "b", F.col("n").alias(f"n_{c}"))
+    pairs = pairs.join(end("s"), ["s", "b"]).join(end("o"), ["o", "b"])
+    turned = F.col("n_o") < F.col("n_s")
+    pairs = pairs.select(F.when(turned, F.col("o")).otherwise(F.col("s")).alias("near"), F.when(turned, F.col("s")).otherwise(F.col("o")).alias("far"), "b", turned.alias("turned"))
+    leg = lambda who, i: half.select(F.col("leaf").alias(who), F.col("corner").alias("x"), "b", F.col("r").alias(f"r{i}"), F.col("d").alias(f"d{i}"), F.col("t").alias(f"t{i}"))
+    met = pairs.join(leg("near", 1), ["near", "b"]).where("x <> far").join(leg("far", 2), ["far", "x", "b"]).where(F.abs(F.col("t1") - F.col("t2")) <= window)
     met = met.join(entities.select(F.col("eid").alias("x"), F.col("profile").cast("string").alias("corner")), "x")
-    return met.select("s", "o", F.xxhash64(F.lit("closure"), "r1", "d1", "r2", "d2").alias("wid"), "corner", F.greatest("t1", "t2").alias("t"))
+    side = lambda c, d: F.when(F.col("turned"), F.col(c)).otherwise(F.col(d))
+    wid = F.xxhash64(F.lit("closure"), side("r2", "r1"), side("d2", "d1"), side("r1", "r2"), side("d1", "d2"))
+    return met.select(side("far", "near").alias("s"), side("near", "far").alias("o"), wid.alias("wid"), "corner", F.greatest("t1", "t2").alias("t")).distinct()
+
+
+def closure_kinds(rels: DataFrame) -> DataFrame:
+    """(wid, r1, d1, r2, d2): every pair of legs over relations (r); relations squared rows, a closed set."""
+    side = lambda i: rels.select(F.col("r").alias(f"r{i}"), F.explode(F.array(F.lit(0), F.lit(1))).alias(f"d{i}"), F.lit(1).alias("_j"))
+    return side(1).join(side(2), "_j").select(F.xxhash64(F.lit("closure"), "r1", "d1", "r2", "d2").alias("wid"), "r1", "d1", "r2", "d2")
 
 
 def witness_names(facts: DataFrame) -> DataFrame:
     """(wid, kind, label) for reading links: over the relations that occur (closed set, small)."""
     rels = facts.select("r").distinct()
     chain = rels.select(F.xxhash64(F.lit("chain"), "r").alias("wid"), F.lit("chain").alias("kind"), F.col("r").cast("string").alias("label"))
-    side = lambda i: rels.select(F.col("r").alias(f"r{i}"), F.explode(F.array(F.lit(0), F.lit(1))).alias(f"d{i}"), F.lit(1).alias("_j"))
-    both = side(1).join(side(2), "_j")
     arrow = lambda i: F.concat(F.col(f"r{i}").cast("string"), F.when(F.col(f"d{i}") == 1, F.lit("(from corner)")).otherwise(F.lit("(to corner)")))
-    closure = both.select(F.xxhash64(F.lit("closure"), "r1", "d1", "r2", "d2").alias("wid"), F.lit("closure").alias("kind"), F.concat(arrow(1), F.lit(" & "), arrow(2)).alias("label"))
+    closure = closure_kinds(rels).select("wid", F.lit("closure").alias("kind"), F.concat(arrow(1), F.lit(" & "), arrow(2)).alias("label"))
     return chain.unionByName(closure)
 
 
 def latest_witnesses(facts: DataFrame, witnesses: DataFrame, horizon: int | None = None, strict: bool = True) -> DataFrame:
     """For each fact (fact_id, s, o, t) the latest earlier time of each kind of witness of its pair.
 
-    An as-of join without a range predicate: questions and answers are put into one
-    sequence for each (pair, kind) and the last answer is carried forward, so the cost is
-    linear however many facts a pair has. Facts of the same tick do not see each other
-    where strict.
+    With a horizon: an equality join on blocks of ticks and a maximum. Facts and witnesses are
+    sets and ticks are whole, so a pair has at most horizon x kinds rows a block on either side,
+    however hot it is. Without one, an as-of join without a range predicate: questions and answers
+    are put into one sequence for each (pair, kind) and the last answer is carried forward.
+    Facts of the same tick do not see each other where strict.
+    """
+    key = ["s", "o", "wid", "corner"]
+    if horizon is not None:
+        met = all_witnesses(facts, witnesses, horizon, strict)
+        return met.groupBy("fact_id", "wid", "corner").agg(F.min("lag").alias("lag"), F.max("t_seen").alias("t_seen"))
+    own = witnesses.select(*key, "t").distinct()
+    ask = facts.select("fact_id", "s", "o", F.col("t").alias("at")).join(own.select(*key).distinct(), ["s", "o"])
+    ask = ask.select(*key, "at", F.lit(None).cast("long").alias("t"), "fact_id", F.lit(0 if strict else 1).alias("kind"))
+    known = own.select(*key, F.col("t").alias("at"), "t", F.lit(None).cast("long").alias("fact_id"), F.lit(1 if strict else 0).alias("kind"))
+    order = Window.partitionBy(*key).orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    found = ask.unionByName(known).withColumn("seen", F.last("t", True).over(order)).where(F.col("fact_id").isNotNull() & F.col("seen").isNotNull())
+    return found.select("fact_id", "wid", "corner", (F.col("at") - F.col("seen")).alias("lag"), F.col("seen").alias("t_seen"))
+
+
+def all_witnesses(facts: DataFrame, witnesses: DataFrame, horizon: int | None = None, strict: bool = True) -> DataFrame:
+    """For each fact every earlier witness of its pair, horizon ticks back: the same columns as the latest ones.
+
+    An equality join on blocks of ticks; without a horizon all earlier witnesses of the pair meet.
     """
-    kinds = witnesses.select("s", "o", "wid", "corner").distinct()
-    asked = facts.select("fact_id", "s", "o", F.col("t").alias("at")).join(kinds, ["s", "o"])
-    asked = asked.select("s", "o", "wid", "corner", "at", F.lit(None).cast("long").alias("t"), "fact_id", F.lit(0 if strict else 1).alias("kind"))
-    known = witnesses.select("s", "o", "wid", "corner", F.col("t").alias("at"), "t", F.lit(None).cast("long").alias("fact_id"), F.lit(1 if strict else 0).alias("kind"))
-    order = Window.partitionBy("s", "o", "wid", "corner").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    found = asked.unionByName(known).withColumn("seen", F.last("t", True).over(order)).where(F.col("fact_id").isNotNull() & F.col("seen").isNotNull())
-    out = found.select("fact_id", "wid", "corner", (F.col("at") - F.col("seen")).alias("lag"), F.col("seen").alias("t_seen"))
+    width = None if horizon is None else max(1, horizon)
+    own = witnesses.select("s", "o", "wid", "corner", F.col("t").alias("t_seen")).distinct().withColumn("b", _block("t_seen", width))
+    if width is not None:
+        own = own.withColumn("b", F.explode(F.array(F.col("b"), F.col("b") + 1)))
+    ask = facts.select("fact_id", "s", "o", F.col("t").alias("at"), _block("t", width).alias("b"))
+    met = ask.join(own, ["s", "o", "b"]).where("t_seen < at" if strict else "t_seen <= at")
+    out = met.select("fact_id", "wid", "corner", (F.col("at") - F.col("t_seen")).alias("lag"), "t_seen")
     return out.where(F.col("lag") <= horizon) if horizon is not None else out

@@ -7,12 +7,15 @@ what accepted candidates of better rank already explain, exceed its own bits.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.mdl import error_bits, log2_choose_exact
 from ..storage import staged
+from .running import running_sums
 
 
 def saving_alone(cover: DataFrame, ticks: DataFrame, space: float) -> DataFrame:
@@ -25,41 +28,75 @@ def saving_alone(cover: DataFrame, ticks: DataFrame, space: float) -> DataFrame:
 def rank_candidates(candidates: DataFrame, by: str = "error_reduction") -> DataFrame:
     """Adds rank from 1: by saving, then assertions, then id, all descending (``assertions``: without saving).
 
-    The frame holds candidates only: their number is bounded by relations and categories
-    (patterns) or by the cap on links, never by facts.
+    Ranks are running counts over range partitions, so no task holds all candidates.
     """
     keys = [F.desc("saving")] if by == "error_reduction" else []
-    order = Window.orderBy(*keys, F.desc("n_assert"), F.desc("cand"))
-    return candidates.withColumn("rank", F.row_number().over(order).cast("long"))
+    ranked = running_sums(candidates.withColumn("_one", F.lit(1)), [*keys, F.desc("n_assert"), F.desc("cand")], {"rank": "_one"})
+    return ranked.select(*candidates.columns, F.col("rank").cast("long").alias("rank"))
+
 
+def claims_of(cover: DataFrame, taken: DataFrame) -> DataFrame:
+    """(t, rank, accepted, claim, above): what each candidate would newly explain of a tick, and what accepted ones of
+    better rank claim before it. ``cover`` (rank, cell, t, n), ``taken`` (rank, accepted)."""
+    marked = cover.join(taken.select("rank", "accepted"), "rank")
+    by_cell = Window.partitionBy("cell", "t").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1)
+    open_ = marked.withColumn("_held", F.coalesce(F.max(F.col("accepted").cast("int")).over(by_cell), F.lit(0))).where("_held = 0")
+    claims = open_.groupBy("t", "rank", "accepted").agg(F.sum("n").alias("claim"))
+    above = Window.partitionBy("t").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1)
+    return claims.withColumn("above", F.coalesce(F.sum(F.when(F.col("accepted"), F.col("claim"))).over(above), F.lit(0)))
 
-def select_fixpoint(candidates: DataFrame, cover: DataFrame, ticks: DataFrame, space: float, max_rounds: int = 40) -> DataFrame:
+
+def select_fixpoint(candidates: DataFrame, cover: DataFrame, ticks: DataFrame, space: float, start: DataFrame | None = None) -> DataFrame:
     """Accepted candidates (cand, gain) of one pass in rank order, all candidates at once.
 
-    ``candidates`` (cand, rank, bits), ``cover`` (cand, cell, t, n), ``ticks`` (t, n_t). Start
-    with all accepted. A round finds each cell's best accepted rank, what every candidate
+    ``candidates`` (cand, rank, bits), ``cover`` (cand, cell, t, n), ``ticks`` (t, n_t, and m0 where
+    something explained that many facts of the tick before). Starts with all accepted, or
+    with ``start`` (cand). A round finds each cell's best accepted rank, what every candidate
     would claim given the accepted ones above it, sums claims in rank order by tick, and
     recomputes the gains. The answers of the first i ranks are right after i rounds, so an
-    unchanged round is the result of the serial pass.
+    unchanged round is the result of the serial pass, and there is one after as many rounds
+    as candidates at the latest (in practice after two or three).
     """
     cover = staged(cover.join(candidates.select("cand", "rank"), "cand").groupBy("rank", "cell", "t").agg(F.max("n").alias("n")), "cover")
+    ticks = ticks if "m0" in ticks.columns else ticks.withColumn("m0", F.lit(0))
     bits = candidates.select("cand", "rank", "bits")
-    taken, before = bits.select("rank", F.lit(True).alias("accepted")), None
-    for _ in range(max_rounds):
-        marked = cover.join(taken, "rank", "left").withColumn("accepted", F.coalesce("accepted", F.lit(False)))
-        by_cell = Window.partitionBy("cell", "t").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1)
-        open_ = marked.withColumn("_held", F.coalesce(F.max(F.col("accepted").cast("int")).over(by_cell), F.lit(0))).where("_held = 0")
-        claims = open_.groupBy("t", "rank", "accepted").agg(F.sum("n").alias("claim"))
-        above = Window.partitionBy("t").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1)
-        claims = claims.withColumn("m", F.coalesce(F.sum(F.when(F.col("accepted"), F.col("claim"))).over(above), F.lit(0))).join(ticks, "t")
+    taken = bits.select("cand", "rank", F.lit(True).alias("accepted"))
+    if start is not None:
+        taken = bits.join(start.select("cand", F.lit(True).alias("_s")), "cand", "left").select("cand", "rank", F.coalesce("_s", F.lit(False)).alias("accepted"))
+    mark = lambda df: tuple(df.where("accepted").agg(F.count(F.lit(1)), F.sum("rank"), F.sum(F.xxhash64("rank").bitwiseAND(F.lit((1 << 40) - 1)))).first())
+    before = None if start is None else mark(taken)
+    while True:
+        claims = claims_of(cover, taken).join(ticks, "t").withColumn("m", F.col("above") + F.col("m0"))
         gain = error_bits(space, "m", F.col("n_t") - F.col("m")) - error_bits(space, F.col("m") + F.col("claim"), F.col("n_t") - F.col("m") - F.col("claim"))
         gains = claims.groupBy("rank").agg(F.sum(gain).alias("gain"))
         judged = staged(bits.join(gains, "rank", "left").withColumn("accepted", F.coalesce("gain", F.lit(0.0)) > F.col("bits")), "judged")
-        now = judged.where("accepted").agg(F.count(F.lit(1)), F.sum("rank"), F.sum(F.xxhash64("rank").bitwiseAND(F.lit((1 << 40) - 1)))).first()
+        now = mark(judged)
         if now == before:
-            break
-        taken, before = judged.select("rank", "accepted"), now
-    return judged.where("accepted").select("cand", "gain")
+            return judged.where("accepted").select("cand", F.coalesce("gain", F.lit(0.0)).alias("gain"))
+        taken, before = judged.select("cand", "rank", "accepted"), now
+
+
+def select_passes(ranked: DataFrame, cover: DataFrame, ticks: DataFrame, space: float, passes: int | None = None, bits_given: Callable[[DataFrame, DataFrame], DataFrame] | None = None) -> tuple[DataFrame, bool]:
+    """Passes over ranked candidates until one adds nothing (or ``passes`` are over): (accepted, whether it converged).
+
+    What a pass accepted stays and comes first in the next one. ``bits_given`` gives the
+    candidates' bits anew for the set chosen so far.
+    """
+    found, done = None, 0
+    while passes is None or done < passes:
+        now = ranked
+        if found is not None:
+            if bits_given is not None:
+                now = bits_given(now, found)
+            own = now.join(found.select("cand", F.lit(1).alias("_in")), "cand", "left")
+            now = own.withColumn("bits", F.when(F.col("_in") == 1, F.lit(float("-inf"))).otherwise(F.col("bits"))).withColumn("rank", F.col("rank") + F.when(F.col("_in") == 1, 0).otherwise(1 << 40)).drop("_in")
+        fresh = staged(select_fixpoint(now, cover, ticks, space, found), "accepted")
+        n = fresh.count()
+        done += 1
+        if n in (0, ranked.count()) or (found is not None and n == found.count()):
+            return fresh, True
+        found = fresh
+    return found, False
 
 
 def select_serial(candidates: list[tuple[int, int, float]], cover: dict[int, list[tuple[int, int, int]]], ticks: dict[int, int], space: int) -> list[int]:

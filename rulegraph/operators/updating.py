@@ -8,15 +8,18 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.mdl import code_bits, error_bits
-from ..plans.build import RuleGraph, _expanded, corner_cats, link_candidates, link_key, with_profiles
+from ..plans.build import RuleGraph, _expanded, _spread_tails, link_candidates, link_key, with_profiles
 from ..storage import staged
 from .categories import Categories
-from .occurrences import NO_CORNER, chain_witnesses, latest_witnesses
+from .occurrences import NO_CORNER, all_witnesses, chain_witnesses, closure_witnesses, latest_witnesses
+from .scoring import in_sight
+from .selection import rank_candidates, saving_alone, select_passes
 
 
 @dataclass(frozen=True)
 class OnlineConfig:
-    """``refresh``: error, every_n_ticks, every_n_facts or never; ``monitor``: cumulative (as printed) or per_slice."""
+    """``refresh``: error, every_n_ticks, every_n_facts or never; ``monitor``: cumulative (as printed) or per_slice;
+    ``th_temporal`` is a bound on the score that ``time_by`` names. Without the updater graph and history stay as they are."""
 
     updater: bool = True
     refresh: str = "error"
@@ -24,6 +27,7 @@ class OnlineConfig:
     monitor: str = "cumulative"
     th_static: float = 1e-3
     th_temporal: float = 1.0
+    time_by: str = "score_time"
 
 
 def append_facts(history: DataFrame, batch: DataFrame) -> DataFrame:
@@ -60,53 +64,74 @@ def extend_categories(graph: RuleGraph, history: DataFrame, batch: DataFrame) ->
 
 
 def extend_patterns(graph: RuleGraph, categories: Categories, batch: DataFrame) -> DataFrame:
-    """Patterns with those of the batch added that shorten the description on the batch's ticks, and counts kept up."""
+    """Patterns with those of the batch added that shorten the description on the batch's ticks, and counts kept up.
+
+    What known patterns explain already counts for nothing: candidates are ranked and taken in
+    passes over the facts left open, as in building.
+    """
     facts = batch.select("s", "r", "o", "t")
-    cells = with_profiles(facts, categories.entities).groupBy("ps", "r", "po", "t").agg(F.count(F.lit(1)).alias("n"))
-    seen = _expanded(cells, categories).groupBy("cs", "r", "co", "t").agg(F.sum("n").alias("n"))
-    seen = staged(seen, "seen")
+    cells = staged(with_profiles(facts, categories.entities).groupBy("ps", "r", "po", "t").agg(F.count(F.lit(1)).alias("n")), "cells")
+    spread = staged(_expanded(cells.select("ps", "r", "po").distinct(), categories), "spread")
     known = graph.patterns.where("selected").select("cs", "r", "co")
-    ticks = facts.groupBy("t").agg(F.count(F.lit(1)).alias("n_t"))
+    mapped = spread.join(known, ["cs", "r", "co"], "left_semi").select("ps", "r", "po").distinct()
+    ticks = facts.groupBy("t").agg(F.count(F.lit(1)).alias("n_t")).join(cells.join(mapped, ["ps", "r", "po"], "left_semi").groupBy("t").agg(F.sum("n").alias("m0")), "t", "left").fillna(0, ["m0"])
+    seen = cells.join(spread, ["ps", "r", "po"]).groupBy("cs", "r", "co").agg(F.sum("n").alias("_more"))
+    kept = graph.patterns.join(seen, ["cs", "r", "co"], "left").select("cand", "cs", "r", "co", (F.col("n_assert") + F.coalesce("_more", F.lit(0))).alias("n_assert"), "selected")
+    open_ = cells.join(mapped, ["ps", "r", "po"], "left_anti")
+    cover = staged(open_.join(spread, ["ps", "r", "po"]).select(F.xxhash64("cs", "r", "co").alias("cand"), "cs", "r", "co", F.xxhash64("ps", "r", "po").alias("cell"), "t", "n"), "cover")
+    if cover.isEmpty():
+        return kept
     space = float(graph.scalars["space"])
-    gain = error_bits(space, F.lit(0), "n_t") - error_bits(space, "n", F.col("n_t") - F.col("n"))
-    saved = seen.join(known, ["cs", "r", "co"], "left_anti").join(ticks, "t").groupBy("cs", "r", "co").agg(F.sum(gain).alias("gain"), F.sum("n").alias("n_assert"))
     n_facts, n_cat = float(max(1, graph.scalars["n_facts"])), float(max(1, graph.scalars["n_categories"]))
     n_ent = float(max(1, graph.scalars["n_entities"]))
+    counts = cover.groupBy("cand", "cs", "r", "co").agg(F.sum("n").alias("n_assert"))
     size = categories.entities.groupBy("profile").agg(F.count(F.lit(1)).alias("n")).join(categories.cats, "profile").groupBy("cat").agg(F.sum("n").alias("n"))
-    costed = saved.join(size.select(F.col("cat").alias("cs"), F.col("n").alias("n_cs")), "cs").join(size.select(F.col("cat").alias("co"), F.col("n").alias("n_co")), "co")
+    costed = counts.join(size.select(F.col("cat").alias("cs"), F.col("n").alias("n_cs")), "cs").join(size.select(F.col("cat").alias("co"), F.col("n").alias("n_co")), "co")
     cost = F.log2(F.lit(n_cat)) + code_bits("n_cs", F.lit(n_ent)) + code_bits("n_co", F.lit(n_ent)) + code_bits("n_assert", F.lit(n_facts)) + 1 + 2 * F.col("n_assert") * F.log2(F.col("n_assert").cast("double"))
-    fresh = costed.where(F.col("gain") > cost).select(F.xxhash64("cs", "r", "co").alias("cand"), "cs", "r", "co", "n_assert", F.lit(True).alias("selected"))
-    more = seen.groupBy("cs", "r", "co").agg(F.sum("n").alias("_more"))
-    kept = graph.patterns.join(more, ["cs", "r", "co"], "left").select("cand", "cs", "r", "co", (F.col("n_assert") + F.coalesce("_more", F.lit(0))).alias("n_assert"), "selected")
+    own = cover.select("cand", "cell", "t", "n")
+    costed = costed.withColumn("bits", cost).join(saving_alone(own, ticks, space), "cand")
+    ranked = staged(rank_candidates(costed, graph.config.rank_by), "ranked")
+    taken, _ = select_passes(ranked.select("cand", "rank", "bits"), own, ticks, space, graph.config.passes)
+    fresh = ranked.join(taken.select("cand"), "cand", "left_semi").select("cand", "cs", "r", "co", "n_assert", F.lit(True).alias("selected"))
     # a pattern kept for time checks only becomes a selected one when it pays
-    kept = kept.join(fresh.select("cs", "r", "co"), ["cs", "r", "co"], "left_anti").select(*fresh.columns)
-    return kept.unionByName(fresh)
+    return kept.join(fresh.select("cs", "r", "co"), ["cs", "r", "co"], "left_anti").select(*fresh.columns).unionByName(fresh)
 
 
-def extend_links(graph: RuleGraph, categories: Categories, patterns: DataFrame, history: DataFrame, batch: DataFrame, horizon: int) -> tuple[DataFrame, DataFrame]:
-    """Chain links into new patterns from earlier facts of the pair, and the lags of all links that the batch follows."""
+def extend_links(graph: RuleGraph, categories: Categories, patterns: DataFrame, history: DataFrame, batch: DataFrame, window: int) -> tuple[DataFrame, DataFrame]:
+    """Chain links into new patterns from facts of the pair at most window ticks earlier, and the counts and lags of all links that the batch follows."""
     facts = batch.select(F.xxhash64("s", "r", "o", "t").alias("fact_id"), "s", "r", "o", "t").dropDuplicates(["fact_id"])
-    pairs = facts.select("s", "o").distinct()
-    past = history.join(pairs, ["s", "o"], "left_semi").select("s", "r", "o", "t").unionByName(facts.select("s", "r", "o", "t"))
-    seen = latest_witnesses(facts, chain_witnesses(past), horizon)
-    tails = with_profiles(facts, categories.entities).select("fact_id", "ps", "r", "po", "t").join(seen, "fact_id")
+    past = in_sight(history, facts, window + graph.config.L).select("s", "r", "o", "t").unionByName(facts.select("s", "r", "o", "t"))
+    witnesses = chain_witnesses(past.join(facts.select("s", "o").distinct(), ["s", "o"], "left_semi"))
+    if graph.config.closures:
+        witnesses = witnesses.unionByName(closure_witnesses(past, categories.entities, facts, graph.config.L, window))
+    seen = (all_witnesses if graph.config.heads == "all" else latest_witnesses)(facts, witnesses, window)
+    tails = staged(with_profiles(facts, categories.entities).select("fact_id", "ps", "r", "po", "t").join(seen, "fact_id"), "tails")
     found, lags = link_candidates(tails, categories, graph.config.max_links)
+    once = tails.select("fact_id", "ps", "r", "po", "wid", "corner").distinct().groupBy("ps", "r", "po", "wid", "corner").agg(F.count(F.lit(1)).alias("n"))
+    covered = _spread_tails(once, categories).groupBy(link_key()).agg(F.sum("n").alias("_cover"))
+    found = found.join(covered, "cand")
     fresh_patterns = patterns.join(graph.patterns.where("selected"), ["cs", "r", "co"], "left_anti").select("cs", "r", "co")
-    fresh = found.join(fresh_patterns, ["cs", "r", "co"], "left_semi").join(graph.links.select("cand"), "cand", "left_anti")
-    links = graph.links.select("cand", "wid", "cx", "cs", "co", "r", "n_assert").join(found.select("cand", F.col("n_assert").alias("_more")), "cand", "left")
-    links = links.select("cand", "wid", "cx", "cs", "co", "r", (F.col("n_assert") + F.coalesce("_more", F.lit(0))).alias("n_assert")).unionByName(fresh.select("cand", "wid", "cx", "cs", "co", "r", "n_assert"))
+    fresh = found.where(F.col("cx") == NO_CORNER).join(fresh_patterns, ["cs", "r", "co"], "left_semi").join(graph.links.select("cand"), "cand", "left_anti")
+    old = graph.links.select("cand", "wid", "cx", "cs", "co", "r", "n_assert", "n_cover").join(found.select("cand", F.col("n_assert").alias("_more"), "_cover"), "cand", "left")
+    old = old.select("cand", "wid", "cx", "cs", "co", "r", (F.col("n_assert") + F.coalesce("_more", F.lit(0))).alias("n_assert"), (F.col("n_cover") + F.coalesce("_cover", F.lit(0))).alias("n_cover"))
+    links = old.unionByName(fresh.select("cand", "wid", "cx", "cs", "co", "r", "n_assert", F.col("_cover").alias("n_cover")))
     merged = graph.lags.select("cand", "lag", "cnt").unionByName(lags.join(links.select("cand"), "cand", "left_semi").select("cand", "lag", "cnt"))
     return links, merged.groupBy("cand", "lag").agg(F.sum("cnt").alias("cnt"))
 
 
 def explained_ticks(facts: DataFrame, history: DataFrame, graph: RuleGraph, horizon: int | None) -> DataFrame:
-    """(t, n_facts, n_explained, error_bits) of facts: explained if mapped and led to by a link's earlier witness."""
+    """(t, n_facts, n_explained, error_bits) of facts: explained if mapped and led to by a link's earlier witness, as in building."""
     keyed = facts.select(F.xxhash64("s", "r", "o", "t").alias("fact_id"), "s", "r", "o", "t").dropDuplicates(["fact_id"])
-    pairs = keyed.select("s", "o").distinct()
-    past = history.join(pairs, ["s", "o"], "left_semi").select("s", "r", "o", "t").unionByName(keyed.select("s", "r", "o", "t"))
-    seen = latest_witnesses(keyed, chain_witnesses(past), horizon)
-    tails = with_profiles(keyed, graph.categories.entities).select("fact_id", "ps", "r", "po").join(seen, "fact_id").join(corner_cats(graph.categories), "corner")
-    led = _expanded(tails, graph.categories).join(graph.links.select("wid", "cx", "cs", "co", "r"), ["wid", "cx", "cs", "co", "r"], "left_semi").select("fact_id").distinct()
+    past = in_sight(history, keyed, None if horizon is None else horizon + graph.config.L).select("s", "r", "o", "t").unionByName(keyed.select("s", "r", "o", "t"))
+    witnesses = chain_witnesses(past.join(keyed.select("s", "o").distinct(), ["s", "o"], "left_semi"))
+    if graph.config.closures:
+        witnesses = witnesses.unionByName(closure_witnesses(past, graph.categories.entities, keyed, graph.config.L, horizon))
+    seen = latest_witnesses(keyed, witnesses, horizon)
+    cells = with_profiles(keyed, graph.categories.entities).select("fact_id", "ps", "r", "po")
+    mapped = _expanded(cells.select("ps", "r", "po").distinct(), graph.categories).join(graph.patterns.where("selected").select("cs", "r", "co"), ["cs", "r", "co"], "left_semi").select("ps", "r", "po").distinct()
+    tails = cells.join(mapped, ["ps", "r", "po"], "left_semi").join(seen, "fact_id")
+    kinds = _spread_tails(tails.select("ps", "r", "po", "wid", "corner").distinct(), graph.categories).join(graph.links.select("wid", "cx", "cs", "co", "r"), ["wid", "cx", "cs", "co", "r"], "left_semi").select("ps", "r", "po", "wid", "corner").distinct()
+    led = tails.join(kinds, ["ps", "r", "po", "wid", "corner"], "left_semi").select("fact_id").distinct()
     ticks = keyed.join(led.withColumn("e", F.lit(1)), "fact_id", "left").groupBy("t").agg(F.count(F.lit(1)).alias("n_facts"), F.count("e").alias("n_explained"))
     return ticks.withColumn("error_bits", error_bits(float(graph.scalars["space"]), "n_explained", F.col("n_facts") - F.col("n_explained")))
 
@@ -126,10 +151,10 @@ def should_refresh(online: dict, offline: dict, config: OnlineConfig) -> bool:
 
 def update(graph: RuleGraph, history: DataFrame, batch: DataFrame) -> tuple[RuleGraph, DataFrame]:
     """(graph, history) after valid facts arrived. Patterns, links and categories only ever grow."""
-    horizon = graph.config.horizon or 1 << 40
+    window = graph.config.horizon if graph.config.horizon is not None else graph.config.L
     categories = extend_categories(graph, history, batch)
     patterns = staged(extend_patterns(graph, categories, batch), "patterns")
-    links, lags = extend_links(graph, categories, patterns, history, batch, horizon)
+    links, lags = extend_links(graph, categories, patterns, history, batch, window)
     fresh = replace_graph(graph, categories, patterns, staged(links, "links"), staged(lags, "lags"))
     return fresh, append_facts(history, batch)
 

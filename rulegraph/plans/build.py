@@ -10,14 +10,20 @@ from pyspark.sql import functions as F
 
 from ..functions.mdl import code_bits, error_bits, header_bits
 from ..operators import categories as cats
-from ..operators.occurrences import NO_CORNER, chain_witnesses, closure_witnesses, latest_witnesses
-from ..operators.selection import entropy_bits, rank_candidates, saving_alone, select_fixpoint
+from ..operators.occurrences import NO_CORNER, all_witnesses, chain_witnesses, closure_witnesses, latest_witnesses
+from ..operators.selection import entropy_bits, rank_candidates, saving_alone, select_passes
 from ..storage import staged
 
 
 @dataclass(frozen=True)
 class BuildConfig:
-    """``L``: ticks between the two legs of a closure; ``horizon``: ticks a witness stays of interest (None: ever)."""
+    """``L``: ticks between the two legs of a closure; ``horizon``: ticks a witness stays of interest (None: ever).
+
+    ``heads``: link assertions pair a fact with ``all`` earlier witnesses in the horizon or with the
+    ``latest`` of each kind. ``assertion_cost``: ``conditional`` or ``printed``. ``criterion``: bits of model and
+    assertions count (``total``) or assertions only (``data``). ``passes``: at most so many over
+    the candidates; None until a pass adds nothing.
+    """
 
     categories: cats.CategoryConfig = field(default_factory=cats.CategoryConfig)
     kinds_known: bool = False
@@ -28,7 +34,8 @@ class BuildConfig:
     rank_by: str = "error_reduction"
     criterion: str = "total"
     assertion_cost: str = "conditional"
-    passes: int = 1
+    passes: int | None = None
+    heads: str = "all"
 
 
 @dataclass
@@ -42,6 +49,8 @@ class RuleGraph:
     slices: DataFrame
     scalars: dict
     config: BuildConfig
+    #: Small tables worked out from the graph (weights and fits of links), by score settings.
+    memo: dict = field(default_factory=dict, compare=False, repr=False)
 
     def save(self, path: str) -> None:
         """One folder a version; the scalars are written last and mark it complete."""
@@ -101,9 +110,9 @@ def pattern_model_bits(patterns: DataFrame, facts: DataFrame, categories: cats.C
     return out.withColumn("bits_model", bits).drop("n_cs", "n_co", "n_r")
 
 
-def pattern_data_bits(facts: DataFrame, categories: cats.Categories) -> DataFrame:
-    """(cs, r, co, bits_data): codes of subjects and objects among a pattern's assertions."""
-    held = with_profiles(facts, categories.entities)
+def pattern_data_bits(facts: DataFrame, categories: cats.Categories, held: DataFrame | None = None) -> DataFrame:
+    """(cand, bits_data): codes of subjects and objects among a pattern's assertions; ``held`` are facts with profiles."""
+    held = with_profiles(facts, categories.entities) if held is None else held
     key = F.xxhash64("cs", "r", "co").alias("cand")
     ends = []
     for end in ("s", "o"):
@@ -113,90 +122,112 @@ def pattern_data_bits(facts: DataFrame, categories: cats.Categories) -> DataFram
     return ends[0].join(ends[1], "cand").select("cand", (F.col("bits_s") + F.col("bits_o")).alias("bits_data"))
 
 
-def _select(candidates: DataFrame, cover: DataFrame, ticks: DataFrame, space: float, config: BuildConfig) -> DataFrame:
-    """Ranked candidates with saving, rank, gain and selected; further passes put accepted ones first."""
+def _select(candidates: DataFrame, cover: DataFrame, ticks: DataFrame, space: float, config: BuildConfig, bits_given=None) -> tuple[DataFrame, bool]:
+    """Ranked candidates with saving, n_cover, rank, gain and selected, and whether the passes converged."""
     saved = candidates.join(saving_alone(cover, ticks, space), "cand", "left").fillna({"saving": 0.0, "n_cover": 0})
     ranked = staged(rank_candidates(saved, config.rank_by), "ranked")
-    taken = None
-    for _ in range(config.passes):
-        now = ranked if taken is None else ranked.join(taken.select("cand", F.lit(1).alias("_in")), "cand", "left").withColumn("bits", F.when(F.col("_in") == 1, F.lit(float("-inf"))).otherwise(F.col("bits"))).withColumn("rank", F.col("rank") + F.when(F.col("_in") == 1, 0).otherwise(1 << 40)).drop("_in")
-        found = select_fixpoint(now, cover, ticks, space)
-        if taken is not None and found.count() == taken.count():
-            break
-        taken = found
-    return ranked.join(taken.withColumn("selected", F.lit(True)), "cand", "left").withColumn("selected", F.coalesce("selected", F.lit(False)))
+    taken, converged = select_passes(ranked.select("cand", "rank", "bits", *(["bits_data"] if bits_given else [])), cover, ticks, space, config.passes, bits_given)
+    return ranked.join(taken.withColumn("selected", F.lit(True)), "cand", "left").withColumn("selected", F.coalesce("selected", F.lit(False))), converged
+
+
+@dataclass
+class Occurrences:
+    """What building needs before categories are chosen: builds that differ later share one.
+
+    ``held``: facts with profiles of both ends; ``tails``: (fact_id, pair, ps, r, po, t, wid, corner, lag, t_seen).
+    """
 
+    facts: DataFrame
+    entities: DataFrame
+    ticks: DataFrame
+    held: DataFrame
+    tails: DataFrame
 
-def build(facts: DataFrame, config: BuildConfig | None = None, witness_facts: DataFrame | None = None) -> RuleGraph:
-    """The rule graph of facts (s, r, o, t).
+
+def prepare(facts: DataFrame, config: BuildConfig, witness_facts: DataFrame | None = None) -> Occurrences:
+    """Profiles and witnesses of facts (s, r, o, t).
 
     ``witness_facts`` replaces facts where witnesses are looked for (duration facts use
     another of their two times there).
     """
-    config = config or BuildConfig()
     facts = staged(facts.select(F.xxhash64("s", "r", "o", "t").alias("fact_id"), "s", "r", "o", "t"), "facts")
-    categories = cats.by_kind(facts) if config.kinds_known else cats.learn(facts, config.categories)
-    n_rel = facts.select("r").distinct().count()
-    n_ent = categories.entities.count()
-    n_cat = categories.cats.select("cat").distinct().count()
-    space = float(n_ent) ** 2 * n_rel
+    entities = cats.by_kind(facts).entities if config.kinds_known else staged(cats.entity_profiles(cats.entity_relations(facts, config.categories.roles)), "entities")
     ticks = staged(facts.groupBy("t").agg(F.count(F.lit(1)).alias("n_t")), "ticks")
-    held = staged(with_profiles(facts, categories.entities), "held")
+    held = staged(with_profiles(facts, entities.select("eid", "profile")), "held")
+    source = facts if witness_facts is None else witness_facts
+    witnesses = chain_witnesses(source)
+    if config.closures:
+        witnesses = witnesses.unionByName(closure_witnesses(source, entities, facts, config.L, config.horizon))
+    seen = (all_witnesses if config.heads == "all" else latest_witnesses)(facts, witnesses, config.horizon)
+    tails = held.select("fact_id", F.xxhash64("s", "o").alias("pair"), "ps", "r", "po", "t").join(seen, "fact_id")
+    return Occurrences(facts, entities, ticks, held, staged(tails, "tails"))
+
+
+def build(facts: DataFrame, config: BuildConfig | None = None, witness_facts: DataFrame | None = None, prepared: Occurrences | None = None) -> RuleGraph:
+    """The rule graph of facts (s, r, o, t); ``prepared`` may come from a build with closures and the same window, horizon and heads."""
+    config = config or BuildConfig()
+    own = prepared or prepare(facts, config, witness_facts)
+    facts, ticks, held = own.facts, own.ticks, own.held
+    tails = own.tails if config.closures else own.tails.where(F.col("corner") == NO_CORNER)
+    categories = cats.by_kind(facts) if config.kinds_known else cats.learn(facts, config.categories, own.entities)
+    n_rel, n_facts = facts.agg(F.countDistinct("r"), F.count(F.lit(1))).first()
+    n_ent, n_cat = categories.entities.count(), categories.cats.select("cat").distinct().count()
+    space = float(n_ent) ** 2 * n_rel
 
     # patterns: a fact is explained when it is mapped
     cells = held.groupBy("ps", "r", "po", "t").agg(F.count(F.lit(1)).alias("n")).withColumn("cell", F.xxhash64("ps", "r", "po"))
     spread = staged(_expanded(cells, categories).select(F.xxhash64("cs", "r", "co").alias("cand"), "cs", "r", "co", "cell", "t", "n"), "spread")
     patterns = spread.groupBy("cand", "cs", "r", "co").agg(F.sum("n").alias("n_assert"))
-    patterns = pattern_model_bits(patterns, facts, categories).join(pattern_data_bits(facts, categories), "cand")
+    patterns = pattern_model_bits(patterns, facts, categories).join(pattern_data_bits(facts, categories, held), "cand")
     bits = F.col("bits_data") + (F.col("bits_model") if config.criterion == "total" else F.lit(0.0))
-    patterns = _select(staged(patterns.withColumn("bits", bits), "patterns"), spread.select("cand", "cell", "t", "n"), ticks, space, config)
+    patterns, settled = _select(staged(patterns.withColumn("bits", bits), "patterns"), spread.select("cand", "cell", "t", "n"), ticks, space, config)
     patterns = staged(patterns, "patterns")
 
     # links: a mapped fact is explained when something before it leads to it
     chosen = patterns.where("selected").select("cs", "r", "co")
     mapped = _expanded(held.select("ps", "r", "po").distinct(), categories).join(chosen, ["cs", "r", "co"], "left_semi").select("ps", "r", "po").distinct()
-    source = facts if witness_facts is None else witness_facts
-    witnesses = chain_witnesses(source)
-    if config.closures:
-        pairs = facts.select("s", "o").distinct()
-        witnesses = witnesses.unionByName(closure_witnesses(source, categories.entities, pairs, config.L))
-    seen = latest_witnesses(facts, witnesses, config.horizon)
-    tails = staged(held.select("fact_id", "ps", "r", "po", "t").join(seen, "fact_id"), "tails")
     links, lags = link_candidates(tails, categories, config.max_links)
     links, lags = staged(links, "links"), staged(lags, "lags")
-    choices = tails.groupBy("fact_id").agg(F.count(F.lit(1)).alias("choices"))
-    coded = tails.join(choices, "fact_id")
-    data = link_data_bits(coded, lags, categories, links, config.assertion_cost)
-    links = links.join(data, "cand")
-    n_links = max(1, links.count())
-    role = lambda c: F.log2(F.lit(float(n_links)) / F.col(c))
-    heads = links.groupBy("wid", "cx", "cs", "co").agg(F.count(F.lit(1)).alias("n_head"))
-    ends = links.groupBy("cs", "r", "co").agg(F.count(F.lit(1)).alias("n_tail"))
-    links = links.join(heads, ["wid", "cx", "cs", "co"]).join(ends, ["cs", "r", "co"])
-    model = F.log2(F.lit(float(n_links))) + role("n_head") * F.when(F.col("cx") == NO_CORNER, 1).otherwise(2) + role("n_tail") + 1
-    links = links.withColumn("bits_model", model).drop("n_head", "n_tail")
-    links = links.withColumn("bits", F.col("bits_data") + (F.col("bits_model") if config.criterion == "total" else F.lit(0.0)))
+    links = links.join(link_data_bits(tails, lags, categories, links, config.assertion_cost), "cand")
+    priced = lambda df, among: link_model_bits(df, among).withColumn("bits", F.col("bits_data") + (F.col("bits_model") if config.criterion == "total" else F.lit(0.0)))
+    links = staged(priced(links, links), "links")
     groups = tails.groupBy("fact_id", "ps", "r", "po", "t").agg(F.sort_array(F.collect_set(F.struct("wid", "corner"))).alias("before"))
     groups = groups.join(mapped, ["ps", "r", "po"], "left_semi").groupBy("ps", "r", "po", "before", "t").agg(F.count(F.lit(1)).alias("n"))
     cells = groups.withColumn("cell", F.xxhash64("ps", "r", "po", "before")).select("cell", "ps", "r", "po", "t", "n", F.explode("before").alias("b")).select("cell", "ps", "r", "po", "t", "n", "b.wid", "b.corner")
     cover = staged(link_cover(cells, categories, links.select("cand", "wid", "cx", "cs", "co", "r")), "cover")
-    links = staged(_select(staged(links, "links"), cover, ticks, space, config), "links")
+    roles = links.select("cand", "wid", "cx", "cs", "co", "r")
+    again = lambda df, found: priced(df.select("cand", "rank", "bits_data").join(roles, "cand"), roles.join(found.select("cand"), "cand", "left_semi")).select("cand", "rank", "bits", "bits_data")
+    links, linked = _select(links, cover, ticks, space, config, again)
+    links = staged(links, "links")
 
     # what the accepted links explain, tick by tick
-    explained = cover.join(links.where("selected").select("cand"), "cand", "left_semi").select("cell", "t", "n").distinct().groupBy("t").agg(F.sum("n").alias("n_explained"))
+    keep = links.where("selected")
+    keep = staged(link_model_bits(keep.drop("bits_model"), keep), "chosen")
+    explained = cover.join(keep.select("cand"), "cand", "left_semi").select("cell", "t", "n").distinct().groupBy("t").agg(F.sum("n").alias("n_explained"))
     slices = ticks.join(explained, "t", "left").select("t", F.col("n_t").alias("n_facts"), F.coalesce("n_explained", F.lit(0)).alias("n_explained"))
     slices = staged(slices.withColumn("error_bits", error_bits(space, "n_explained", F.col("n_facts") - F.col("n_explained"))), "slices")
     totals = slices.agg(F.sum("error_bits"), F.sum("n_explained"), F.sum("n_facts"), F.max("t"), F.count(F.lit(1))).first()
-    own = lambda df: df.where("selected").agg(F.coalesce(F.sum("bits_model"), F.lit(0.0)), F.coalesce(F.sum("bits_data"), F.lit(0.0)), F.count(F.lit(1))).first()
-    p, q = own(patterns), own(links)
-    scalars = {"n_entities": n_ent, "n_relations": n_rel, "n_categories": n_cat, "space": space, "t_end": totals[3], "n_ticks": totals[4], "header_bits": header_bits(n_cat, n_rel), "model_bits": p[0] + q[0], "assertion_bits": p[1] + q[1], "error_bits": totals[0] or 0.0, "n_patterns": p[2], "n_links": q[2], "n_facts": totals[2] or 0, "explained_share": (totals[1] or 0) / max(1, totals[2] or 0)}
+    costs = lambda df: df.agg(F.coalesce(F.sum("bits_model"), F.lit(0.0)), F.coalesce(F.sum("bits_data"), F.lit(0.0)), F.count(F.lit(1))).first()
+    p, q = costs(patterns.where("selected")), costs(keep)
+    scalars = {"n_entities": n_ent, "n_relations": n_rel, "n_categories": n_cat, "space": space, "t_end": totals[3], "n_ticks": totals[4], "header_bits": header_bits(n_cat, n_rel), "model_bits": p[0] + q[0], "assertion_bits": p[1] + q[1], "error_bits": totals[0] or 0.0, "n_patterns": p[2], "n_links": q[2], "n_facts": n_facts, "explained_share": (totals[1] or 0) / max(1, totals[2] or 0), "converged": settled and linked}
     scalars["total_bits"] = scalars["header_bits"] + scalars["model_bits"] + scalars["assertion_bits"] + scalars["error_bits"]
-    keep = links.where("selected")
     # patterns that only links bring in serve time checks, never static evidence
     only = keep.select("cs", "r", "co").distinct().join(patterns.where("selected"), ["cs", "r", "co"], "left_anti")
-    extra = patterns.join(only, ["cs", "r", "co"], "left_semi")
-    kept = patterns.where("selected").unionByName(extra)
-    return RuleGraph(categories, staged(kept, "patterns"), staged(keep, "links"), staged(lags.join(keep.select("cand"), "cand", "left_semi"), "lags"), slices, scalars, config)
+    kept = patterns.where("selected").unionByName(patterns.join(only, ["cs", "r", "co"], "left_semi"))
+    return RuleGraph(categories, staged(kept, "patterns"), keep, staged(lags.join(keep.select("cand"), "cand", "left_semi"), "lags"), slices, scalars, config)
+
+
+def link_model_bits(links: DataFrame, among: DataFrame) -> DataFrame:
+    """Adds bits_model: codes of a link's head (twice for the two legs of a closure) and tail by their frequency
+    in the set ``among`` with the link put in, and the direction."""
+    total = max(1, among.count())
+    heads = among.groupBy("wid", "cx", "cs", "co").agg(F.count(F.lit(1)).alias("n_head"))
+    ends = among.groupBy("cs", "r", "co").agg(F.count(F.lit(1)).alias("n_tail"))
+    inside = links.join(heads, ["wid", "cx", "cs", "co"], "left").join(ends, ["cs", "r", "co"], "left").join(among.select("cand", F.lit(1).alias("_in")), "cand", "left")
+    more = 1 - F.coalesce("_in", F.lit(0))  # a link outside of the set is counted as put in
+    role = lambda c: F.log2((F.lit(total) + more) / (F.coalesce(c, F.lit(0)) + more))
+    bits = F.log2((F.lit(total) + more).cast("double")) + role("n_head") * F.when(F.col("cx") == NO_CORNER, 1).otherwise(2) + role("n_tail") + 1
+    return inside.withColumn("bits_model", bits).drop("n_head", "n_tail", "_in")
 
 
 def corner_cats(categories: cats.Categories) -> DataFrame:
@@ -230,14 +261,18 @@ def cap_links(links: DataFrame, max_links: int = 50_000) -> DataFrame:
 
 
 def link_data_bits(tails: DataFrame, lags: DataFrame, categories: cats.Categories, links: DataFrame, cost: str) -> DataFrame:
-    """(cand, bits_data): ``printed`` codes head and tail facts among the link's assertions; ``conditional`` codes
-    which of a tail's earlier witnesses leads to it, and the lag."""
+    """(cand, bits_data): ``printed`` codes head and tail facts by their frequency among the link's assertions (the two
+    legs of a closure as one); ``conditional`` codes which of a tail's earlier witnesses leads to it, and the lag."""
     if cost == "printed":
-        # each tail has one (latest) head here, so tails are distinct and heads repeat with their time
-        n = links.select("cand", F.col("n_assert").cast("double").alias("n"), F.when(F.col("cx") == NO_CORNER, 2).otherwise(3).alias("ends"))
-        return n.select("cand", (F.col("ends") * F.col("n") * F.log2("n")).alias("bits_data"))
+        sides = []
+        for side, who in (("head", F.xxhash64("pair", "wid", "corner", "t_seen")), ("tail", F.col("fact_id"))):
+            counts = tails.groupBy("ps", "r", "po", "wid", "corner", who.alias("who")).agg(F.count(F.lit(1)).alias("n"))
+            counts = _spread_tails(counts, categories).groupBy(link_key(), "who").agg(F.sum("n").alias("n"))
+            sides.append(entropy_bits(counts.join(links.select("cand"), "cand", "left_semi"), "cand").withColumnRenamed("bits", side))
+        return sides[0].join(sides[1], "cand").select("cand", (F.col("head") + F.col("tail")).alias("bits_data"))
     lag = entropy_bits(lags.select("cand", F.col("cnt").alias("n")), "cand")
-    pick = tails.groupBy("ps", "r", "po", "wid", "corner").agg(F.sum(F.log2(F.col("choices").cast("double"))).alias("b"))
+    choices = tails.groupBy("fact_id").agg(F.count(F.lit(1)).alias("choices"))
+    pick = tails.join(choices, "fact_id").groupBy("ps", "r", "po", "wid", "corner").agg(F.sum(F.log2(F.col("choices").cast("double"))).alias("b"))
     pick = _spread_tails(pick, categories).groupBy(link_key()).agg(F.sum("b").alias("b"))
     return lag.join(pick, "cand").select("cand", (F.col("bits") + F.col("b")).alias("bits_data"))
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
+from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -24,26 +24,56 @@ def duration_graphs(dfacts: DataFrame, config: BuildConfig | None = None) -> dic
     """A rule graph for each combination: heads are looked for with one time, tails stand at the other."""
     config = config or BuildConfig()
     config = replace(config, closures=False)
-    return {name: build(side(dfacts, tail), config, witness_facts=side(dfacts, head)) for name, (head, tail) in SIDES.items()}
+    from .workloads import together
+
+    return dict(zip(SIDES, together([lambda h=head, t=tail: build(side(dfacts, t), config, witness_facts=side(dfacts, h)) for head, tail in SIDES.values()]), strict=True))
 
 
 def duration_scores(dfacts: DataFrame, history: DataFrame, graphs: dict[str, RuleGraph], config: sc.ScoreConfig | None = None) -> DataFrame:
-    """(s, r, o, t_start, t_end) with the mean of the four scores (as negative evidence) and the static one."""
+    """(s, r, o, t_start, t_end) with the mean of the four time scores, the static one, and in how many graphs a fact
+    lacks the evidence expected of it (``failed``) and has next to no conflict (``calm``)."""
+    from .workloads import together
+
     config = replace(config or sc.ScoreConfig(), closures=False)
     keyed = dfacts.withColumn("key", F.xxhash64("s", "r", "o", "t_start", "t_end"))
-    parts = []
-    for name, (head, tail) in SIDES.items():
-        facts = sc.identified(side(dfacts, tail))
-        found = sc.score(facts, side(history, head), graphs[name], config)
+
+    def one(name: str) -> DataFrame:
+        head, tail = SIDES[name]
+        found = sc.score(sc.identified(side(dfacts, tail)), side(history, head), graphs[name], config)
         own = keyed.select("key", "s", "r", "o", F.col(tail).alias("t")).join(found, ["s", "r", "o", "t"])
-        parts.append(own.select("key", "ev_static", (-F.coalesce("ev_temporal", F.lit(0.0)) / (1 + F.col("n_out"))).alias("temporal"), (F.coalesce("ev_temporal", F.lit(0.0)) == 0).cast("int").alias("bare"), F.lit(name).alias("graph")))
-    all_ = parts[0]
+        lacking = (F.col("expected") > 0) & (F.coalesce("ev_temporal", F.lit(0.0)) == 0)
+        return staged(own.select("key", "ev_static", F.coalesce("score_time", F.lit(1.0)).alias("temporal"), lacking.cast("int").alias("failed"), (F.col("n_out") == 0).cast("int").alias("calm")), "side")
+
+    parts = together([lambda n=n: one(n) for n in SIDES])
+    every = parts[0]
     for p in parts[1:]:
-        all_ = all_.unionByName(p)
-    mean = all_.groupBy("key").agg(F.avg("temporal").alias("score_temporal"), (-F.avg("ev_static")).alias("score_static"), F.sum("bare").alias("graphs_without_evidence"))
+        every = every.unionByName(p)
+    mean = every.groupBy("key").agg(F.avg("temporal").alias("score_temporal"), (-F.avg("ev_static")).alias("score_static"), F.sum("failed").alias("failed"), F.sum("calm").alias("calm"))
     return keyed.join(mean, "key").drop("key")
 
 
+def missing_everywhere(dfacts: DataFrame, history: DataFrame, graphs: dict[str, RuleGraph], config: sc.ScoreConfig | None = None) -> DataFrame:
+    """(s, r, o, support, askers): what cannot be instantiated in any of the four graphs: precursors of facts that fail in all
+    of them, for facts without a conflict there."""
+    from .workloads import together
+
+    config = replace(config or sc.ScoreConfig(), closures=False)
+
+    def one(name: str) -> DataFrame:
+        head, tail = SIDES[name]
+        facts, past = sc.identified(side(dfacts, tail)), side(history, head)
+        trace, nodes, seen = sc.walk(facts, past, graphs[name], config)
+        calm = facts.join(sc.out_edges(nodes, graphs[name], seen), "fact_id", "left_anti")
+        return staged(sc.missing_precursors(calm, graphs[name], trace).groupBy("s", "r", "o").agg(F.sum("n_assert").alias("support"), F.countDistinct("asker").alias("askers")).withColumn("graph", F.lit(name)), "failed")
+
+    parts = together([lambda n=n: one(n) for n in SIDES])
+    every = parts[0]
+    for p in parts[1:]:
+        every = every.unionByName(p)
+    found = every.groupBy("s", "r", "o").agg(F.count(F.lit(1)).alias("_graphs"), F.sum("support").alias("support"), F.max("askers").alias("askers")).where(F.col("_graphs") == len(SIDES)).drop("_graphs")
+    return found.join(history.select("s", "r", "o").distinct(), ["s", "r", "o"], "left_anti")
+
+
 def explained_share_by_graph(graphs: dict[str, RuleGraph]) -> list[tuple[str, float]]:
     return [(name, round(g.scalars["explained_share"], 6)) for name, g in graphs.items()]
 
@@ -76,27 +106,81 @@ def perturb_duration(dfacts: DataFrame, known: DataFrame, rate: float = 0.15, sa
     return made.join(known.select(*text), list(text), "left_anti").select(*text)
 
 
-def duration_experiment(dfacts: DataFrame, config: BuildConfig, score: sc.ScoreConfig) -> list[tuple]:
-    """Measures for conceptual and time errors with four graphs, and for time errors with each flattening."""
-    from .workloads import measured
+@dataclass
+class DurationCase:
+    """Duration facts split by start, with marked errors: kind is valid, conceptual, time, gone or absent."""
 
+    facts: DataFrame
+    offline: DataFrame
+    parts: dict[str, DataFrame]
+
+
+def duration_case(dfacts: DataFrame, rate: float = 0.15) -> DurationCase:
     dfacts = staged(dfacts, "dfacts")
-    ticks = dfacts.select(F.col("t_start").alias("t")).distinct().orderBy("t")
-    n = ticks.count()
-    cut = ticks.limit(int(n * 0.6)).agg(F.max("t")).first()[0]
-    middle = ticks.limit(int(n * 0.7)).agg(F.max("t")).first()[0]
-    offline = staged(dfacts.where(F.col("t_start") <= cut), "offline")
-    parts = {"validation": dfacts.where((F.col("t_start") > cut) & (F.col("t_start") <= middle)), "test": dfacts.where(F.col("t_start") > middle)}
-    graphs = duration_graphs(offline, config)
-    out = []
-    held: dict[str, dict[str, DataFrame]] = {"conceptual": {}, "time": {}}
-    for part, clean in parts.items():
-        swapped = ev.inject_conceptual(side(clean, "t_start"), side(dfacts, "t_start"), salt=f"c-{part}").select("s", "r", "o", F.col("t").alias("t_start"), (F.col("t") + 30).alias("t_end"))
-        moved = perturb_duration(clean, dfacts, salt=f"d-{part}")
-        for kind, bad, column in (("conceptual", swapped, "score_static"), ("time", moved, "score_temporal")):
-            asked = clean.withColumn("label", F.lit(0)).unionByName(bad.withColumn("label", F.lit(1)))
-            found = duration_scores(asked.drop("label").distinct(), offline.unionByName(clean), graphs, score)
-            held[kind][part] = staged(asked.join(found, ["s", "r", "o", "t_start", "t_end"]).select("label", F.col(column).alias("score")), part)
-    for kind in held:
-        out += measured("validity", "four graphs", {kind: ev.measure(held[kind]["validation"], held[kind]["test"])})
-    return out
+    cut = staged(ev.time_split(side(dfacts, "t_start"), (0.6, 0.1, 0.3)).select("t", "part").distinct().withColumnRenamed("t", "t_start"), "cut")
+    dated = dfacts.join(cut, "t_start")
+    columns = ["s", "r", "o", "t_start", "t_end"]
+    parts = {}
+    for part in ("validation", "test"):
+        clean = dated.where(F.col("part") == part).select(*columns)
+        length = clean.groupBy("s", "o", "t_start").agg(F.max(F.col("t_end") - F.col("t_start")).alias("_d"))
+
+        def swapped(salt, clean=clean, length=length):
+            made = ev.inject_conceptual(side(clean, "t_start"), side(dfacts, "t_start"), rate, salt)
+            return made.join(length, (made["s"] == length["s"]) & (made["o"] == length["o"]) & (made["t"] == length["t_start"]), "left").select(made["s"], made["r"], made["o"], made["t"].alias("t_start"), (made["t"] + F.coalesce("_d", F.lit(30))).alias("t_end"))
+
+        kinds = [clean.withColumn("kind", F.lit("valid")), swapped(f"c-{part}").withColumn("kind", F.lit("conceptual")), perturb_duration(clean, dfacts, rate, f"d-{part}").withColumn("kind", F.lit("time")), swapped(f"ac-{part}").withColumn("kind", F.lit("absent")), perturb_duration(clean, dfacts, rate, f"ad-{part}").withColumn("kind", F.lit("absent"))]
+        every = kinds[0]
+        for k in kinds[1:]:
+            every = every.unionByName(k)
+        every = every.groupBy(*columns).agg(F.max("kind").alias("kind"))
+        parts[part] = staged(every.withColumn("deleted", (F.col("kind") == "valid") & (ev.draw(f"m-{part}", *columns) < int(rate * 16**8))), part)
+    return DurationCase(dfacts, staged(dated.where("part = 'offline'").select(*columns), "offline"), parts)
+
+
+def _measures(method: str, found: dict[str, DataFrame]) -> list[tuple]:
+    """Measures of scored parts (kind, deleted, score_static, score_temporal) for all three kinds."""
+    from .workloads import measured
+
+    out = {}
+    for kind, good, score in (("conceptual", F.col("kind") == "conceptual", F.col("score_static")), ("time", F.col("kind") == "time", F.col("score_temporal")), ("missing", F.col("deleted"), -F.col("score_temporal") + F.log2(1 - F.col("score_static")) / 64)):
+        bad = (F.col("kind") == "absent") if kind == "missing" else (F.col("kind") == "valid")
+        one = lambda df: df.where(good | bad).select(good.cast("int").alias("label"), score.alias("score"))  # noqa: B023, E731
+        out[kind] = ev.measure(one(found["validation"]), one(found["test"]))
+    return measured("validity", method, out)
+
+
+def duration_experiment(case: DurationCase, config: BuildConfig, score: sc.ScoreConfig, graphs: dict[str, RuleGraph] | None = None) -> list[tuple]:
+    """Measures of the four graphs together for all three kinds, with the facts before a part and its undeleted valid ones as history."""
+    graphs = graphs or duration_graphs(case.offline, config)
+    columns = ["s", "r", "o", "t_start", "t_end"]
+    found = {}
+    for part, asked in case.parts.items():
+        past = case.offline if part == "validation" else case.offline.unionByName(case.parts["validation"].where("kind = 'valid'").select(*columns))
+        history = past.unionByName(asked.where("kind = 'valid' and not deleted").select(*columns))
+        found[part] = staged(asked.join(duration_scores(asked.select(*columns), history, graphs, score), columns), part)
+    return _measures("four graphs", found)
+
+
+def flattening_experiment(case: DurationCase, how: str, config: BuildConfig, score: sc.ScoreConfig) -> list[tuple]:
+    """The same with one graph over flattened facts; a fact of two points has the larger of their time scores."""
+    columns = ["s", "r", "o", "t_start", "t_end"]
+    graph = build(flatten_duration(case.offline, how), replace(config, closures=False))
+    found = {}
+    for part, asked in case.parts.items():
+        past = case.offline if part == "validation" else case.offline.unionByName(case.parts["validation"].where("kind = 'valid'").select(*columns))
+        history = flatten_duration(past.unionByName(asked.where("kind = 'valid' and not deleted").select(*columns)), how)
+        points = _points(asked, how)
+        scored = sc.score(sc.identified(points.select("s", "r", "o", "t").distinct()), history, graph, replace(score, closures=False))
+        joined = points.join(scored.drop("fact_id"), ["s", "r", "o", "t"])
+        one = joined.groupBy("key").agg(F.max(F.coalesce("score_time", F.lit(1.0))).alias("score_temporal"), F.max(-F.col("ev_static")).alias("score_static"))
+        found[part] = staged(asked.withColumn("key", F.xxhash64(*columns)).join(one, "key"), part)
+    return _measures(how, found)
+
+
+def _points(asked: DataFrame, how: str) -> DataFrame:
+    """(key, s, r, o, t) of duration facts under a flattening."""
+    keyed = asked.withColumn("key", F.xxhash64("s", "r", "o", "t_start", "t_end"))
+    at = {"start": [("", F.col("t_start"))], "end": [("", F.col("t_end"))], "midpoint": [("", F.floor((F.col("t_start") + F.col("t_end")) / 2))], "two-point": [("start:", F.col("t_start")), ("end:", F.col("t_end"))]}[how]
+    parts = [keyed.select("key", "s", F.concat(F.lit(mark), F.col("r").cast("string")).alias("r"), "o", t.alias("t")) for mark, t in at]
+    return parts[0] if len(parts) == 1 else parts[0].unionByName(parts[1])

@@ -14,14 +14,16 @@ from ..operators import categories as cats
 from ..operators import evaluation as ev
 from ..operators import occurrences as oc
 from ..operators import scoring as sc
-from ..operators.updating import OnlineConfig
+from ..operators.updating import OnlineConfig, explained_ticks
 from ..sources import facts as fx
+from ..storage import staged
 from ..streaming import online
 from . import duration as du
 from . import workloads as wl
-from .build import BuildConfig, RuleGraph, build, map_patterns, pattern_data_bits, pattern_model_bits
+from .build import BuildConfig, RuleGraph, build, link_candidates, link_data_bits, map_patterns, pattern_data_bits, pattern_model_bits, with_profiles
+from .build import link_model_bits as priced_links
 from .build import pattern_counts as counted
-from .oracles import FACTS, KINDS, PATTERNS, draw, over
+from .oracles import FACTS, KINDS, PATTERNS, choose, draw, over
 from .queries import query, r6
 
 _HELD: dict[tuple, object] = {}
@@ -43,6 +45,11 @@ def graph(spark, d, name) -> RuleGraph:
     return held(spark, d, name, "graph", lambda: build(exp(spark, d, name).offline, wl.build_config(name)))
 
 
+def run(spark, d, name) -> wl.Run:
+    """The whole method over the test part, with the updater: made once, other experiments rest on the history it kept."""
+    return held(spark, d, name, "run", lambda: wl.detect(exp(spark, d, name), graph(spark, d, name), wl.score_config(name)))
+
+
 # ---- parts of the method that SQL can follow ---------------------------------------------------------------
 
 
@@ -77,36 +84,81 @@ def pattern_assertion_bits(spark, d):
     return keyed.select("cs", "r", "co", F.round("bits_data", 3).alias("bits_data"))
 
 
-_LINKS = """wit AS (SELECT f.s, f.o, f.r, f.t, h.r AS r_head, f.t - max(h.t) AS lag FROM facts f JOIN facts h ON f.s = h.s AND f.o = h.o AND h.t < f.t GROUP BY f.s, f.o, f.r, f.t, h.r),
-lk AS (SELECT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r, count(*) AS n FROM wit WHERE lag <= 30 GROUP BY ALL)"""
+def all_links(facts: DataFrame, horizon: int) -> RuleGraph:
+    """All patterns and all chain links of a horizon, kinds as categories: the model before any selection."""
+    by = cats.by_kind(facts)
+    keyed = fx.with_ids(facts)
+    tails = with_profiles(keyed, by.entities).select("fact_id", F.xxhash64("s", "o").alias("pair"), "ps", "r", "po", "t").join(oc.all_witnesses(keyed, oc.chain_witnesses(facts), horizon), "fact_id")
+    tails = staged(tails, "tails")
+    links, lags = link_candidates(tails, by, 50_000)
+    covered = tails.select("fact_id", "ps", "r", "po", "wid").distinct().groupBy(F.col("ps").alias("cs"), "r", F.col("po").alias("co"), "wid").agg(F.count(F.lit(1)).alias("n_cover"))
+    links = links.join(link_data_bits(tails, lags, by, links, "printed"), "cand").join(covered, ["cs", "r", "co", "wid"])
+    ends = facts.select(F.col("s").alias("e")).unionByName(facts.select(F.col("o").alias("e"))).agg(F.countDistinct("e")).first()[0]
+    rels = facts.agg(F.countDistinct("r")).first()[0]
+    model = replace(all_patterns(facts, by), links=staged(links, "links"), lags=staged(lags, "lags"), config=BuildConfig(kinds_known=True, closures=False, horizon=horizon))
+    return replace(model, scalars={"space": float(ends) ** 2 * rels})
+
+
+_ALL = """pairs_ AS (SELECT f.s, f.o, f.r, f.t, h.r AS r_head, h.t AS t_head FROM facts f JOIN facts h ON f.s = h.s AND f.o = h.o AND h.t < f.t AND f.t - h.t <= 30),
+lk AS (SELECT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r, count(*) AS n FROM pairs_ GROUP BY ALL)"""
+_HEADS = "chain_heads AS (SELECT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r, sum(k * log2(k)) AS x FROM (SELECT s, o, r_head, r, t_head, count(*) AS k FROM pairs_ GROUP BY ALL) GROUP BY ALL)"
+_TAILS = "chain_tails AS (SELECT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r, sum(k * log2(k)) AS y FROM (SELECT s, o, r_head, r, t, count(*) AS k FROM pairs_ GROUP BY ALL) GROUP BY ALL)"
+
+
+def _relation_heads(facts: DataFrame) -> DataFrame:
+    return facts.select("r").distinct().select(F.xxhash64(F.lit("chain"), "r").alias("wid"), F.col("r").alias("r_head"))
 
 
-@query(over("lifecycle", _LINKS, select="SELECT cs, co, r_head, r, n AS n_assert, round(n * log2(n), 3) AS bits FROM lk"))
+@query(over("lifecycle", _ALL, _HEADS, _TAILS, select="SELECT cs, co, r_head, r, n AS n_assert, round(2 * n * log2(n) - x - y, 2) AS bits FROM lk JOIN chain_heads USING (cs, co, r_head, r) JOIN chain_tails USING (cs, co, r_head, r)"))
 def link_bits(spark, d):
-    """Chain links of the latest heads, with the code length of their tails."""
-    facts = fx.with_ids(fx.lifecycle(spark, d))
-    seen = oc.latest_witnesses(facts, oc.chain_witnesses(facts), 30)
-    rel = facts.select("r").distinct().select(F.xxhash64(F.lit("chain"), "r").alias("wid"), F.col("r").alias("r_head"))
-    one = facts.join(seen, "fact_id").join(rel, "wid").select(F.substring("s", 1, 1).alias("cs"), F.substring("o", 1, 1).alias("co"), "r_head", "r")
-    out = one.groupBy("cs", "co", "r_head", "r").agg(F.count(F.lit(1)).alias("n_assert"))
-    return out.withColumn("bits", F.round(F.col("n_assert") * F.log2(F.col("n_assert").cast("double")), 3))
+    """Chain links of a month with the code length of head and tail facts among their assertions."""
+    facts = fx.lifecycle(spark, d)
+    links = all_links(facts, 30).links.join(_relation_heads(facts), "wid")
+    return links.select("cs", "co", "r_head", "r", "n_assert", F.round("bits_data", 2).alias("bits"))
+
 
+@query(over("lifecycle", _ALL, "e AS (SELECT count(*) AS m FROM lk)", "hd AS (SELECT cs, co, r_head, count(*) AS a FROM lk GROUP BY ALL)", "tl AS (SELECT cs, co, r, count(*) AS b FROM lk GROUP BY ALL)", select="SELECT lk.cs, lk.co, lk.r_head, lk.r, round(log2(m) - log2(a / m) - log2(b / m) + 1, 6) AS bits_model FROM lk, e, hd, tl WHERE lk.cs = hd.cs AND lk.co = hd.co AND lk.r_head = hd.r_head AND lk.cs = tl.cs AND lk.co = tl.co AND lk.r = tl.r"))
+def link_model_bits(spark, d):
+    """Codes of links by the frequency of their heads and tails in the set."""
+    facts = fx.lifecycle(spark, d)
+    links = all_links(facts, 30).links.drop("bits_model")
+    return priced_links(links, links).join(_relation_heads(facts), "wid").select("cs", "co", "r_head", "r", r6("bits_model").alias("bits_model"))
 
-@query(over("lifecycle", _LINKS, "h AS (SELECT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r, lag, count(*) AS c FROM wit WHERE lag <= 30 GROUP BY ALL)", PATTERNS, "asked AS (SELECT * FROM wit WHERE t > 2000 AND lag <= 30)", "fit AS (SELECT a.s, a.o, a.r, a.t, a.r_head, sum(CASE WHEN abs(h.lag - a.lag) <= 2 THEN c ELSE 0 END) / sum(c) AS share FROM asked a JOIN h ON substr(a.s, 1, 1) = h.cs AND substr(a.o, 1, 1) = h.co AND a.r_head = h.r_head AND a.r = h.r GROUP BY ALL)", select="SELECT f.s, f.r, f.o, CAST(f.t AS BIGINT) AS t, round(sum(share * p.n), 4) AS ev_temporal FROM fit f JOIN pats p ON substr(f.s, 1, 1) = p.cs AND f.r = p.r AND substr(f.o, 1, 1) = p.co GROUP BY f.s, f.r, f.o, f.t"))
+
+@query(over("lifecycle", _ALL, "h AS (SELECT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r, t - t_head AS lag, count(*) AS c FROM pairs_ GROUP BY ALL)", PATTERNS, "asked AS (SELECT s, o, r, t, r_head, t - max(t_head) AS lag FROM pairs_ GROUP BY s, o, r, t, r_head)", "fit AS (SELECT a.s, a.o, a.r, a.t, a.r_head, sum(CASE WHEN abs(h.lag - a.lag) <= 2 THEN c ELSE 0 END) / sum(c) AS share FROM asked a JOIN h ON substr(a.s, 1, 1) = h.cs AND substr(a.o, 1, 1) = h.co AND a.r_head = h.r_head AND a.r = h.r GROUP BY a.s, a.o, a.r, a.t, a.r_head)", "sums AS (SELECT f.s, f.r, f.o, f.t, sum(share * p.n) AS e FROM fit f JOIN pats p ON substr(f.s, 1, 1) = p.cs AND f.r = p.r AND substr(f.o, 1, 1) = p.co GROUP BY f.s, f.r, f.o, f.t)", select="SELECT f.s, f.r, f.o, CAST(f.t AS BIGINT) AS t, round(coalesce(e, 0.0), 3) AS ev_temporal FROM facts f LEFT JOIN sums ON f.s = sums.s AND f.r = sums.r AND f.o = sums.o AND f.t = sums.t"))
 def temporal_evidence_kinds(spark, d):
-    """Temporal evidence of late facts over all chain links, no recursion, kinds as categories."""
+    """Temporal evidence of all facts over all chain links, no recursion, kinds as categories."""
     facts = fx.with_ids(fx.lifecycle(spark, d))
-    by = cats.by_kind(facts)
-    seen = oc.latest_witnesses(facts, oc.chain_witnesses(facts), 30)
-    from .build import link_candidates, with_profiles
-
-    tails = with_profiles(facts, by.entities).select("fact_id", "ps", "r", "po", "t").join(seen, "fact_id")
-    links, lags = link_candidates(tails, by, 50_000)
-    model = replace(all_patterns(facts, by), links=links, lags=lags)
-    late = facts.where("t > 2000")
     config = sc.ScoreConfig(K=0, L=2, horizon=30, closures=False, out_edge_penalty=False)
-    found = sc.score(late, facts.select("s", "r", "o", "t"), model, config)
-    return found.where("ev_temporal > 0 or n_in > 0").where("ev_temporal > 0").select("s", "r", "o", "t", F.round("ev_temporal", 4).alias("ev_temporal"))
+    found = sc.score(facts, facts.select("s", "r", "o", "t"), all_links(facts, 30), config)
+    return found.select("s", "r", "o", "t", F.round("ev_temporal", 3).alias("ev_temporal"))
+
+
+_LED = "led AS (SELECT DISTINCT s, o, r, t FROM pairs_)"
+_SPACE = "z AS (SELECT (SELECT count(*) FROM ents) * (SELECT count(*) FROM ents) * (SELECT count(DISTINCT r) FROM facts) AS space)"
+
+
+@query(over("lifecycle", KINDS, _ALL, _LED, _SPACE, "g AS (SELECT f.t, count(*) AS n_facts, count(led.t) AS n_explained FROM facts f LEFT JOIN led ON f.s = led.s AND f.o = led.o AND f.r = led.r AND f.t = led.t GROUP BY f.t)", select=f"SELECT CAST(t AS BIGINT) AS t, n_facts, n_explained, round({choose('space - n_explained', 'n_facts - n_explained')}, 3) AS error_bits FROM g, z"))
+def online_error_bits(spark, d):
+    """The monitor's bits of every tick, over all chain links, kinds as categories."""
+    facts = fx.lifecycle(spark, d)
+    return explained_ticks(facts, facts, all_links(facts, 30), 30).select("t", "n_facts", "n_explained", F.round("error_bits", 3).alias("error_bits"))
+
+
+@query(over("lifecycle", _ALL, _LED, select="SELECT round((SELECT count(*) FROM led) / (SELECT count(*) FROM facts), 6) AS explained_share"))
+def explained_share(spark, d):
+    facts = fx.lifecycle(spark, d)
+    ticks = explained_ticks(facts, facts, all_links(facts, 30), 30)
+    return ticks.agg(r6(F.sum("n_explained") / F.sum("n_facts")).alias("explained_share"))
+
+
+@query(over("lifecycle", _ALL, "hh AS (SELECT cs, co, r_head, r, lag, count(*) AS c FROM (SELECT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r, t - t_head AS lag FROM pairs_) GROUP BY ALL)", "us AS (SELECT cs, co, r_head, r, max(lag) AS longest, arg_max(lag, c * 1000 - lag) AS usual FROM hh GROUP BY ALL)", "last_ AS (SELECT max(t) AS e FROM facts)", "asked AS (SELECT f.s, f.o, f.r AS r_head, f.t, u.r, u.usual, u.longest, EXISTS (SELECT 1 FROM pairs_ p WHERE p.s = f.s AND p.o = f.o AND p.r_head = f.r AND p.t_head = f.t AND p.r = u.r AND p.t - f.t <= u.longest) AS came FROM facts f JOIN us u ON substr(f.s, 1, 1) = u.cs AND substr(f.o, 1, 1) = u.co AND f.r = u.r_head, last_ WHERE f.t + u.longest <= e)", "strong AS (SELECT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r FROM asked GROUP BY ALL HAVING count(*) FILTER (came) >= 0.5 * count(*))", "due AS (SELECT a.s, a.r, a.o, a.t + a.usual AS t, count(*) AS asked_by FROM asked a JOIN strong k ON substr(a.s, 1, 1) = k.cs AND substr(a.o, 1, 1) = k.co AND a.r_head = k.r_head AND a.r = k.r WHERE NOT came GROUP BY ALL)", select="SELECT s, r, o, CAST(t AS BIGINT) AS t, asked_by FROM due d WHERE NOT EXISTS (SELECT 1 FROM facts f WHERE f.s = d.s AND f.r = d.r AND f.o = d.o AND f.t = d.t)"))
+def missing_successors(spark, d):
+    """What strong chain links lead to and the data lacks, over the whole table, kinds as categories: the planted gaps among them."""
+    facts = fx.with_ids(fx.lifecycle(spark, d))
+    history = facts.select("s", "r", "o", "t")
+    due = sc.missing_successors(facts, history, all_links(facts, 30), sc.ScoreConfig(horizon=30, closures=False))
+    return due.groupBy("s", "r", "o", "t").agg(F.countDistinct("asker", "r").alias("asked_by")).join(history, ["s", "r", "o", "t"], "left_anti")
 
 
 # ---- data sets and errors -----------------------------------------------------------------------------------
@@ -164,76 +216,112 @@ def w2_missing(spark, d):
 
 @query()
 def w3_accuracy(spark, d):
-    """Main accuracy on lifecycle: the rule graph, four plain baselines and one embedding family, three error kinds."""
-    e, g = exp(spark, d, "lifecycle"), graph(spark, d, "lifecycle")
-    out = wl.measured("lifecycle", "rule graph", wl.accuracy(e, g, wl.score_config("lifecycle")))
-    for name, f in METHODS.items():
-        out += wl.measured("lifecycle", name, {k: wl.judge(e, k, f) for k in ("conceptual", "time")})
-    f = embeddings.scorer("order-4 complex")
-    out += wl.measured("lifecycle", "order-4 complex", {k: wl.judge(e, k, f) for k in ("conceptual", "time")})
-    return wl.rows_of(spark, out)
+    """The rule graph on lifecycle: three kinds of errors in a stream that rests on verdicts only."""
+    return wl.rows_of(spark, wl.measured("lifecycle", "rule graph", run(spark, d, "lifecycle").measures()))
+
+
+@query()
+def w3_accuracy_trade(spark, d):
+    return wl.rows_of(spark, wl.measured("trade", "rule graph", run(spark, d, "trade").measures()))
+
+
+def _baselines(spark, d, name: str, methods: dict) -> DataFrame:
+    e = exp(spark, d, name)
+    found = wl.together([lambda m=m, f=f: wl.measured(name, m, wl.plain(e, f).measures()) for m, f in methods.items()])
+    return wl.rows_of(spark, [row for rows in found for row in rows])
+
+
+@query()
+def w3_baselines(spark, d):
+    """Four plain baselines on lifecycle, three kinds of errors."""
+    return _baselines(spark, d, "lifecycle", METHODS)
+
+
+@query()
+def w3_baselines_trade(spark, d):
+    return _baselines(spark, d, "trade", METHODS)
 
 
 @query()
 def w3_embeddings(spark, d):
-    """All embedding families on the click graph."""
-    e = exp(spark, d, "clicks")
-    out = []
-    for name, f in embeddings.scorers().items():
-        out += wl.measured("clicks", name, {k: wl.judge(e, k, f) for k in ("conceptual", "time")})
-    return wl.rows_of(spark, out)
+    """All embedding families on the click graph, three kinds of errors."""
+    return _baselines(spark, d, "clicks", embeddings.scorers())
+
+
+@query()
+def w3_embeddings_lifecycle(spark, d):
+    return _baselines(spark, d, "lifecycle", embeddings.scorers())
+
+
+@query()
+def w3_score_forms(spark, d):
+    """Forms of the time score over one history: as printed, by disagreeing lags, by agreeing lags, and against expectation."""
+    e, own = exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")
+    forms = {"literal": ("literal", "evidence"), "mismatch": ("mismatch", "evidence"), "agreement": ("agreement", "evidence"), "expectation": ("agreement", "expectation")}
+    config = lambda gap: wl.score_config("lifecycle", gap=gap)
+    found = wl.together([lambda n=n, g=g, f=f: wl.measured("lifecycle", n, wl.against_kept(e, own, own.graph, config(g), f).measures(("time",))) for n, (g, f) in forms.items()])
+    return wl.rows_of(spark, [row for rows in found for row in rows])
 
 
 @query()
 def w3_negative_control(spark, d):
     """Clicks have no temporal order, so temporal scores must not beat chance there."""
-    e, g = exp(spark, d, "clicks"), graph(spark, d, "clicks")
-    return wl.rows_of(spark, wl.measured("clicks", "rule graph", wl.accuracy(e, g, wl.score_config("clicks"), ("time",))))
+    return wl.rows_of(spark, wl.measured("clicks", "rule graph", run(spark, d, "clicks").measures(("time",))))
 
 
 @query()
 def w4_training_share(spark, d):
-    return spark.createDataFrame(wl.proportion_sweep(exp(spark, d, "lifecycle"), (0.2, 1.0)), wl.SWEEP)
+    return spark.createDataFrame(wl.proportion_sweep(exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")), wl.SWEEP)
 
 
 @query()
 def w5_ablation(spark, d):
-    return wl.rows_of(spark, wl.ablation(exp(spark, d, "lifecycle"), ("time",)))
+    """Variants of the scores and of updating, three kinds of errors."""
+    return wl.rows_of(spark, wl.ablation(exp(spark, d, "lifecycle"), run(spark, d, "lifecycle"), ("full", "no updater", "no recursion", "unit weights in scores")))
+
+
+@query()
+def w5_ablation_graph(spark, d):
+    """Variants of the build, three kinds of errors."""
+    return wl.rows_of(spark, wl.ablation(exp(spark, d, "lifecycle"), run(spark, d, "lifecycle"), ("full", "no category aggregation", "no closure links", "ranking by assertions only")))
 
 
 @query()
 def w6_over_time(spark, d):
-    """Time-error accuracy by 60-day bins, with and without the updater."""
-    e, g = exp(spark, d, "lifecycle"), graph(spark, d, "lifecycle")
-    f = wl.graph_scorer(g, wl.score_config("lifecycle"), "time")
-    parts = []
-    for updater in (True, False):
-        history = e.offline.unionByName(e.parts["validation"]["left"])
-        now = history.unionByName(e.parts["test"]["left"]) if updater else e.offline
-        threshold, _ = ev.best_threshold(ev.pr_curve(f(wl.labelled(e, "validation", "time"), history)))
-        found = ev.accuracy_over_time(f(wl.labelled(e, "test", "time"), now), threshold, 60)
-        parts.append(found.withColumn("updater", F.lit(updater)))
-    return parts[0].unionByName(parts[1])
+    """Time-error accuracy by 60-day bins, with the updater and frozen, over all facts and over triples never seen offline."""
+    e, own = exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")
+    frozen = held(spark, d, "lifecycle", "frozen", lambda: wl.detect(e, graph(spark, d, "lifecycle"), wl.score_config("lifecycle"), updater=False))
+    parts = [wl.over_time(e, r, "time", 60, unseen).select("*", F.lit(u).alias("updater"), F.lit(unseen).alias("unseen_only")) for u, r in ((True, own), (False, frozen)) for unseen in (False, True)]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
 
 
 @query()
 def w7_depth(spark, d):
-    return spark.createDataFrame(wl.depth_sweep(exp(spark, d, "lifecycle"), graph(spark, d, "lifecycle")), wl.SWEEP)
+    return spark.createDataFrame(wl.depth_sweep(exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")), wl.SWEEP)
 
 
 @query()
 def w8_window(spark, d):
-    return spark.createDataFrame(wl.window_sweep(exp(spark, d, "lifecycle"), graph(spark, d, "lifecycle"), (1, 5, 50)), wl.SWEEP)
+    return spark.createDataFrame(wl.window_sweep(exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")), wl.SWEEP)
+
+
+@query()
+def w8_grid(spark, d):
+    """Depth and window chosen by the F-score on validation."""
+    return spark.createDataFrame(wl.grid_search(exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")), wl.GRID)
 
 
 @query()
 def w9_categories(spark, d):
-    return spark.createDataFrame(wl.category_sweep(exp(spark, d, "trade"), (1, 3)), wl.SWEEP)
+    return spark.createDataFrame(wl.category_sweep(exp(spark, d, "trade"), run(spark, d, "trade")), wl.SWEEP)
 
 
 @query()
 def w10_build_report(spark, d):
-    return spark.createDataFrame(wl.build_report(fx.lifecycle(spark, d), "lifecycle", (1, 3)), wl.REPORT)
+    return spark.createDataFrame(wl.build_report(fx.lifecycle(spark, d), "lifecycle"), wl.REPORT)
 
 
 @query()
@@ -247,18 +335,48 @@ def w12_link_readout(spark, d):
     return g.links.join(oc.witness_names(e.offline), "wid").select("kind", F.col("label").alias("precursor"), F.col("cs").cast("string").alias("subject_category"), "r", F.col("co").cast("string").alias("object_category"), "n_assert", r6("saving").alias("saving"))
 
 
+_DURATION = {"horizon": 400, "closures": False}
+
+
+def _case(spark, d) -> du.DurationCase:
+    return held(spark, d, "validity", "case", lambda: du.duration_case(fx.validity(spark, d)))
+
+
+def _sides(spark, d) -> dict[str, RuleGraph]:
+    return held(spark, d, "validity", "graphs", lambda: du.duration_graphs(_case(spark, d).offline, replace(wl.build_config("trade"), **_DURATION)))
+
+
+def _duration_scores() -> sc.ScoreConfig:
+    return wl.score_config("trade", horizon=400, L=30, K=1, closures=False)
+
+
 @query()
 def w13_duration(spark, d):
-    config = replace(wl.build_config("trade"), horizon=400, closures=False)
-    out = du.duration_experiment(fx.validity(spark, d), config, replace(wl.score_config("trade"), horizon=400, L=30))
-    return wl.rows_of(spark, out)
+    """Three kinds of errors among duration facts, by the mean of four graphs."""
+    return wl.rows_of(spark, du.duration_experiment(_case(spark, d), replace(wl.build_config("trade"), **_DURATION), _duration_scores(), _sides(spark, d)))
+
+
+@query()
+def w13_flattenings(spark, d):
+    """The same errors judged by one graph over flattened facts, four ways."""
+    case, config = _case(spark, d), replace(wl.build_config("trade"), **_DURATION)
+    found = wl.together([lambda h=h: du.flattening_experiment(case, h, config, _duration_scores()) for h in _FLAT])
+    return wl.rows_of(spark, [row for rows in found for row in rows])
+
+
+@query()
+def w13_missing(spark, d):
+    """What no graph of the four can instantiate, for facts of the test part without conflicts."""
+    case = _case(spark, d)
+    columns = ["s", "r", "o", "t_start", "t_end"]
+    asked = case.parts["test"].where("kind = 'valid' and not deleted").select(*columns)
+    return du.missing_everywhere(asked, case.offline.unionByName(asked), _sides(spark, d), _duration_scores())
 
 
 @query()
 def w14_duration_graphs(spark, d):
     """Explained share of each of the four duration graphs."""
-    graphs = du.duration_graphs(fx.validity(spark, d), replace(wl.build_config("trade"), horizon=400))
-    return spark.createDataFrame(du.explained_share_by_graph(graphs), "graph string, explained_share double")
+    return spark.createDataFrame(du.explained_share_by_graph(_sides(spark, d)), "graph string, explained_share double")
 
 
 _FLAT = {"start": "SELECT 'start' AS how, s, r, o, t_start AS t FROM facts", "end": "SELECT 'end', s, r, o, t_end FROM facts", "midpoint": "SELECT 'midpoint', s, r, o, (t_start + t_end) // 2 FROM facts", "two-point": "SELECT 'two-point', s, 'start:' || r, o, t_start FROM facts UNION ALL SELECT 'two-point', s, 'end:' || r, o, t_end FROM facts"}
@@ -309,21 +427,37 @@ def w15_prompts(spark, d):
 
 @query()
 def missing_facts(spark, d):
-    """Facts that the graph expects and the data lacks, of the test part of lifecycle."""
-    e, g = exp(spark, d, "lifecycle"), graph(spark, d, "lifecycle")
+    """Facts that the graph expects and the data lacks: the test part of lifecycle, with the deleted facts left out."""
+    e, own = exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")
     config = wl.score_config("lifecycle")
     facts = sc.identified(e.parts["test"]["left"])
-    history = e.offline.unionByName(e.parts["validation"]["left"]).unionByName(e.parts["test"]["left"])
-    trace, _ = sc.walk(facts, history, g, config)
-    return sc.missing_candidates(facts, history, g, trace, history).drop("fact_id")
+    history = e.offline.unionByName(e.parts["validation"]["valid"]).unionByName(e.parts["test"]["left"])
+    trace, _, _ = sc.walk(facts, history, own.graph, config)
+    return sc.missing_candidates(facts, history, own.graph, trace, history, config).drop("fact_id")
+
+
+@query()
+def missing_recovered(spark, d):
+    """How many of the deleted facts, and of the confirmations that the data lacks by construction, the candidates name
+    (by triple, at most the link's lag tolerance away)."""
+    e = exp(spark, d, "lifecycle")
+    found = staged(missing_facts(spark, d), "found")
+    sales = fx._sales(spark, d).where((7 * F.col("l_orderkey") + F.col("l_linenumber")) % 20 == 0)
+    low = e.parts["test"]["valid"].agg(F.min("t")).first()[0]
+    never = sales.select(F.col("c").alias("s"), F.lit("confirm").alias("r"), F.col("u").alias("o"), (F.col("ordered") + 2 + F.col("l_orderkey") % 3).alias("t")).where(F.col("t") >= low).distinct().join(e.facts, ["s", "r", "o", "t"], "left_anti")
+    parts = []
+    for what, gone in (("deleted", e.parts["test"]["gone"]), ("never there", never)):
+        near = gone.join(found.select("s", "r", "o", F.col("t").alias("t_found")), ["s", "r", "o"]).where(F.abs(F.col("t") - F.col("t_found")) <= 3).select("s", "r", "o", "t").distinct()
+        parts.append(gone.groupBy("r").agg(F.count(F.lit(1)).alias("n")).join(near.groupBy("r").agg(F.count(F.lit(1)).alias("named")), "r", "left").fillna(0).select(F.lit(what).alias("what"), "r", "n", "named"))
+    return parts[0].unionByName(parts[1])
 
 
 @query()
 def evidence(spark, d):
-    """The links and witnesses behind the scores of the last 100 days."""
-    e, g = exp(spark, d, "lifecycle"), graph(spark, d, "lifecycle")
-    facts = sc.identified(e.facts.where("t > 2300"))
-    trace, _ = sc.walk(facts, e.facts, g, wl.score_config("lifecycle"))
+    """The links and witnesses behind the scores of all facts of the test part."""
+    e, own = exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")
+    facts = sc.identified(e.parts["test"]["valid"])
+    trace, _, _ = sc.walk(facts, e.facts, own.graph, wl.score_config("lifecycle"))
     return sc.explain(trace, oc.witness_names(e.offline))
 
 
@@ -331,10 +465,7 @@ def evidence(spark, d):
 def time_hints(spark, d):
     """Where evidence would put the wrong ticks of the test part."""
     e, g = exp(spark, d, "lifecycle"), graph(spark, d, "lifecycle")
-    facts = sc.identified(e.parts["test"]["time"])
-    history = e.facts
-    trace, _ = sc.walk(facts, history, g, wl.score_config("lifecycle"))
-    return sc.time_prompts(facts, trace, g).drop("fact_id")
+    return sc.time_prompts(sc.identified(e.parts["test"]["time"]), e.facts, g, wl.score_config("lifecycle")).drop("fact_id")
 
 
 @query()
@@ -370,9 +501,27 @@ def stream_session(spark, d):
     return online.drained(online.sessions(online.event_stream(spark, d)), "sessions", "complete")
 
 
-@query(over("clicks", select="SELECT s, r, o, CAST(t AS BIGINT) AS t FROM facts"))
+@query("SELECT event_id, user_id FROM events")
 def stream_dedup(spark, d):
-    return online.drained(online.deduplicated(online.event_stream(spark, d)), "dedup").distinct()
+    """Every event delivered twice and kept once: repeats are known within the watermark, no other step removes them."""
+    events = online.event_stream(spark, d)
+    twice = events.withColumn("_copy", F.explode(F.array(F.lit(0), F.lit(1)))).drop("_copy")
+    return online.drained(online.once(twice).select("event_id", "user_id"), "dedup")
+
+
+@query("WITH m AS (SELECT epoch(min(ts)) AS lo, epoch(max(ts)) AS hi FROM events), x AS (SELECT CAST(floor(epoch(ts) / 21600) * 21600 AS BIGINT) AS start FROM events, m WHERE epoch(ts) >= floor((lo + hi) / 2)) SELECT start, count(*) AS n FROM x, m WHERE start + 21600 <= hi - 3600 GROUP BY start")
+def stream_late_drop(spark, d):
+    """The later half of the events first, the earlier half after it: what comes behind the watermark is dropped."""
+    return online.late_dropped(spark, d)
+
+
+@query(over("clicks", PATTERNS, select="SELECT f.s, f.r, f.o, CAST(f.t AS BIGINT) AS t, round(1.0 / n, 9) AS score_static FROM facts f JOIN pats p ON substr(f.s, 1, 1) = cs AND f.r = p.r AND substr(f.o, 1, 1) = co"))
+def stream_score(spark, d):
+    """Facts of a stream scored batch by batch against a graph of all patterns."""
+    facts = fx.clicks(spark, d)
+    model = all_patterns(facts, cats.by_kind(facts))
+    arriving = fx.click_facts(online.event_stream(spark, d))
+    return online.scored_stream(arriving, model).select("s", "r", "o", "t", F.round("score_static", 9).alias("score_static")).distinct()
 
 
 @query("SELECT a.event_id AS i1, b.event_id AS i2, a.event_type AS head, b.event_type AS tail FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL '6 hours'")

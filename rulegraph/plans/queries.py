@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -258,10 +259,11 @@ def nearest_close(spark, d):
 
 @query(over("lifecycle", _CHAIN, "h AS (SELECT r_head, r_tail, lag, count(*) AS cnt FROM chain GROUP BY ALL)", select="SELECT a.r_head, a.r_tail, CAST(a.lag AS BIGINT) AS lag, CAST(sum(b.cnt) AS BIGINT) AS near FROM h a JOIN h b ON a.r_head = b.r_head AND a.r_tail = b.r_tail AND abs(a.lag - b.lag) <= 2 GROUP BY ALL"))
 def lag_overlap(spark, d):
-    """Kept lags near each lag, from the histogram (a bounded table)."""
-    h = oc.chain_pairs(fx.lifecycle(spark, d), 20).groupBy("r_head", "r_tail", "lag").agg(F.count(F.lit(1)).alias("cnt"))
-    w = Window.partitionBy("r_head", "r_tail").orderBy("lag").rangeBetween(-2, 2)
-    return h.select("r_head", "r_tail", "lag", F.sum("cnt").over(w).alias("near"))
+    """Kept lags near each lag: the table that scores look lags up in."""
+    from ..operators.scoring import near_table
+
+    h = oc.chain_pairs(fx.lifecycle(spark, d), 20).groupBy("r_head", "r_tail", "lag").agg(F.count(F.lit(1)).alias("cnt")).withColumn("cand", F.xxhash64("r_head", "r_tail"))
+    return h.join(near_table(h, 2), ["cand", "lag"]).select("r_head", "r_tail", "lag", "near")
 
 
 @query(over("lifecycle", select="SELECT e, min(t) AS first_t FROM (SELECT s AS e, t FROM facts UNION ALL SELECT o, t FROM facts) GROUP BY e HAVING min(t) > 1400"))
@@ -272,7 +274,7 @@ def unseen_entities(spark, d):
     return late.join(early, "e", "left_anti").groupBy("e").agg(F.min("t").alias("first_t"))
 
 
-@query(over("lifecycle", select="SELECT s, r, o, CAST(t AS BIGINT) AS t FROM facts a WHERE t > 2000 AND NOT EXISTS (SELECT 1 FROM facts b WHERE b.t <= 2000 AND a.s = b.s AND a.r = b.r AND a.o = b.o)"))
+@query(over("lifecycle", "early AS MATERIALIZED (SELECT DISTINCT s, r, o FROM facts WHERE t <= 2000)", select="SELECT a.s, a.r, a.o, CAST(a.t AS BIGINT) AS t FROM facts a ANTI JOIN early b ON a.s = b.s AND a.r = b.r AND a.o = b.o WHERE a.t > 2000"))
 def not_in_facts(spark, d):
     facts = fx.lifecycle(spark, d)
     return facts.where("t > 2000").join(facts.where("t <= 2000").select("s", "r", "o").distinct(), ["s", "r", "o"], "left_anti").select("s", "r", "o", "t")
@@ -350,22 +352,32 @@ def approx_topk_patterns(spark, d):
     return fx.trade(spark, d).select(F.concat_ws(" ", kinds("s"), "r", kinds("o")).alias("p")).agg(F.expr("approx_top_k(p, 10)").alias("top")).select(F.explode("top").alias("x")).select("x.item", "x.count")
 
 
-@query(over("lifecycle", select="SELECT r, CAST(floor(t / 30.0) AS BIGINT) AS month, count(*) AS n FROM facts GROUP BY ROLLUP (r, CAST(floor(t / 30.0) AS BIGINT))"))
+@query(over("lifecycle", f"x AS (SELECT CAST(floor(t / 365.0) AS BIGINT) AS year, CAST(floor(t / 30.0) AS BIGINT) AS month, CASE WHEN EXISTS (SELECT 1 FROM facts h WHERE h.s = f.s AND h.o = f.o AND h.t < f.t AND f.t - h.t <= 30) THEN 1 ELSE 0 END AS e FROM facts f)", select="SELECT year, month, count(*) AS n_facts, CAST(sum(e) AS BIGINT) AS n_explained FROM x GROUP BY ROLLUP (year, month)"))
 def explained_rollup(spark, d):
-    return fx.lifecycle(spark, d).withColumn("month", F.floor(F.col("t") / 30)).rollup("r", "month").agg(F.count(F.lit(1)).alias("n"))
+    """Explained facts by year and month: all chain links of 30 days, kinds as categories."""
+    from ..operators.updating import explained_ticks
+    from .experiments import all_links
+
+    facts = fx.lifecycle(spark, d)
+    ticks = explained_ticks(facts, facts, all_links(facts, 30), 30)
+    own = ticks.withColumn("year", F.floor(F.col("t") / 365)).withColumn("month", F.floor(F.col("t") / 30))
+    return own.rollup("year", "month").agg(F.sum("n_facts").alias("n_facts"), F.sum("n_explained").alias("n_explained"))
 
 
-@query(over("clicks", "x AS (SELECT substr(r, 1, 3) AS kind, CAST(floor(t / 24.0) AS BIGINT) AS day, o FROM facts)", select="SELECT kind, day, count(*) AS n, count(DISTINCT o) AS keys FROM x GROUP BY CUBE (kind, day)"))
+@query(over("clicks", "z AS (SELECT min(t) AS low, max(t) - min(t) + 1 AS span FROM facts)", f"ch AS (SELECT *, {draw('time2', 's', 'r', 'o', 't')} AS d FROM facts WHERE {draw('time', 's', 'r', 'o', 't')} < {int(0.15 * 16**8)})", "made AS (SELECT DISTINCT s, r, o, low + (t - low + span // 4 + d % (span - 2 * (span // 4))) % span AS t FROM ch, z)", f"x AS (SELECT 'time' AS kind, r FROM (SELECT s, r, o, t FROM made EXCEPT SELECT s, r, o, t FROM facts) UNION ALL SELECT 'missing', r FROM facts WHERE {draw('missing', 's', 'r', 'o', 't')} < {int(0.15 * 16**8)})", select="SELECT kind, r, count(*) AS n FROM x GROUP BY CUBE (kind, r)"))
 def errors_cube(spark, d):
-    x = fx.clicks(spark, d).select(F.substring("r", 1, 3).alias("kind"), F.floor(F.col("t") / 24).alias("day"), "o")
-    return x.cube("kind", "day").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("o").alias("keys"))
+    """Injected errors by kind and relation, with all subtotals."""
+    facts = fx.clicks(spark, d)
+    made = ev.inject_time(facts, facts).select(F.lit("time").alias("kind"), "r").unionByName(ev.inject_missing(facts)[1].select(F.lit("missing").alias("kind"), "r"))
+    return made.cube("kind", "r").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(over("trade", select="SELECT CAST(floor(t / 365.0) AS BIGINT) AS year, count(*) FILTER (r = 'trade_AF') AS \"trade_AF\", count(*) FILTER (r = 'trade_NO') AS \"trade_NO\", count(*) FILTER (r = 'trade_RF') AS \"trade_RF\" FROM facts WHERE r IN ('trade_AF', 'trade_NO', 'trade_RF') GROUP BY 1"))
+@query(f"WITH x AS (SELECT CAST(floor(date_diff('day', DATE '1995-01-01', CAST(l_shipdate AS DATE)) / 365.0) AS BIGINT) AS bin, l_linestatus AS side, CASE WHEN l_returnflag = 'R' THEN 1 ELSE 0 END AS label, {draw('score', 'l_orderkey', 'l_linenumber', digits=2)} >= 128 AS hit FROM lineitem), p AS (SELECT bin, side, round(count(*) FILTER (hit AND label = 1) / nullif(count(*) FILTER (hit), 0), 6) AS precision FROM x GROUP BY ALL) SELECT bin, max(precision) FILTER (side = 'F') AS \"F\", max(precision) FILTER (side = 'O') AS \"O\" FROM p GROUP BY bin")
 def metric_pivot(spark, d):
-    names = ["trade_AF", "trade_NO", "trade_RF"]
-    f = fx.trade(spark, d).where(F.col("r").isin(names)).withColumn("year", F.floor(F.col("t") / 365))
-    return f.groupBy("year").pivot("r", names).agg(F.count(F.lit(1))).fillna(0, names)
+    """Precision by year, one column for each line status."""
+    lines = fx.table(spark, d, "lineitem").select(ev.draw("score", "l_orderkey", "l_linenumber", digits=2).alias("score"), (F.col("l_returnflag") == "R").cast("int").alias("label"), fx.day("l_shipdate").alias("t"), F.col("l_linestatus").alias("side"))
+    parts = [ev.accuracy_over_time(lines.where(F.col("side") == x), 128, 365).select("bin", F.lit(x).alias("side"), r6("precision").alias("precision")) for x in ("F", "O")]
+    return parts[0].unionByName(parts[1]).groupBy("bin").pivot("side", ["F", "O"]).agg(F.max("precision"))
 
 
 # ---- windows --------------------------------------------------------------------------------------------------
@@ -388,11 +400,22 @@ def gap_prev(spark, d):
     return fx.clicks(spark, d).select((F.col("t") - F.lag("t").over(w)).alias("gap")).groupBy("gap").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(over("lifecycle", "c AS (SELECT t, r, count(*) AS n FROM facts GROUP BY ALL)", select="SELECT CAST(t AS BIGINT) AS t, r, n, CAST(sum(n) OVER (PARTITION BY t ORDER BY r ROWS UNBOUNDED PRECEDING) AS BIGINT) AS claimed FROM c"))
+@query(over("lifecycle", PATTERNS, "ranked AS (SELECT *, row_number() OVER (ORDER BY n DESC, cs || r || co DESC) AS rank FROM pats)", "c AS (SELECT t, rank, count(*) AS claim FROM facts JOIN ranked ON substr(s, 1, 1) = cs AND facts.r = ranked.r AND substr(o, 1, 1) = co GROUP BY ALL)", select="SELECT CAST(t AS BIGINT) AS t, rank, claim, CAST(coalesce(sum(claim) OVER (PARTITION BY t ORDER BY rank ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS above FROM c"))
 def running_claims(spark, d):
-    c = fx.lifecycle(spark, d).groupBy("t", "r").agg(F.count(F.lit(1)).alias("n"))
-    w = Window.partitionBy("t").orderBy("r").rowsBetween(Window.unboundedPreceding, 0)
-    return c.withColumn("claimed", F.sum("n").over(w))
+    """What each ranked pattern claims of a tick, and what better ones claim before it: a round of the selection."""
+    from ..operators.selection import claims_of
+
+    cells = fx.lifecycle(spark, d).groupBy(kinds("s").alias("cs"), "r", kinds("o").alias("co"), "t").agg(F.count(F.lit(1)).alias("n"))
+    own = _ranked(fx.lifecycle(spark, d))
+    cover = cells.join(own.select("cs", "r", "co", "rank"), ["cs", "r", "co"]).select("rank", F.xxhash64("cs", "r", "co").alias("cell"), "t", "n")
+    return claims_of(cover, own.select("rank", F.lit(True).alias("accepted"))).select("t", "rank", "claim", "above")
+
+
+def _ranked(facts):
+    from ..operators.selection import rank_candidates as ranked
+
+    p = facts.groupBy(kinds("s").alias("cs"), "r", kinds("o").alias("co")).agg(F.count(F.lit(1)).alias("n_assert"))
+    return ranked(p.withColumn("cand", F.concat("cs", "r", "co")), "assertions")
 
 
 @query(over("lifecycle", "c AS (SELECT t, count(*) AS n FROM facts GROUP BY t)", select="SELECT CAST(t AS BIGINT) AS t, n, CAST(sum(n) OVER (ORDER BY t) AS BIGINT) AS total FROM c"))
@@ -410,11 +433,10 @@ def slice_moving(spark, d):
     return c.withColumn("mean7", r6(F.avg("n").over(Window.partitionBy("r").orderBy("day").rowsBetween(-6, 0))))
 
 
-@query(over("trade", PATTERNS, select="SELECT cs, r, co, n, CAST(dense_rank() OVER (PARTITION BY cs ORDER BY n DESC) AS INTEGER) AS place, round(percent_rank() OVER (PARTITION BY cs ORDER BY n), 6) AS share, CAST(ntile(4) OVER (PARTITION BY cs ORDER BY n, r, co) AS INTEGER) AS quarter FROM pats"))
+@query(over("trade", PATTERNS, select="SELECT cs, r, co, n AS n_assert, row_number() OVER (ORDER BY n DESC, cs || r || co DESC) AS rank FROM pats"))
 def rank_candidates(spark, d):
-    p = fx.trade(spark, d).groupBy(kinds("s").alias("cs"), "r", kinds("o").alias("co")).agg(F.count(F.lit(1)).alias("n"))
-    up = Window.partitionBy("cs").orderBy("n")
-    return p.select("*", F.dense_rank().over(Window.partitionBy("cs").orderBy(F.desc("n"))).alias("place"), r6(F.percent_rank().over(up)).alias("share"), F.ntile(4).over(Window.partitionBy("cs").orderBy("n", "r", "co")).alias("quarter"))
+    """Ranks by range partitions: no window holds all candidates."""
+    return _ranked(fx.trade(spark, d)).select("cs", "r", "co", "n_assert", "rank")
 
 
 _SCORED = f"scored AS (SELECT {draw('score', 'l_orderkey', 'l_linenumber', digits=2)} AS score, CASE WHEN l_returnflag = 'R' THEN 1 ELSE 0 END AS label FROM lineitem)"
@@ -447,10 +469,13 @@ def f_beta_values(spark, d):
 # ---- sort, sets, arrays -------------------------------------------------------------------------------------------
 
 
-@query(over("lifecycle", _CHAIN, select="SELECT r_head, r_tail, count(*) AS n FROM chain GROUP BY ALL ORDER BY n DESC, r_head, r_tail LIMIT 3"))
+@query(over("lifecycle", _CHAIN, select="SELECT * FROM (SELECT r_head, r_tail, count(*) AS n FROM chain GROUP BY ALL) ORDER BY n DESC, r_head || r_tail DESC LIMIT 3"))
 def top_links(spark, d):
     """The cap on candidates: most asserted first."""
-    return chain_pairs(spark, d).orderBy(F.desc("n"), "r_head", "r_tail").limit(3)
+    from .build import cap_links
+
+    found = chain_pairs(spark, d).withColumn("cand", F.concat("r_head", "r_tail")).withColumnRenamed("n", "n_assert")
+    return cap_links(found, 3).select("r_head", "r_tail", F.col("n_assert").alias("n"))
 
 
 @query(over("trade", PATTERNS, select="SELECT cs, r, co, n FROM pats ORDER BY n DESC, cs, r, co LIMIT 5"))
@@ -515,13 +540,81 @@ def explode_categories(spark, d):
     return sets.select(F.explode("rels").alias("r")).groupBy("r").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(over("lifecycle", _CHAIN, "h AS (SELECT r_head, r_tail FROM chain GROUP BY ALL HAVING count(*) > 1000)", "RECURSIVE_w", select="SELECT DISTINCT src, dst, CAST(hop AS INTEGER) AS hop FROM w").replace("WITH ", "WITH RECURSIVE ", 1).replace("RECURSIVE_w", "w AS (SELECT r_head AS src, r_tail AS dst, 1 AS hop FROM h UNION SELECT w.src, h.r_tail, hop + 1 FROM w JOIN h ON w.dst = h.r_head WHERE hop < 3)"))
+@query("SELECT p_partkey, round(" + choose("p_partkey + 60", "p_size") + ", 4) AS bits FROM part")
+def udf_choose_exact(spark, d):
+    """The same logarithms by exact integers, in an Arrow-batched function."""
+    from ..functions.mdl import log2_choose_exact
+
+    @F.pandas_udf("double")
+    def exact(n: pd.Series, k: pd.Series) -> pd.Series:
+        return pd.Series([log2_choose_exact(int(a), int(b)) for a, b in zip(n, k, strict=True)])
+
+    return fx.table(spark, d, "part").select("p_partkey", F.round(exact(F.col("p_partkey") + 60, F.col("p_size")), 4).alias("bits"))
+
+
+@query(over("clicks", "c AS (SELECT r, s, count(*) AS n FROM facts GROUP BY ALL)", select="SELECT r, round(sum(n) * log2(sum(n)) - sum(n * log2(n)), 4) AS bits FROM c GROUP BY r"))
+def uda_entropy(spark, d):
+    """Code lengths of subjects by a grouped Arrow aggregate over counts (the built-in form is ``entropy_bits``)."""
+    import numpy as np
+
+    @F.pandas_udf("double")
+    def entropy(n: pd.Series) -> float:
+        x = n.to_numpy(dtype=float)
+        return float(x.sum() * np.log2(x.sum()) - (x * np.log2(x)).sum())
+
+    return fx.clicks(spark, d).groupBy("r", "s").agg(F.count(F.lit(1)).alias("n")).groupBy("r").agg(F.round(entropy("n"), 4).alias("bits"))
+
+
+@query(over("validity", select="SELECT s, r, o, CAST(unnest(generate_series(CAST(t_start AS BIGINT), CAST(t_end AS BIGINT), 30)) AS BIGINT) AS t FROM facts"))
+def udtf_walk(spark, d):
+    """Ticks of a duration, 30 apart, by a table function."""
+
+    @F.udtf(returnType="t: bigint")
+    class Walk:
+        def eval(self, start: int, end: int):
+            for t in range(start, end + 1, 30):
+                yield (t,)
+
+    spark.udtf.register("walk_ticks", Walk)
+    fx.validity(spark, d).createOrReplaceTempView("validity_facts")
+    return spark.sql("SELECT s, r, o, w.t FROM validity_facts, LATERAL walk_ticks(t_start, t_end) w")
+
+
+@query(over("dialogue", select="SELECT s, r, o, CAST(t AS BIGINT) AS t FROM facts"))
+def json_round_trip(spark, d):
+    """Facts through JSON lines and back."""
+    from ..storage import new_path
+
+    path = new_path(spark, "json")
+    fx.dialogue(spark, d).write.json(path)
+    return spark.read.schema("s string, r string, o string, t long").json(path)
+
+
+@query(over("clicks", _CHAIN, select="SELECT s, o, count(*) AS n FROM chain GROUP BY ALL"))
+def history_bucketed(spark, d):
+    """History in buckets of the pair: sequences and joins within pairs need no shuffle."""
+    import uuid
+
+    from ..storage import new_path
+
+    name = f"history_{uuid.uuid4().hex}"
+    fx.clicks(spark, d).write.bucketBy(8, "s", "o").sortBy("s", "o", "t").option("path", new_path(spark, "buckets")).saveAsTable(name)
+    return oc.chain_pairs(spark.table(name), 20).groupBy("s", "o").agg(F.count(F.lit(1)).alias("n"))
+
+
+_WIT = """wit AS (SELECT DISTINCT f.s, f.o, f.r, f.t, h.r AS r_head FROM facts f JOIN facts h ON f.s = h.s AND f.o = h.o AND h.t < f.t AND f.t - h.t <= 30),
+lk AS (SELECT DISTINCT substr(s, 1, 1) AS cs, substr(o, 1, 1) AS co, r_head, r FROM wit),
+own AS (SELECT s, o, t, r_head, list(DISTINCT r) AS rs FROM wit GROUP BY ALL),
+l0 AS (SELECT f.s, f.o, f.r, f.t, k.r_head, w.r_head IS NOT NULL AS ok FROM facts f JOIN lk k ON substr(f.s, 1, 1) = k.cs AND substr(f.o, 1, 1) = k.co AND f.r = k.r LEFT JOIN wit w ON f.s = w.s AND f.o = w.o AND f.r = w.r AND f.t = w.t AND k.r_head = w.r_head),
+l1 AS (SELECT a.s, a.o, a.r, a.t, a.r_head AS r_mid, k.r_head, w.r_head IS NOT NULL AS ok FROM l0 a JOIN lk k ON substr(a.s, 1, 1) = k.cs AND substr(a.o, 1, 1) = k.co AND a.r_head = k.r LEFT JOIN wit w ON a.s = w.s AND a.o = w.o AND a.r = w.r AND a.t = w.t AND k.r_head = w.r_head WHERE NOT a.ok)"""
+
+
+@query(over("lifecycle", _WIT, select="SELECT 0 AS hop, r, ok, count(*) AS n FROM l0 GROUP BY ALL UNION ALL SELECT 1, r_mid, ok, count(*) FROM l1 GROUP BY ALL"))
 def walk_reach(spark, d):
-    """Relations reachable over strong chain links within three hops, the unrolled way."""
-    links = chain_pairs(spark, d).where("n > 1000").select("r_head", "r_tail")
-    level = links.select(F.col("r_head").alias("src"), F.col("r_tail").alias("dst"), F.lit(1).alias("hop"))
-    out = level
-    for _ in range(2):
-        level = level.join(links, F.col("dst") == F.col("r_head")).select("src", F.col("r_tail").alias("dst"), (F.col("hop") + 1).alias("hop")).distinct()
-        out = out.unionByName(level)
-    return out.distinct()
+    """The walk over all chain links, kinds as categories, one hop back: precursors found and not, by relation and hop."""
+    from ..operators import scoring as sc
+    from .experiments import all_links
+
+    facts = fx.with_ids(fx.lifecycle(spark, d))
+    trace, _, _ = sc.walk(facts, facts.select("s", "r", "o", "t"), all_links(facts, 30), sc.ScoreConfig(K=1, horizon=30, closures=False))
+    return trace.groupBy(F.col("hop").cast("int").alias("hop"), "r", (F.col("status") == "ok").alias("ok")).agg(F.sum("mult").alias("n"))
\ No newline at end of file

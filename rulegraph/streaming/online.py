@@ -31,27 +31,47 @@ def start_state(offline: DataFrame, config) -> OnlineState:
     return OnlineState(graph, offline.select("s", "r", "o", "t"), {"bits": 0.0, "ticks": 0, "facts": 0}, {"bits": graph.scalars["error_bits"], "ticks": graph.scalars["n_ticks"]}, [])
 
 
-def step(state: OnlineState, batch: DataFrame, score: sc.ScoreConfig, online: OnlineConfig, sink: Callable[[DataFrame], None] | None = None) -> OnlineState:
-    """One micro-batch: score, keep what is valid, update, monitor, rebuild when due.
+def judged(batch: DataFrame, history: DataFrame, graph: RuleGraph, score: sc.ScoreConfig, online: OnlineConfig) -> DataFrame:
+    """Facts of a batch scored and classified as if they had come tick by tick.
 
-    Facts see only earlier ticks, so a batch of several ticks gives what one batch a tick
-    with an unchanged graph would give.
+    A fact may rest on earlier facts of the batch, but only on those judged valid. First
+    all that pass the static check serve as evidence, then those that the round before
+    held valid, until no verdict changes: verdicts of a tick depend on earlier ticks
+    only, so the first i ticks are right after i rounds.
     """
+    facts = sc.identified(batch)
+    static = sc.static_score(facts, graph, score)
+    own = staged(sc.classify(static.withColumn(online.time_by, F.lit(float("-inf"))), online.th_static, online.th_temporal, online.time_by).where("verdict = 'valid'").select("s", "r", "o", "t"), "static")
+    mark = lambda df: tuple(df.agg(F.count(F.lit(1)), F.sum(F.xxhash64("s", "r", "o", "t").bitwiseAND(F.lit((1 << 40) - 1)))).first())
+    before = mark(own)
+    while True:
+        scored = staged(sc.classify(sc.score(facts, history.unionByName(own), graph, score), online.th_static, online.th_temporal, online.time_by), "scored")
+        own = scored.where("verdict = 'valid'").select("s", "r", "o", "t")
+        now = mark(own)
+        if now == before or not online.updater:
+            return scored
+        before = now
+
+
+def step(state: OnlineState, batch: DataFrame, score: sc.ScoreConfig, online: OnlineConfig, sink: Callable[[DataFrame], None] | None = None, monitor: bool = True) -> OnlineState:
+    """One micro-batch: score, keep what is valid, update, monitor, rebuild when due."""
     batch = staged(batch.select("s", "r", "o", "t").distinct(), "batch")
     if batch.isEmpty():
         return state
-    facts = sc.identified(batch)
-    known = state.history.unionByName(batch)
-    scored = staged(sc.classify(sc.score(facts, known, state.graph, score), online.th_static, online.th_temporal), "scored")
+    if online.updater:
+        scored = judged(batch, state.history, state.graph, score, online)
+    else:  # frozen: the batch sees the history as it is
+        scored = staged(sc.classify(sc.score(sc.identified(batch), state.history, state.graph, score), online.th_static, online.th_temporal, online.time_by), "scored")
     if sink:
         sink(scored)
     valid = scored.where("verdict = 'valid'").select("s", "r", "o", "t")
-    ticks = explained_ticks(batch, state.history, state.graph, state.graph.config.horizon).agg(F.sum("error_bits"), F.count(F.lit(1)), F.sum("n_facts")).first()
+    ticks = explained_ticks(batch, state.history, state.graph, state.graph.config.horizon).agg(F.sum("error_bits"), F.count(F.lit(1)), F.sum("n_facts")).first() if monitor else (0.0, 0, 0)
     counters = {"bits": state.online["bits"] + (ticks[0] or 0.0), "ticks": state.online["ticks"] + ticks[1], "facts": state.online["facts"] + (ticks[2] or 0)}
     graph, history = state.graph, state.history
     if online.updater:
-        graph, history = update(graph, history, valid)
-        history = staged(history, "history")
+        graph, _ = update(graph, history, valid)
+        # a batch is appended as its own folder: history is not written again
+        history = history.unionByName(staged(valid.join(history, ["s", "r", "o", "t"], "left_anti"), "history"))
     offline, rebuilt = state.offline, False
     if should_refresh(counters, offline, online):
         graph = build(history, graph.config)
@@ -125,8 +145,39 @@ def sessions(events: DataFrame) -> DataFrame:
     return w.select(F.unix_seconds("session_window.start").alias("start"), "user_id", "n")
 
 
+def once(events: DataFrame) -> DataFrame:
+    """Events without repeats that come within a day."""
+    return events.withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["event_id"])
+
+
 def deduplicated(events: DataFrame) -> DataFrame:
-    return click_facts(events.withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["event_id"]))
+    return click_facts(once(events))
+
+
+def late_dropped(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts by six hours of a stream whose last file is older than the others by half of the whole span: (start, n).
+
+    Rows are late by the watermark that the batch before began with, so the newest events make a file of their own in between.
+    """
+    events = spark.read.parquet(f"{sf_dir}/events.parquet").select(F.col("ts").cast("timestamp").alias("ts"))
+    low, high = events.agg(F.unix_micros(F.min("ts")), F.unix_micros(F.max("ts"))).first()
+    folder = new_path(spark, "late")
+    middle = F.timestamp_micros(F.lit((low + high) // 2 // 1_000_000 * 1_000_000))
+    newest = F.timestamp_micros(F.lit(high))
+    for part in (events.where((F.col("ts") >= middle) & (F.col("ts") < newest)), events.where(F.col("ts") == newest), events.where(F.col("ts") < middle)):
+        part.coalesce(1).write.mode("append").parquet(folder)
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(folder).withWatermark("ts", "1 hour")
+    counted = stream.groupBy(F.window("ts", "6 hours")).agg(F.count(F.lit(1)).alias("n"))
+    return drained(counted.select(F.unix_seconds("window.start").alias("start"), "n"), "late-counts")
+
+
+def scored_stream(stream: DataFrame, graph: RuleGraph) -> DataFrame:
+    """Static scores of a stream of facts, one folder a micro-batch, read back."""
+    spark = stream.sparkSession
+    path = new_path(spark, "static-scores")
+    each = lambda batch, i: sc.static_score(sc.identified(batch), graph).write.mode("overwrite").parquet(f"{path}/batch={i}")
+    stream.writeStream.foreachBatch(each).option("checkpointLocation", new_path(spark, "static-state")).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(path)
 
 
 def chain_join(events: DataFrame, hours: int = 6) -> DataFrame:
