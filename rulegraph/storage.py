@@ -9,13 +9,18 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named in ``spark.checkpoint.dir``; a local one where that is unset (tests)."""
+    """The folder named in ``spark.checkpoint.dir``; where that is unset, a local one if all runs in this process (tests, bench).
+
+    On a cluster executors would each write to a disk of their own, so an unset folder is an error there.
+    """
     sc = spark.sparkContext
     found = sc.getConf().get("spark.checkpoint.dir", None)
     if not found:
         held = sc._jsc.sc().getCheckpointDir()
         found = held.get() if held.isDefined() else None
     if not found:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         found = "file://" + tempfile.mkdtemp(prefix="rulegraph-")
         sc.setCheckpointDir(found)
     return found.rstrip("/")
