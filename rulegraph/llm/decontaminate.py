@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks_of, tidied, words_of
+from .common import blocks_of, free_name, tidied, words_of
 
 #: A word after lower-casing A-Z.
 WORD = re.compile("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+")
@@ -209,28 +209,65 @@ def _scan(windows: Windows, batch: pa.RecordBatch, block_bytes: int):
         yield first, np.diff(bounds), items, marks
 
 
-def _windows(benchmark: DataFrame, size: int, max_benchmark_mb: int) -> Windows:
-    held = benchmark.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    if held > max_benchmark_mb << 20:
-        raise ValueError(f"the benchmark holds {held >> 20} MB of text, over {max_benchmark_mb}; use decontaminate_in_parts")
+def _windows(benchmark: DataFrame, size: int) -> Windows:
     rows = benchmark.select(F.col("item_id").cast("string"), "text").where(F.col("item_id").isNotNull()).collect()
     return Windows([(r[0], words(r[1])) for r in rows], size)
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 1 << 20, max_benchmark_mb: int = 64) -> DataFrame:
+def benchmark_parts(benchmark: DataFrame, max_mb: float) -> list[DataFrame]:
+    """The benchmark, cut by a hash of the items into parts of about max_mb of text if it holds more."""
+    held = benchmark.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    n = max(1, int(-(-held // (max_mb * (1 << 20)))))
+    return [benchmark] if n == 1 else [benchmark.where(F.pmod(F.xxhash64(F.col("item_id").cast("string")), F.lit(n)) == k) for k in range(n)]
+
+
+def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 1 << 20, max_benchmark_mb: float = 64) -> DataFrame:
     """Words of documents (doc_id, text) inside occurrences of benchmark (item_id, text) windows.
 
     Returns doc_id, n_words, n_hit, n_items, items_sha256, contaminated, items (sorted
     as strings) and spans (merged, first and last word exclusive): one row for each
-    input row. A null text has no words; an item without words has no window; equal
-    windows of several items count for each; repeated rows are judged each; an empty
-    corpus gives no rows, an empty benchmark no hits.
+    input row. A null text has no words; an item without words has no window; an item without
+    id is nobody's and left out; equal windows of several items count for each; repeated rows are
+    judged each; an empty corpus gives no rows, an empty benchmark no hits.
 
-    The benchmark goes to every task, so its size is checked: above
-    ``max_benchmark_mb`` of text this raises; search it in parts with
-    :func:`decontaminate_in_parts`.
+    The benchmark goes to every task, so its size is checked: of more than
+    ``max_benchmark_mb`` of text the items are dealt into parts, each searched in a pass of its own, and
+    the rows' results are put together: the same rows either way.
     """
-    windows = _windows(benchmark, size, max_benchmark_mb)
+    parts = benchmark_parts(benchmark, max_benchmark_mb)
+    if len(parts) == 1:
+        return _searched(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), _windows(parts[0], size), block_bytes)
+    # a row is known by its id and its text; equal rows have equal results and are counted
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.sha2(F.coalesce("text", F.lit("")), 256).alias("node"))
+    total = None
+    for part in parts:
+        found = _searched(keyed, _windows(part, size), block_bytes).select("doc_id", "node", "n_words", "items", "spans")
+        total = found if total is None else total.unionByName(found)
+    rows = total.groupBy("doc_id", "node").agg(F.first("n_words").alias("n_words"), F.flatten(F.collect_set("items")).alias("items"), F.flatten(F.collect_set("spans")).alias("spans"), (F.count(F.lit(1)) / len(parts)).cast("int").alias("copies"))
+    each = rows.select("doc_id", "n_words", "items", "spans", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
+
+    def unite(batches):
+        for batch in batches:
+            out = []
+            for doc, n, items, spans in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+                merged: list[list[int]] = []
+                for a, b in sorted(spans):
+                    if merged and a <= merged[-1][1]:
+                        merged[-1][1] = max(merged[-1][1], b)
+                    else:
+                        merged.append([a, b])
+                own, hit = sorted(set(items)), sum(b - a for a, b in merged)
+                out.append((doc, n, hit, len(own), hashlib.sha256(",".join(own).encode()).hexdigest(), hit > 0, own, merged))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out, strict=True), _OUT, strict=True)], schema=_OUT)
+
+    return each.drop("copy").mapInArrow(tidied(unite), _OUT_DDL)
+
+
+def _searched(docs: DataFrame, windows: Windows, block_bytes: int) -> DataFrame:
+    """Results of one set of windows for docs (doc_id, text and possibly node, which is kept)."""
+    keyed = "node" in docs.columns
+    schema = pa.schema([*_OUT, ("node", pa.string())]) if keyed else _OUT
 
     def scan(batches):
         for batch in batches:
@@ -239,14 +276,22 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_b
                 spans = [[list(x) for x in marks.get(d, [])] for d in range(len(own))]
                 hit = [sum(b - a for a, b in x) for x in spans]
                 columns = [batch.column(0).slice(first, len(own)), n_words, hit, [len(x) for x in own], [hashlib.sha256(",".join(x).encode()).hexdigest() for x in own], [n > 0 for n in hit], own, spans]
-                yield pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, _OUT, strict=True)], schema=_OUT)
+                if keyed:
+                    columns.append(batch.column(2).slice(first, len(own)))
+                yield pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)
+
+    return docs.mapInArrow(tidied(scan), _OUT_DDL + (", node string" if keyed else ""))
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(tidied(scan), _OUT_DDL)
 
+def cut_passages(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 1 << 20, max_benchmark_mb: float = 64) -> DataFrame:
+    """The same rows and columns with all hit words cut out of the texts (from a span's first word to its last).
 
-def cut_passages(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_bytes: int = 1 << 20, max_benchmark_mb: int = 64) -> DataFrame:
-    """The same rows and columns with all hit words cut out of the texts (from a span's first word to its last)."""
-    windows = _windows(benchmark, size, max_benchmark_mb)
+    A benchmark of several parts (see :func:`decontaminate`) is searched part by part, and all spans are cut at once.
+    """
+    parts = benchmark_parts(benchmark, max_benchmark_mb)
+    if len(parts) > 1:
+        return _cut_in_passes(docs, parts, size, block_bytes)
+    windows = _windows(parts[0], size)
 
     def clean(batches):
         for batch in batches:
@@ -254,24 +299,49 @@ def cut_passages(docs: DataFrame, benchmark: DataFrame, size: int = 10, block_by
             out = batch.column(at).to_pylist()
             for first, _, _, marks in _scan(windows, batch, block_bytes):
                 for d, spans in marks.items():
-                    text = out[first + d]
-                    place = [m.span() for m in WORD.finditer(text.translate(_LOWER))]
-                    pieces, end = [], 0
-                    for a, b in spans:
-                        pieces.append(text[end : place[a][0]])
-                        end = place[b - 1][1]
-                    out[first + d] = "".join([*pieces, text[end:]])
+                    out[first + d] = without(out[first + d], spans)
             yield batch.set_column(at, "text", pa.array(out, pa.string()))
 
     return docs.mapInArrow(tidied(clean), docs.schema)
 
 
-def decontaminate_in_parts(docs: DataFrame, benchmark: DataFrame, parts: int, **options) -> DataFrame:
-    """The same for a benchmark of any size: items dealt into parts, results merged by (doc_id, text hash)."""
-    keyed = docs.select("doc_id", "text", F.xxhash64("text").alias("_h"))
+def without(text: str, spans: list) -> str:
+    """The text without the words of spans (first, last exclusive; in order)."""
+    place = [m.span() for m in WORD.finditer(text.translate(_LOWER))]
+    pieces, end = [], 0
+    for a, b in spans:
+        pieces.append(text[end : place[a][0]])
+        end = place[b - 1][1]
+    return "".join([*pieces, text[end:]])
+
+
+def _cut_in_passes(docs: DataFrame, parts: list[DataFrame], size: int, block_bytes: int) -> DataFrame:
+    """Spans of all parts, joined back by id and text, cut together."""
+    node, spans = free_name(docs.columns, "node"), free_name(docs.columns, "spans")
+    digest = F.sha2(F.coalesce("text", F.lit("")), 256)
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", digest.alias("node"))
     total = None
-    for k in range(parts):
-        part = benchmark.where(F.pmod(F.xxhash64("item_id"), F.lit(parts)) == k)
-        found = decontaminate(keyed.select(F.xxhash64("doc_id", "_h").alias("doc_id"), "text"), part, **options).select("doc_id", "n_words", "items", "spans")
-        total = found if total is None else total.unionByName(found)
-    return total.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("spans")))).alias("spans"))
+    for part in parts:
+        one = _searched(keyed, _windows(part, size), block_bytes).where("contaminated").select("node", "spans")
+        total = one if total is None else total.unionByName(one)
+    # spans depend on the text only
+    marks = total.groupBy(F.col("node").alias(node)).agg(F.array_sort(F.flatten(F.collect_set("spans"))).alias(spans))
+    joined = docs.withColumn(node, digest).join(marks, node, "left").select(*docs.columns, spans)
+
+    def clean(batches):
+        for batch in batches:
+            at = batch.schema.get_field_index("text")
+            out = batch.column(at).to_pylist()
+            for i, found in enumerate(batch.column(batch.num_columns - 1).to_pylist()):
+                if found:
+                    merged: list[list[int]] = []
+                    for a, b in found:
+                        if merged and a <= merged[-1][1]:
+                            merged[-1][1] = max(merged[-1][1], b)
+                        else:
+                            merged.append([a, b])
+                    out[i] = without(out[i], merged)
+            columns = [pa.array(out, pa.string()) if i == at else c for i, c in enumerate(batch.columns[:-1])]
+            yield pa.RecordBatch.from_arrays(columns, batch.schema.names[:-1])
+
+    return joined.mapInArrow(tidied(clean), docs.schema)
