@@ -78,55 +78,69 @@ class HistoryRewritten(ValueError):
     """A template changed the text of earlier turns."""
 
 
-def turn_spans(messages: Messages, template: Callable[[Messages], str], window: int = 64) -> tuple[str, list[tuple[int, int]]]:
-    """The rendering and each turn's span in it, found by comparing prefix renderings.
-
-    The first ``window`` prefixes are rendered whole. After that each step renders the
-    first turn and the last ``window`` turns only, with and without the new one, so a
-    conversation of n turns takes n renderings of bounded size; a final rendering of all
-    turns must equal the joined spans, or the template is not local and the full
-    prefixes are rendered after all.
+#: Stands for a turn's text when its place is looked for (a private code point).
+PROBE = "\ue000"
+
+
+def turn_spans(messages: Messages, template: Callable[[Messages], str], window: int = 64, role: str = "assistant") -> tuple[str, list[tuple[int, int]], list[tuple[int, int]]]:
+    """The rendering, each turn's span in it, and the spans of the texts of ``role``: found by comparing renderings only.
+
+    One rule for every length: a turn is rendered after its context, the first turn and the
+    ``window`` turns before it (all turns before, where there are no more), and what the rendering
+    adds to that of the context is the turn's piece. The rendering of all turns must be the
+    pieces joined; where it is not, the template looks further back, and whole prefixes are rendered instead.
+    A prefix that does not begin with the one before raises :class:`HistoryRewritten`.
+
+    The text's place inside a piece is where a probe stands that is rendered in its stead.
     """
-    shown, spans = "", []
 
-    def step(before: str, after: str) -> str:
+    def piece(before: str, after: str, n: int) -> str:
         if not after.startswith(before):
-            raise HistoryRewritten(f"turn {len(spans)} changes the text before it")
+            raise HistoryRewritten(f"turn {n} changes the text before it")
         return after[len(before) :]
 
-    pieces: list[str] = []
-    for n in range(1, min(len(messages), window) + 1):
-        now = template(messages[:n])
-        pieces.append(step(shown, now))
-        shown = now
-    if len(messages) > window:
-        for n in range(window + 1, len(messages) + 1):
-            context = [messages[0], *messages[n - window : n - 1]]
-            pieces.append(step(template(context), template([*context, messages[n - 1]])))
-        whole = template(messages)
-        if whole != "".join(pieces):
-            pieces, shown = [], ""
-            for n in range(1, len(messages) + 1):
-                now = template(messages[:n])
-                pieces.append(step(shown, now))
-                shown = now
-        shown = whole
-    at = 0
-    for piece in pieces:
-        spans.append((at, at + len(piece)))
-        at += len(piece)
-    return shown, spans
-
-
-def mask_spans(messages: Messages, rendered: str, spans: list[tuple[int, int]], role: str = "assistant") -> list[tuple[int, int]]:
-    """Parts of the spans of ``role`` that hold its (escaped) text without marks: what a loss covers."""
-    out = []
-    for (who, text), (a, b) in zip(messages, spans, strict=True):
-        if who == role:
-            body = escape(text)
-            at = rendered.index(body, a, b) if body else a
-            out.append((at, at + len(body)))
-    return out
+    def cut(contexts) -> tuple[list[str], list[tuple[int, int] | None]]:
+        pieces, bodies = [], []
+        for n, (context, shown) in enumerate(contexts):
+            who, _ = messages[n]
+            own = piece(shown, template([*context, messages[n]]), n)
+            pieces.append(own)
+            bodies.append(_place(own, piece(shown, template([*context, (who, PROBE)]), n)) if who == role else None)
+        return pieces, bodies
+
+    def near():
+        for n in range(len(messages)):
+            context = messages[:n] if n <= window + 1 else [messages[0], *messages[n - window : n]]
+            yield context, template(context) if context else ""
+
+    def whole():
+        for n in range(len(messages)):
+            yield messages[:n], template(messages[:n]) if n else ""
+
+    rendered = template(messages) if messages else ""
+    pieces, bodies = cut(near())
+    if "".join(pieces) != rendered:
+        pieces, bodies = cut(whole())
+        if "".join(pieces) != rendered:
+            raise HistoryRewritten("the whole is not its turns")
+    spans, loss, at = [], [], 0
+    for own, body in zip(pieces, bodies, strict=True):
+        spans.append((at, at + len(own)))
+        if body is not None:
+            loss.append((at + body[0], at + body[1]))
+        at += len(own)
+    return rendered, spans, loss
+
+
+def _place(own: str, probed: str) -> tuple[int, int]:
+    """Where a turn's text lies in its piece, given the piece with a probe in place of the text.
+
+    A template that renders other text around different texts, or no probe, has its whole piece under the mask.
+    """
+    before, found, after = probed.partition(PROBE)
+    if found and own.startswith(before) and own.endswith(after) and len(own) >= len(before) + len(after):
+        return len(before), len(own) - len(after)
+    return 0, len(own)
 
 
 _OUT = pa.schema([("conv_id", pa.int64()), ("formatted", pa.string()), ("turn_spans", pa.list_(pa.list_(pa.int64()))), ("loss_spans", pa.list_(pa.list_(pa.int64()))), ("rewritten", pa.bool_())])
@@ -148,8 +162,8 @@ def format_chats(conversations: DataFrame, template: Callable[[Messages], str] =
 
         def done():
             try:
-                text, spans = turn_spans(held, template)
-                out.append((key[0], text, [list(x) for x in spans], [list(x) for x in mask_spans(held, text, spans)], False))
+                text, spans, loss = turn_spans(held, template)
+                out.append((key[0], text, [list(x) for x in spans], [list(x) for x in loss], False))
             except HistoryRewritten:
                 out.append((key[0], template(held), [], [], True))
 
