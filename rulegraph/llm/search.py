@@ -17,11 +17,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import tidied
+from .common import staged, tidied
 
-_OUT = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
-#: Components up to this size give exact sums in float64 for any dimension up to 4096.
-EXACT = 1 << 20
+_OUT = pa.schema([("query_id", pa.int64()), ("query_row", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
+#: Sums of squares below this are exact in float64.
+EXACT = 1 << 53
 
 
 def quantised(df: DataFrame, scale: int = 256) -> DataFrame:
@@ -104,53 +104,69 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = 5, scale: int = 256,
 
     ``vectors`` and ``queries`` have vec_id and embedding. Returns query_id, rank (from
     1), vec_id, score; fewer rows where there are fewer candidates; ties go to the
-    smaller vec_id. Only vectors of one dimension are compared. Quantised components
-    must be under 2**20 in size (else the task fails rather than rounding). Queries are
-    read in blocks of about ``block`` rows, so what is sent to tasks is bounded
-    (block * dimension * 8 bytes) and the number of passes grows with the query set.
+    smaller vec_id. Only vectors of one dimension are compared. Rows that repeat a vec_id are
+    vectors of their own: as queries each has k rows, as candidates each counts, but none counts for
+    a query of its own id. Sums of squares of quantised vectors must stay under 2**53
+    (else the task fails rather than rounding).
+
+    Queries are taken in blocks of about ``block`` rows, one after the other: what the driver
+    holds and what is sent to tasks at a time is bounded (block * dimension * 8 bytes),
+    and the number of passes grows with the query set. With several blocks the quantised
+    vectors and each block's answers are written once and the block is let go.
     """
-    spark = vectors.sparkSession
     candidates, asked = quantised(vectors, scale), quantised(queries, scale)
     blocks = max(1, -(-asked.count() // block))
-    parts = []
-    for b in range(blocks):
-        held = asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).toArrow().combine_chunks() if blocks > 1 else asked.toArrow().combine_chunks()
-        own: dict[int, tuple[list, list]] = {}
-        for batch in held.to_batches():
-            for n, ids, rows in _matrices(batch):
-                own.setdefault(n, ([], []))
-                own[n][0].append(ids)
-                own[n][1].append(rows)
-        sent = spark.sparkContext.broadcast({n: (np.concatenate(i), np.concatenate(v)) for n, (i, v) in own.items()})
-
-        def scan(batches, sent=sent):
-            held: dict[int, list] = {}
-            count = 0
-
-            def flush():
-                for n, found in held.items():
-                    if n not in sent.value:
-                        continue
-                    table = PivotTable(np.concatenate([x for x, _ in found]), np.concatenate([x for _, x in found]), pivots)
-                    if n and max(np.abs(table.vectors).max(), np.abs(sent.value[n][1]).max()) >= EXACT:
-                        raise ValueError("a quantised component is 2**20 or more")
-                    out = [(int(q), i, s) for q, v in zip(*sent.value[n], strict=True) for s, i in table.top(int(q), v, k)]
-                    if out:
-                        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], schema=_OUT)
-                held.clear()
-
-            for batch in batches:
-                for n, ids, rows in _matrices(batch):
-                    held.setdefault(n, []).append((ids, rows))
-                    count += len(ids)
-                if count >= rows_at_once:
-                    yield from flush()
-                    count = 0
-            yield from flush()
-
-        parts.append(candidates.mapInArrow(tidied(scan), "query_id long, vec_id long, score long"))
-    found = parts[0]
-    for part in parts[1:]:
-        found = found.unionByName(part)
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    if blocks == 1:
+        found, _ = _answers(candidates, asked, 0, k, pivots, rows_at_once)
+    else:
+        candidates, asked, found = staged(candidates, "vectors"), staged(asked, "queries"), None
+        for b in range(blocks):
+            own = asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b)
+            part, sent = _answers(candidates, own, b, k, pivots, rows_at_once)
+            part = staged(part, "answers")
+            sent.unpersist()
+            found = part if found is None else found.unionByName(part)
+    order = Window.partitionBy("query_id", "query_row").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+
+
+def _answers(candidates: DataFrame, asked: DataFrame, number: int, k: int, pivots: int, rows_at_once: int):
+    """(query_id, query_row, vec_id, score): the k best of each task for one block of queries, and the broadcast block."""
+    own: dict[int, tuple[list, list, list]] = {}
+    seen = 0
+    for batch in asked.toArrow().combine_chunks().to_batches():
+        for n, ids, rows in _matrices(batch):
+            held = own.setdefault(n, ([], [], []))
+            held[0].append(ids)
+            held[1].append((number << 32) + seen + np.arange(len(ids)))
+            held[2].append(rows)
+            seen += len(ids)
+    sent = candidates.sparkSession.sparkContext.broadcast({n: tuple(np.concatenate(x) for x in parts) for n, parts in own.items()})
+
+    def scan(batches):
+        held: dict[int, list] = {}
+        count = 0
+
+        def flush():
+            for n, found in held.items():
+                if n not in sent.value:
+                    continue
+                ids, places, asks = sent.value[n]
+                table = PivotTable(np.concatenate([x for x, _ in found]), np.concatenate([x for _, x in found]), pivots)
+                if n and n * float(max(np.abs(table.vectors).max(), np.abs(asks).max())) ** 2 >= EXACT:
+                    raise ValueError("a sum of squares of quantised components is 2**53 or more")
+                out = [(int(q), int(p), i, s) for q, p, v in zip(ids, places, asks, strict=True) for s, i in table.top(int(q), v, k)]
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], schema=_OUT)
+            held.clear()
+
+        for batch in batches:
+            for n, ids, rows in _matrices(batch):
+                held.setdefault(n, []).append((ids, rows))
+                count += len(ids)
+            if count >= rows_at_once:
+                yield from flush()
+                count = 0
+        yield from flush()
+
+    return candidates.mapInArrow(tidied(scan), "query_id long, query_row long, vec_id long, score long"), sent
