@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks_of, mix64, shuffle_partitions, staged, tidied, words_of
+from .common import blocks_of, free_name, mix64, shuffle_partitions, staged, tidied, words_of
 
 #: Stands for a null doc_id inside joins.
 _NO_ID = -(1 << 63)
@@ -380,13 +380,14 @@ def keep_first(docs: DataFrame, threshold: float = 0.8, size: int = 5, registers
     """
     signed, by_node = _classes(docs, threshold, size, registers, bands)
     first = by_node.groupBy("class").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "node")).alias("m"))
-    first = first.select(F.coalesce("m.doc_id", F.lit(_NO_ID)).alias("_id"), F.col("m.node").alias("_node"))
+    id_, node = (free_name(docs.columns, c) for c in ("key", "node"))
+    first = first.select(F.coalesce("m.doc_id", F.lit(_NO_ID)).alias(id_), F.col("m.node").alias(node))
     text = F.coalesce(F.col("text"), F.lit(""))
-    keyed = docs.withColumn("_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(_NO_ID))).withColumn("_node", F.substring(F.unhex(F.sha2(text, 256)), 1, 16))
-    kept = keyed.join(first, ["_id", "_node"], "left_semi")
+    keyed = docs.withColumn(id_, F.coalesce(F.col("doc_id").cast("long"), F.lit(_NO_ID))).withColumn(node, F.substring(F.unhex(F.sha2(text, 256)), 1, 16))
+    kept = keyed.join(first, [id_, node], "left_semi")
     if not _once(signed):
-        kept = kept.dropDuplicates(["_id", "_node"])
-    return kept.drop("_id", "_node")
+        kept = kept.dropDuplicates([id_, node])
+    return kept.select(*docs.columns)
 
 
 def _once(signed: DataFrame) -> bool:
