@@ -82,29 +82,72 @@ def chains_of(bounds: np.ndarray, chain: int) -> tuple[np.ndarray, np.ndarray]:
     return first, np.minimum(chain, bounds[1:][text] - first)
 
 
-def forward_backward(score: np.ndarray, first: np.ndarray, length: np.ndarray, transitions: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
+def passed_on(local: np.ndarray, bounds: np.ndarray, first: np.ndarray, length: np.ndarray, step: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """What enters each run of a text from the runs before it, and what comes back from those after it.
+
+    A run is a linear map of the messages that pass through it. The maps of all runs are
+    multiplied out together; then messages go from run to run of each text, so the runs of a text
+    are one chain, however long it is.
+    """
+    runs, labels = len(first), local.shape[1]
+    enter, leave = np.ones((runs, labels), local.dtype), np.ones((runs, labels), local.dtype)
+    text = np.searchsorted(bounds, first, "right") - 1
+    several = np.bincount(text, minlength=len(bounds))[text] > 1 if runs else np.zeros(0, bool)
+    own = np.flatnonzero(several)
+    if not len(own):
+        return enter, leave
+    first, length, text = first[own], length[own], text[own]
+    order = np.argsort(-length, kind="stable")
+    through = np.zeros((len(own), labels, labels), local.dtype)
+    through[:, np.arange(labels), np.arange(labels)] = local[first]
+    for t in range(1, int(length.max())):
+        live = order[: np.searchsorted(-length[order], -t, "left")]
+        now = (through[live] @ step) * local[first[live] + t][:, None, :]
+        through[live] = now / now.max((1, 2), keepdims=True)
+    head = np.flatnonzero(np.concatenate([[True], text[1:] != text[:-1]]))
+    count = np.diff(np.concatenate([head, [len(own)]]))
+    into, back = np.ones((len(own), labels), local.dtype), np.ones((len(own), labels), local.dtype)
+    for j in range(1, int(count.max())):
+        at = head[count > j] + j
+        now = np.einsum("rl,rlm->rm", into[at - 1], through[at - 1]) @ step
+        into[at] = now / now.max(1, keepdims=True)
+        at = head[count > j] + count[count > j] - 1 - j
+        now = np.einsum("rlm,rm->rl", through[at + 1], back[at + 1]) @ step.T
+        back[at] = now / now.max(1, keepdims=True)
+    enter[own], leave[own] = into, back
+    return enter, leave
+
+
+def forward_backward(score: np.ndarray, first: np.ndarray, length: np.ndarray, transitions: np.ndarray, bounds: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, float]:
     """Posteriors of the words of chains, expected transition counts, and the sum of log partitions.
 
+    With ``bounds`` (of texts) the runs of a text are joined to one chain, and the posteriors are those of
+    the whole text; counts and partitions are then those of the runs given what enters them.
+
     All chains advance together; within a step each is rescaled, so nothing overflows.
     """
     labels = score.shape[1]
-    order = np.argsort(-length, kind="stable")
-    first, length = first[order], length[order]
-    live = np.searchsorted(-length, -np.arange(1, (int(length[0]) if len(length) else 0) + 1), "right")
     top = score.max(1, keepdims=True)
     local = np.exp(score - top)
     step = np.exp(transitions).astype(score.dtype)
+    enter, leave = passed_on(local, bounds, first, length, step) if bounds is not None else (None, None)
+    order = np.argsort(-length, kind="stable")
+    first, length = first[order], length[order]
+    live = np.searchsorted(-length, -np.arange(1, (int(length[0]) if len(length) else 0) + 1), "right")
     ahead = np.empty_like(local)
     log_z = float(top.sum()) if len(score) else 0.0
     for t, n in enumerate(live):
         at = first[:n] + t
-        a = local[at] if t == 0 else (ahead[at - 1] @ step) * local[at]
+        a = (local[at] if enter is None else local[at] * enter[order[:n]]) if t == 0 else (ahead[at - 1] @ step) * local[at]
         norm = a.sum(1, keepdims=True)
         ahead[at] = a / norm
         log_z += float(np.log(norm).sum())
     posterior = ahead.copy()
     pairs = np.zeros((labels, labels))
-    back = np.ones((len(first), labels), score.dtype)
+    back = np.ones((len(first), labels), score.dtype) if leave is None else leave[order]
+    if leave is not None and len(first):
+        at = first + length - 1
+        posterior[at] = ahead[at] * back / (ahead[at] * back).sum(1, keepdims=True)
     for t in range(len(live) - 1, 0, -1):
         n = live[t]
         at = first[:n] + t
@@ -151,8 +194,9 @@ class LanguageModel:
         _, one, which = np.unique(hashes, return_index=True, return_inverse=True)
         features = word_features(WORD_LUT[data], starts[one], ends[one], hashes[one], self.buckets)
         score = emissions(features, self.weights)[which]
-        first, length = chains_of(bounds, self.chain)
-        return forward_backward(score, first, length, self.transitions)[0]
+        # maps of runs cost labels**2 a word: with many labels a text is one run
+        first, length = chains_of(bounds, self.chain if len(self.labels) <= 16 else max(1, int(np.diff(bounds).max(initial=1))))
+        return forward_backward(score, first, length, self.transitions, bounds)[0]
 
 
 def spread_runs(first: int, last: int, words_each: int, chain: int) -> list[np.ndarray]:
