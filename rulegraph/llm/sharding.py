@@ -42,16 +42,16 @@ def quotas(rows: int, shards: int) -> list[int]:
     return [rows // shards + (s < rows % shards) for s in range(shards)]
 
 
-def propagate(state: DataFrame, room: list[int], rounds: int) -> DataFrame:
+def propagate(state: DataFrame, room: list[int]) -> DataFrame:
     """Moves groups (g, shard, n) towards their most frequent shard with room left in ``room``.
 
     A round costs one aggregate of the state; loads and wishes, one number for each
     shard, are all that the driver sees. Where more wish to enter a shard than it has
     room for, a hash draws who may; the rest look again in the next round, from a table
-    written in between.
+    written in between. It ends when nobody wishes to move, or a round brings nobody nearer.
     """
-    shards = len(room)
-    for turn in range(rounds):
+    shards, turn, before = len(room), 0, None
+    while True:
         load = {r["shard"]: r["n"] for r in state.groupBy("shard").agg(F.sum("n").alias("n")).collect()}
         left = [max(0, room[s] - load.get(s, 0)) for s in range(shards)]
         # over its quota a shard attracts nobody; among others more neighbours win, then more room
@@ -61,14 +61,14 @@ def propagate(state: DataFrame, room: list[int], rounds: int) -> DataFrame:
         wish = groups.select("g", "_size", "_parts", F.coalesce(F.col("_best.shard"), _drawn(_unit("g", F.lit(turn)), [float(x) for x in left])).alias("_to"), F.coalesce(F.col("_best.n"), F.lit(0)).alias("_there"))
         wish = wish.withColumn("_in", F.col("_size") - F.col("_there"))
         asked = {r["_to"]: r["n"] for r in wish.where(F.col("_in") > 0).groupBy("_to").agg(F.sum("_in").alias("n")).collect()}
-        if not asked:
-            break
+        if not asked or (before is not None and sum(asked.values()) >= before):
+            return state
+        before, turn = sum(asked.values()), turn + 1
         share = F.element_at(F.array([F.lit(min(1.0, 0.95 * left[s] / asked[s]) if asked.get(s) else 1.0) for s in range(shards)]), F.col("_to") + 1)
         chosen = wish.withColumn("_go", (F.col("_in") == 0) | (_unit("g", F.lit(1000 + turn)) < share))
         moved = chosen.where("_go").select("g", F.col("_to").alias("shard"), F.col("_size").alias("n"))
         kept = state.join(chosen.where(~F.col("_go")).select("g"), "g", "left_semi")
         state = staged(moved.unionByName(kept.select("g", "shard", "n")), "labels")
-    return state
 
 
 def seats(sizes: dict[tuple[int, int], int], room: list[int]) -> dict[tuple[int, int], list[tuple[int, int]]]:
@@ -111,11 +111,19 @@ def seated(state: DataFrame, room: list[int], buckets: int) -> DataFrame:
     return ranked.join(F.broadcast(spans), on, "left").select("g", "shard")
 
 
-def shard_rows(docs: DataFrame, shards: int = 8, rounds: int = 4, giant: float = 0.125) -> DataFrame:
+def cut_links(found: DataFrame) -> DataFrame:
+    """One row for the result of :func:`shard_rows`: groups of equal texts, groups in several shards, links (members beyond a
+    group's first) and links cut (members outside of their group's largest shard)."""
+    parts = found.where("linked").groupBy("text_id", "shard").agg(F.count(F.lit(1)).alias("n"))
+    groups = parts.groupBy("text_id").agg(F.sum("n").alias("size"), F.max("n").alias("best"), F.count(F.lit(1)).alias("shards"))
+    return groups.agg(F.count(F.lit(1)).alias("n_groups"), F.coalesce(F.sum((F.col("shards") > 1).cast("long")), F.lit(0)).alias("n_cut_groups"), F.coalesce(F.sum(F.col("size") - 1), F.lit(0)).alias("n_links"), F.coalesce(F.sum(F.col("size") - F.col("best")), F.lit(0)).alias("n_cut_links"))
+
+
+def shard_rows(docs: DataFrame, shards: int = 8, giant: float = 0.125) -> DataFrame:
     """Puts documents (doc_id, text) into shards with counts at most one apart.
 
     Returns doc_id, size (UTF-8 bytes plus 1), text_crc32, shard, slot (gapless from 0 in
-    each shard), linked. A null text has no bytes and is linked with empty texts; repeated
+    each shard), linked, text_id (digest of the text). A null text has no bytes and is linked with empty texts; repeated
     rows count each; an empty table gives no rows.
     """
     spark = docs.sparkSession
@@ -142,9 +150,9 @@ def shard_rows(docs: DataFrame, shards: int = 8, rounds: int = 4, giant: float =
     start = _drawn(_unit("doc_id", "g"), [float(x) for x in room])
     small = groups.where(~is_large).select("g")
     linked = rows.join(small, "g", "left_semi")
-    state = propagate(staged(linked.groupBy("g", start.alias("shard")).agg(F.count(F.lit(1)).alias("n")), "labels"), room, rounds) if total else None
+    state = propagate(staged(linked.groupBy("g", start.alias("shard")).agg(F.count(F.lit(1)).alias("n")), "labels"), room) if total else None
     if state is None:
-        return rows.select("doc_id", "size", "text_crc32", F.lit(0).alias("shard"), F.lit(0).cast("long").alias("slot"), F.lit(False).alias("linked"))
+        return rows.select("doc_id", "size", "text_crc32", F.lit(0).alias("shard"), F.lit(0).cast("long").alias("slot"), F.lit(False).alias("linked"), F.col("g").alias("text_id"))
     buckets = shuffle_partitions(spark)
     settled = seated(state, room, buckets).select("g", F.col("shard").alias("_to"), F.lit(True).alias("_small"))
     wanted = rows.join(settled, "g", "left")
@@ -163,7 +171,7 @@ def shard_rows(docs: DataFrame, shards: int = 8, rounds: int = 4, giant: float =
     shift = F.element_at(F.array([F.lit(int(ahead.get(s, 0))) for s in range(-1, shards)]), F.col("wish") + 2)
     ranked = ranked.withColumn("rank", F.col("rank") + F.when(F.col("_giant"), shift).otherwise(0)).drop("_giant")
     limit = F.element_at(F.array([F.lit(0), *[F.lit(q) for q in quota]]), F.col("wish") + 2)
-    stays = ranked.where(F.col("rank") < limit).select("doc_id", "size", "text_crc32", F.col("wish").alias("shard"), F.col("rank").alias("slot"), "linked")
+    stays = ranked.where(F.col("rank") < limit).select("doc_id", "size", "text_crc32", F.col("wish").alias("shard"), F.col("rank").alias("slot"), "linked", F.col("g").alias("text_id"))
     pool = ranked.where(F.col("rank") >= limit)
     pool = dealt_rank(pool.withColumn("_all", F.lit(0)), ["_all"], ["doc_id", "g"], "place", buckets)
     given = [min(quota[s], counts.get(s, 0)) for s in range(shards)]
@@ -173,5 +181,5 @@ def shard_rows(docs: DataFrame, shards: int = 8, rounds: int = 4, giant: float =
         inside = F.col("place") < int(edges[s + 1])
         shard = F.when(inside, s).otherwise(shard)
         slot = F.when(inside, F.col("place") - int(edges[s]) + given[s]).otherwise(slot)
-    filled = pool.select("doc_id", "size", "text_crc32", shard.alias("shard"), slot.alias("slot"), "linked")
+    filled = pool.select("doc_id", "size", "text_crc32", shard.alias("shard"), slot.alias("slot"), "linked", F.col("g").alias("text_id"))
     return stays.unionByName(filled)
