@@ -575,20 +575,28 @@ def _spans(places: np.ndarray, length: int) -> list[int]:
     return np.stack([first, last], 1).ravel().tolist()
 
 
-def removed_bytes(docs: DataFrame, length: int = 50, gram: int = 16, crowded: float = 3.0, flush_bytes: int = 16 << 20) -> DataFrame:
+#: More buckets would cut what a task sends at a time into crumbs; beyond 8 TB of texts a task holds more instead.
+_MOST_TASKS = 1 << 16
+
+
+def removed_bytes(docs: DataFrame, length: int = 50, gram: int = 16, crowded: float = 3.0, flush_bytes: int = 16 << 20, task_bytes: int = 128 << 20) -> DataFrame:
     """Bytes of each document (doc_id, text) covered by a ``length``-byte string that starts in a smaller document.
 
     Returns doc_id, n_bytes, n_removed, n_spans, kept_sha256, spans (removed byte ranges): one row for
     each input row. A null text is empty; a null doc_id is smaller than all others; rows
     with one doc_id do not count as smaller than each other; texts under ``length`` bytes
     keep everything; an empty table gives no rows. A bucket of keys with over ``crowded``
-    times the mean number of shared runs is split over several shards.
+    times the mean number of shared runs is split over several shards. There is a task for about
+    every ``task_bytes`` of text, and at least one for each shuffle partition.
     """
     spark = docs.sparkSession
-    partitions = shuffle_partitions(spark)
-    buckets = 2 * partitions
     base = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_NO_ID)).alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("node", F.xxhash64("text"))
-    index = staged(base.select("doc_id", "node", F.unhex(F.sha2("text", 256)).alias("digest")), "index")
+    index = staged(base.select("doc_id", "node", F.unhex(F.sha2("text", 256)).alias("digest"), F.octet_length("text").alias("size")), "index")
+    # tasks and buckets grow with the texts, so that what one of them holds does not
+    held = index.agg(F.coalesce(F.sum("size"), F.lit(0))).first()[0]
+    partitions = min(max(shuffle_partitions(spark), -(-held // task_bytes)), _MOST_TASKS)
+    buckets = 2 * partitions
+    index = index.drop("size")
     nodes = staged(index.groupBy("node", "digest").agg(F.min("doc_id").alias("first")), "nodes")
     shared = staged(_shared_runs(_entries(base.select("text"), length, gram, buckets, flush_bytes), partitions), "shared")
     totals = np.zeros(buckets, np.int64)  # one number for each bucket: bounded by the number of partitions
