@@ -16,9 +16,9 @@ def test_templates_read_back_whatever_texts_say():
     rnd = random.Random(5)
     for _ in range(3000):
         messages = [(rnd.choice(["user", "assistant", "system", "tool", "", "[ROLE]"]), "".join(rnd.choice(PARTS) for _ in range(rnd.randint(0, 6)))) for _ in range(rnd.randint(1, 9))]
-        shown, spans = ch.turn_spans(messages, ch.instruct_template, window=3)
-        assert shown == ch.instruct_template(messages) and ch.instruct_parse(shown) == messages
-        loss = "".join(ch.unescape(shown[a:b]) for a, b in ch.mask_spans(messages, shown, spans))
+        shown, spans, mask = ch.turn_spans(messages, ch.instruct_template, window=3)
+        assert shown == ch.instruct_template(messages) and ch.instruct_parse(shown) == messages and len(spans) == len(messages)
+        loss = "".join(ch.unescape(shown[a:b]) for a, b in mask)
         assert loss == "".join(t for r, t in messages if r == "assistant")
 
 
@@ -32,12 +32,21 @@ def test_rewritten_history_is_found(spark):
     with pytest.raises(ch.HistoryRewritten):
         ch.turn_spans([("user", "a"), ("user", "b")], counting)
     many = [("user", str(i)) for i in range(40)]
-    shown, spans = ch.turn_spans(many, not_local, window=4)
+    shown, spans, _ = ch.turn_spans(many, not_local, window=4)
     assert shown == not_local(many) and spans[-1][1] == len(shown)
     rows = spark.createDataFrame([(1, 0, "user", "a"), (1, 1, "assistant", "b")], "conv_id long, turn long, role string, text string")
     assert ch.format_chats(rows, counting).first()["rewritten"]
 
 
+def test_masks_need_no_knowledge_of_the_template():
+    shown, _, mask = ch.turn_spans([("user", "s"), ("assistant", "s"), ("assistant", "a\\b"), ("assistant", "")], lambda m: "".join(f"[{r}]{t}" for r, t in m))
+    assert [shown[a:b] for a, b in mask] == ["s", "a\\b", ""] and shown[mask[0][0] - 1] == "]"
+    shown, _, mask = ch.turn_spans([("assistant", "ab"), ("user", "x"), ("assistant", "<i>")], lambda m: "".join(f"<{t.upper()}></{r}>" for r, t in m))
+    assert [shown[a:b] for a, b in mask] == ["AB", "<I>"]
+    many = [("assistant", str(i % 3)) for i in range(200)]
+    assert "".join(shown[a:b] for shown, _, mask in [ch.turn_spans(many, ch.instruct_template, window=5)] for a, b in mask) == "".join(t for _, t in many)
+
+
 def test_digest_of_odd_conversations(spark):
     rows = [(1, 1, "assistant", "b"), (1, 0, "user", "a"), (1, 1, "assistant", "b"), (2, 0, None, None), (None, 0, "user", "x"), (3, 0, "assistant", "")]
     frame = spark.createDataFrame([(*r, 5) for r in rows], "conv_id long, turn long, role string, text string, formatted int")
@@ -63,6 +72,13 @@ def test_top_k_against_brute_force(spark):
     assert top_k(frame.where("false"), frame.where("false")).count() == 0
 
 
+def test_repeated_vector_ids_are_vectors_of_their_own(spark):
+    rows = [(50, [1.0, 0.0]), (50, [0.0, 1.0]), (1, [2.0, 0.0]), (2, [0.0, 2.0]), (2, [0.0, 3.0])]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    got = sorted((r["rank"], r["vec_id"], r["score"]) for r in top_k(frame, frame.where("vec_id = 50"), k=2, block=1).collect())
+    assert got == sorted([(1, 1, 131072), (2, 2, 0), (1, 2, 196608), (2, 2, 131072)])
+
+
 def test_pivots_spare_evaluations():
     rng = np.random.default_rng(2)
     centres = rng.normal(size=(20, 16)) * 400
@@ -98,5 +114,10 @@ def test_pipeline_stages(spark, sf_dir):
             assert decontaminate(before, spark.read.parquet(f"{sf_dir}/benchmark.parquet")).where("contaminated").count() > 0
         if name == "secrets":
             assert not any(find(r["text"]) for r in now.collect())
+    named = docs.limit(20).selectExpr("*", "doc_id AS _id", "doc_id AS _node", "1 AS _label", "1 AS _score", "1 AS label", "2 AS score", "3 AS node", "4 AS key", "5 AS spans")
+    for name, stage in cp.STAGES[:2]:
+        named = stage(spark, named, sf_dir)
+        assert named.count() > 0 and named.columns[-9:] == ["_id", "_node", "_label", "_score", "label", "score", "node", "key", "spans"], name
+        assert named.where("_id <> doc_id or score <> 2 or key <> 4").count() == 0
     pieces = cp.STAGES[-1][1](spark, now, sf_dir)
     assert {r["doc_id"] for r in pieces.select("doc_id").distinct().collect()} == {r["doc_id"] for r in now.collect()}

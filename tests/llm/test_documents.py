@@ -79,6 +79,15 @@ def test_groups_are_whole_where_nearly_all_rows_are_linked(spark, alone):
     assert sum(len(x) > 1 for x in seen.values()) <= 4
 
 
+def test_cut_links_are_counted(spark):
+    docs = frame(spark, [(i, f"copy {i // 2}") for i in range(40)] + [(100 + i, "many") for i in range(30)])
+    found = sh.shard_rows(docs, 8)
+    report = sh.cut_links(found).first()
+    assert report["n_groups"] == 21 and report["n_links"] == 20 + 29
+    assert 30 - 9 <= report["n_cut_links"] <= 30  # a group of 30 needs four shards of eight or nine
+    assert sh.cut_links(sh.shard_rows(docs.where("false"), 8)).first()["n_cut_links"] == 0
+
+
 def test_a_group_of_a_third_fills_whole_shards(spark):
     rows = [(i, "same" if i % 3 == 0 else f"t{i}") for i in range(480)]
     got = sh.shard_rows(frame(spark, rows)).collect()
@@ -194,10 +203,13 @@ def test_hits_against_brute_force(spark):
     none = de.decontaminate(frame(spark, docs), bench.where("false")).collect()
     assert not any(r["contaminated"] for r in none)
     assert de.decontaminate(frame(spark, docs).where("false"), bench).count() == 0
-    with pytest.raises(ValueError):
-        de.decontaminate(frame(spark, docs), bench, max_benchmark_mb=-1)
-    parts = {r["n_words"]: 0 for r in de.decontaminate_in_parts(frame(spark, docs), bench, 3).collect()}
-    assert parts
+    # a benchmark too large for one pass is searched in parts, with the same rows
+    assert len(de.benchmark_parts(bench, 4e-5)) > 2
+    again = de.decontaminate(frame(spark, docs), bench, block_bytes=200, max_benchmark_mb=4e-5).collect()
+    assert sorted(map(tuple, again), key=repr) == sorted(map(tuple, got), key=repr)
+    clashing = frame(spark, docs).selectExpr("*", "1 AS spans", "2 AS _spans", "3 AS _node")
+    one, many = ([tuple(r) for r in de.cut_passages(clashing, bench, max_benchmark_mb=mb).collect()] for mb in (64, 4e-5))
+    assert sorted(one, key=repr) == sorted(many, key=repr)
 
 
 def test_passages_are_cut_and_the_rest_stays(spark):
@@ -375,6 +387,15 @@ def test_forward_backward_against_all_paths():
     assert np.allclose(got, want) and np.allclose(pairs, want_pairs) and np.isclose(log_z, want_z)
 
 
+def test_runs_of_a_text_are_one_chain():
+    rng = np.random.default_rng(3)
+    score, step = rng.normal(size=(400, 3)), rng.normal(size=(3, 3))
+    bounds = np.array([0, 0, 7, 207, 208, 400])
+    whole = la.forward_backward(score, *la.chains_of(bounds, 1000), step)[0]
+    for chain in (1, 3, 64):
+        assert np.allclose(la.forward_backward(score, *la.chains_of(bounds, chain), step, bounds)[0], whole)
+
+
 def test_held_out_accuracy_and_code_switching(spark, sf_dir):
     docs = documents(spark, sf_dir)
     model = la.fit(docs)
