@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rulegraph.llm.common import staged, table
+from rulegraph.llm.common import free_name, staged, table
 from rulegraph.llm.decontaminate import cut_passages
 from rulegraph.llm.language import fit, with_language
 from rulegraph.llm.neardup import keep_first
@@ -31,8 +31,9 @@ def _measured(docs: DataFrame) -> DataFrame:
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rejects texts without letters or in no known language; the model learns from the labelled rows of docs."""
     ship(spark)
-    judged = with_language(docs, fit(docs), "_label", "_score")
-    return judged.where((F.col("_label") != "und") & (F.col("_score") >= LEAST_SCORE)).select(*docs.columns)
+    label, score = free_name(docs.columns, "label"), free_name(docs.columns, "score")
+    judged = with_language(docs, fit(docs), label, score)
+    return judged.where((F.col(label) != "und") & (F.col(score) >= LEAST_SCORE)).select(*docs.columns)
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
