@@ -19,7 +19,9 @@ from .selection import rank_candidates, saving_alone, select_passes
 @dataclass(frozen=True)
 class OnlineConfig:
     """``refresh``: error, every_n_ticks, every_n_facts or never; ``monitor``: cumulative (as printed) or per_slice;
-    ``th_temporal`` is a bound on the score that ``time_by`` names. Without the updater graph and history stay as they are."""
+    ``th_temporal`` is a bound on the score that ``time_by`` names. Without the updater graph and history stay as they are.
+    ``looks``: how often a batch is judged, each time resting on what the look before held valid of it; None: until no verdict
+    changes, which is what one batch a tick would give."""
 
     updater: bool = True
     refresh: str = "error"
@@ -28,6 +30,7 @@ class OnlineConfig:
     th_static: float = 1e-3
     th_temporal: float = 1.0
     time_by: str = "score_time"
+    looks: int | None = 2
 
 
 def append_facts(history: DataFrame, batch: DataFrame) -> DataFrame:

@@ -32,23 +32,27 @@ def start_state(offline: DataFrame, config) -> OnlineState:
 
 
 def judged(batch: DataFrame, history: DataFrame, graph: RuleGraph, score: sc.ScoreConfig, online: OnlineConfig) -> DataFrame:
-    """Facts of a batch scored and classified as if they had come tick by tick.
+    """Facts of a batch scored and classified.
 
-    A fact may rest on earlier facts of the batch, but only on those judged valid. First
-    all that pass the static check serve as evidence, then those that the round before
-    held valid, until no verdict changes: verdicts of a tick depend on earlier ticks
-    only, so the first i ticks are right after i rounds.
+    A fact may rest on earlier facts of the batch, but never on ones judged wrong: at the first
+    look on those that pass the static check, at the next on those that the look before held
+    valid. Verdicts of a tick depend on earlier ticks only, so with enough looks nothing changes any
+    more and the result is that of one batch a tick; the last change may take as many looks as
+    the batch has ticks, so ``online.looks`` bounds them, and smaller batches come nearer.
     """
     facts = sc.identified(batch)
     static = sc.static_score(facts, graph, score)
     own = staged(sc.classify(static.withColumn(online.time_by, F.lit(float("-inf"))), online.th_static, online.th_temporal, online.time_by).where("verdict = 'valid'").select("s", "r", "o", "t"), "static")
     mark = lambda df: tuple(df.agg(F.count(F.lit(1)), F.sum(F.xxhash64("s", "r", "o", "t").bitwiseAND(F.lit((1 << 40) - 1)))).first())
-    before = mark(own)
+    before, looks = mark(own), 0
     while True:
         scored = staged(sc.classify(sc.score(facts, history.unionByName(own), graph, score), online.th_static, online.th_temporal, online.time_by), "scored")
+        looks += 1
+        if looks == online.looks:
+            return scored
         own = scored.where("verdict = 'valid'").select("s", "r", "o", "t")
         now = mark(own)
-        if now == before or not online.updater:
+        if now == before:
             return scored
         before = now
 
