@@ -90,7 +90,9 @@ def extend_patterns(graph: RuleGraph, categories: Categories, batch: DataFrame)
     counts = cover.groupBy("cand", "cs", "r", "co").agg(F.sum("n").alias("n_assert"))
     size = categories.entities.groupBy("profile").agg(F.count(F.lit(1)).alias("n")).join(categories.cats, "profile").groupBy("cat").agg(F.sum("n").alias("n"))
     costed = counts.join(size.select(F.col("cat").alias("cs"), F.col("n").alias("n_cs")), "cs").join(size.select(F.col("cat").alias("co"), F.col("n").alias("n_co")), "co")
-    cost = F.log2(F.lit(n_cat)) + code_bits("n_cs", F.lit(n_ent)) + code_bits("n_co", F.lit(n_ent)) + code_bits("n_assert", F.lit(n_facts)) + 1 + 2 * F.col("n_assert") * F.log2(F.col("n_assert").cast("double"))
+    cost = F.log2(F.lit(n_cat)) + code_bits("n_cs", F.lit(n_ent)) + code_bits("n_co", F.lit(n_ent)) + code_bits("n_assert", F.lit(n_facts)) + 1
+    if graph.config.criterion != "errors":
+        cost = cost + 2 * F.col("n_assert") * F.log2(F.col("n_assert").cast("double"))
     own = cover.select("cand", "cell", "t", "n")
     costed = costed.withColumn("bits", cost).join(saving_alone(own, ticks, space), "cand")
     ranked = staged(rank_candidates(costed, graph.config.rank_by), "ranked")
@@ -131,7 +133,7 @@ def explained_ticks(facts: DataFrame, history: DataFrame, graph: RuleGraph, hori
         witnesses = witnesses.unionByName(closure_witnesses(past, graph.categories.entities, keyed, graph.config.L, horizon))
     seen = latest_witnesses(keyed, witnesses, horizon)
     cells = with_profiles(keyed, graph.categories.entities).select("fact_id", "ps", "r", "po")
-    mapped = _expanded(cells.select("ps", "r", "po").distinct(), graph.categories).join(graph.patterns.where("selected").select("cs", "r", "co"), ["cs", "r", "co"], "left_semi").select("ps", "r", "po").distinct()
+    mapped = _expanded(cells.select("ps", "r", "po").distinct(), graph.categories).join(graph.patterns.select("cs", "r", "co"), ["cs", "r", "co"], "left_semi").select("ps", "r", "po").distinct()
     tails = cells.join(mapped, ["ps", "r", "po"], "left_semi").join(seen, "fact_id")
     kinds = _spread_tails(tails.select("ps", "r", "po", "wid", "corner").distinct(), graph.categories).join(graph.links.select("wid", "cx", "cs", "co", "r"), ["wid", "cx", "cs", "co", "r"], "left_semi").select("ps", "r", "po", "wid", "corner").distinct()
     led = tails.join(kinds, ["ps", "r", "po", "wid", "corner"], "left_semi").select("fact_id").distinct()

@@ -20,8 +20,9 @@ class BuildConfig:
     """``L``: ticks between the two legs of a closure; ``horizon``: ticks a witness stays of interest (None: ever).
 
     ``heads``: link assertions pair a fact with ``all`` earlier witnesses in the horizon or with the
-    ``latest`` of each kind. ``assertion_cost``: ``conditional`` or ``printed``. ``criterion``: bits of model and
-    assertions count (``total``) or assertions only (``data``). ``passes``: at most so many over
+    ``latest`` of each kind. ``assertion_cost``: ``conditional`` or ``printed``. ``criterion``: the error bits that a
+    candidate saves must exceed its bits of model and assertions (``total``), of assertions (``data``), or of the model
+    (``errors``: where entities are so many and so even that naming them in a pattern costs what an error costs). ``passes``: at most so many over
     the candidates; None until a pass adds nothing.
     """
 
@@ -122,6 +123,11 @@ def pattern_data_bits(facts: DataFrame, categories: cats.Categories, held: DataF
     return ends[0].join(ends[1], "cand").select("cand", (F.col("bits_s") + F.col("bits_o")).alias("bits_data"))
 
 
+def _price(config: BuildConfig):
+    """What a candidate must save."""
+    return {"total": F.col("bits_model") + F.col("bits_data"), "data": F.col("bits_data"), "errors": F.col("bits_model")}[config.criterion]
+
+
 def _select(candidates: DataFrame, cover: DataFrame, ticks: DataFrame, space: float, config: BuildConfig, bits_given=None) -> tuple[DataFrame, bool]:
     """Ranked candidates with saving, n_cover, rank, gain and selected, and whether the passes converged."""
     saved = candidates.join(saving_alone(cover, ticks, space), "cand", "left").fillna({"saving": 0.0, "n_cover": 0})
@@ -179,20 +185,17 @@ def build(facts: DataFrame, config: BuildConfig | None = None, witness_facts: Da
     spread = staged(_expanded(cells, categories).select(F.xxhash64("cs", "r", "co").alias("cand"), "cs", "r", "co", "cell", "t", "n"), "spread")
     patterns = spread.groupBy("cand", "cs", "r", "co").agg(F.sum("n").alias("n_assert"))
     patterns = pattern_model_bits(patterns, facts, categories).join(pattern_data_bits(facts, categories, held), "cand")
-    bits = F.col("bits_data") + (F.col("bits_model") if config.criterion == "total" else F.lit(0.0))
-    patterns, settled = _select(staged(patterns.withColumn("bits", bits), "patterns"), spread.select("cand", "cell", "t", "n"), ticks, space, config)
+    patterns, settled = _select(staged(patterns.withColumn("bits", _price(config)), "patterns"), spread.select("cand", "cell", "t", "n"), ticks, space, config)
     patterns = staged(patterns, "patterns")
 
-    # links: a mapped fact is explained when something before it leads to it
-    chosen = patterns.where("selected").select("cs", "r", "co")
-    mapped = _expanded(held.select("ps", "r", "po").distinct(), categories).join(chosen, ["cs", "r", "co"], "left_semi").select("ps", "r", "po").distinct()
+    # links: a fact is explained when something before it leads to it; a link brings its tail's pattern along
     links, lags = link_candidates(tails, categories, config.max_links)
     links, lags = staged(links, "links"), staged(lags, "lags")
     links = links.join(link_data_bits(tails, lags, categories, links, config.assertion_cost), "cand")
-    priced = lambda df, among: link_model_bits(df, among).withColumn("bits", F.col("bits_data") + (F.col("bits_model") if config.criterion == "total" else F.lit(0.0)))
+    priced = lambda df, among: link_model_bits(df, among).withColumn("bits", _price(config))
     links = staged(priced(links, links), "links")
     groups = tails.groupBy("fact_id", "ps", "r", "po", "t").agg(F.sort_array(F.collect_set(F.struct("wid", "corner"))).alias("before"))
-    groups = groups.join(mapped, ["ps", "r", "po"], "left_semi").groupBy("ps", "r", "po", "before", "t").agg(F.count(F.lit(1)).alias("n"))
+    groups = groups.groupBy("ps", "r", "po", "before", "t").agg(F.count(F.lit(1)).alias("n"))
     cells = groups.withColumn("cell", F.xxhash64("ps", "r", "po", "before")).select("cell", "ps", "r", "po", "t", "n", F.explode("before").alias("b")).select("cell", "ps", "r", "po", "t", "n", "b.wid", "b.corner")
     cover = staged(link_cover(cells, categories, links.select("cand", "wid", "cx", "cs", "co", "r")), "cover")
     roles = links.select("cand", "wid", "cx", "cs", "co", "r")

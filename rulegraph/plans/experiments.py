@@ -316,7 +316,7 @@ def w8_grid(spark, d):
 
 @query()
 def w9_categories(spark, d):
-    return spark.createDataFrame(wl.category_sweep(exp(spark, d, "trade"), run(spark, d, "trade")), wl.SWEEP)
+    return spark.createDataFrame(wl.category_sweep(exp(spark, d, "lifecycle"), run(spark, d, "lifecycle")), wl.SWEEP)
 
 
 @query()
@@ -356,14 +356,24 @@ def w13_duration(spark, d):
     return wl.rows_of(spark, du.duration_experiment(_case(spark, d), replace(wl.build_config("trade"), **_DURATION), _duration_scores(), _sides(spark, d)))
 
 
-@query()
-def w13_flattenings(spark, d):
-    """The same errors judged by one graph over flattened facts, four ways."""
+def _flattened(spark, d, hows: tuple[str, ...]) -> DataFrame:
     case, config = _case(spark, d), replace(wl.build_config("trade"), **_DURATION)
-    found = wl.together([lambda h=h: du.flattening_experiment(case, h, config, _duration_scores()) for h in _FLAT])
+    found = wl.together([lambda h=h: du.flattening_experiment(case, h, config, _duration_scores()) for h in hows])
     return wl.rows_of(spark, [row for rows in found for row in rows])
 
 
+@query()
+def w13_flat_ends(spark, d):
+    """The same errors judged by one graph over flattened facts: by start, by end."""
+    return _flattened(spark, d, ("start", "end"))
+
+
+@query()
+def w13_flat_both(spark, d):
+    """The same by the middle, and with both ends as facts of their own."""
+    return _flattened(spark, d, ("midpoint", "two-point"))
+
+
 @query()
 def w13_missing(spark, d):
     """What no graph of the four can instantiate, for facts of the test part without conflicts."""

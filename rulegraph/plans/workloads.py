@@ -20,7 +20,7 @@ from ..streaming import online as stream
 from .build import BuildConfig, Occurrences, RuleGraph, build, prepare
 
 #: Witnesses and lags of interest, in ticks, for each fixture.
-SETTINGS = {"lifecycle": {"horizon": 30, "L": 2, "legs": 5}, "trade": {"horizon": 200, "L": 10, "legs": 10}, "clicks": {"horizon": 240, "L": 12, "legs": 6}, "dialogue": {"horizon": 20, "L": 1, "legs": 2}}
+SETTINGS = {"lifecycle": {"horizon": 30, "L": 2, "legs": 5, "criterion": "errors"}, "trade": {"horizon": 200, "L": 10, "legs": 10}, "clicks": {"horizon": 240, "L": 12, "legs": 6}, "dialogue": {"horizon": 20, "L": 1, "legs": 2}}
 
 
 @dataclass
@@ -70,7 +70,7 @@ def of_fixture(spark: SparkSession, sf_dir: str, name: str, **options) -> Experi
 
 def build_config(name: str, **changes) -> BuildConfig:
     own = SETTINGS.get(name, {"horizon": None, "L": 5, "legs": 5})
-    return replace(BuildConfig(horizon=own["horizon"], L=own["legs"]), **changes)
+    return replace(BuildConfig(horizon=own["horizon"], L=own["legs"], criterion=own.get("criterion", "total")), **changes)
 
 
 def score_config(name: str, **changes) -> sc.ScoreConfig:
