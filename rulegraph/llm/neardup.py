@@ -25,7 +25,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import blocks_of, free_name, mix64, shuffle_partitions, staged, tidied, words_of
@@ -233,10 +233,22 @@ def verified(pairs: DataFrame, shingles: DataFrame, threshold: float) -> DataFra
     return held.mapInArrow(tidied(judge), "a binary, b binary")
 
 
+def beside(entries: DataFrame, part: list[Column], whole: list[Column], salts: int, keep: str = "true") -> DataFrame:
+    """Entries (key, node, ...) with aggregates of their key beside them, of keys that ``keep`` holds for.
+
+    A key that very many nodes have is spread over ``salts`` by node: its parts are summed up
+    first, and what comes out goes back to the parts that are there, never to one task.
+    """
+    salted = entries.withColumn("_s", F.pmod(F.xxhash64("node"), F.lit(salts)).cast("int"))
+    parts = salted.groupBy("key", "_s").agg(*part)
+    told = parts.groupBy("key").agg(*whole, F.collect_list("_s").alias("_s")).where(keep).withColumn("_s", F.explode("_s"))
+    return salted.join(told, ["key", "_s"]).drop("_s")
+
+
 def _grouped(entries: DataFrame, columns: list[str], block: int, partitions: int) -> DataFrame:
     """Entries (key, ...) dealt as pairs of blocks: every two members of a bucket meet in one group (key, b1, b2)."""
-    sizes = entries.groupBy("key").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("_g"))
-    own = entries.join(sizes, "key").withColumn("_b", F.pmod(F.xxhash64("node"), F.col("_g")).cast("int"))
+    sized = beside(entries, [F.count(F.lit(1)).alias("_n")], [F.ceil(F.sum("_n") / block).cast("int").alias("_g")], partitions)
+    own = sized.withColumn("_b", F.pmod(F.xxhash64("node"), F.col("_g")).cast("int"))
     dealt = own.select("key", *columns, "_b", F.explode(F.sequence(F.lit(0), F.col("_g") - 1)).alias("_o"))
     dealt = dealt.select(F.least("_b", "_o").alias("b1"), F.greatest("_b", "_o").alias("b2"), "key", *columns)
     return dealt.repartition(partitions, "key", "b1", "b2").sortWithinPartitions("key", "b1", "b2")
@@ -404,8 +416,7 @@ def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands
     nodes = signed.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("rows"), F.first("bands").alias("bands"))
     nodes = staged(nodes, "nodes")
     entries = nodes.select(F.explode(F.array_distinct("bands")).alias("key"), "node")
-    crowded = entries.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    open_ = staged(entries.join(crowded, "key"), "entries")
+    open_ = staged(beside(entries, [F.count(F.lit(1)).alias("n")], [F.sum("n").alias("n")], partitions, "n > 1"), "entries")
     labels = None
     if not open_.isEmpty():
         wanted = nodes.join(open_.select("node").distinct(), "node", "left_semi").select("node", F.coalesce("doc_id", F.lit(_NO_ID)).alias("_id"))
@@ -415,15 +426,15 @@ def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands
         shingles = staged(shingles if once else shingles.dropDuplicates(["node"]), "shingles")
         degree = open_.groupBy("node").agg(F.sum("n").alias("degree"))
         ranked = open_.select("key", "node").join(degree, "node")
-        heads = ranked.groupBy("key").agg(F.max(F.struct("degree", "node")).alias("m")).select("key", F.col("m.node").alias("lead"))
-        pairs = open_.select("key", "node").join(heads, "key").where("node <> lead").select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct()
+        led = beside(ranked, [F.max(F.struct("degree", "node")).alias("m")], [F.max("m").getField("node").alias("lead")], partitions)
+        pairs = led.where("node <> lead").select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct()
         links = staged(verified(pairs, shingles, threshold), "links")
         labels = None if links.isEmpty() else components(links)
         # two members were compared with each other already
         open_ = open_.where("n > 2").select("key", "node")
         open_ = open_.withColumn("label", F.col("node")) if labels is None else open_.join(labels, "node", "left").select("key", "node", F.coalesce("label", "node").alias("label"))
-        split = open_.groupBy("key").agg(F.min("label").alias("_lo"), F.max("label").alias("_hi")).where("_lo <> _hi").select("key")
-        open_ = staged(open_.join(split, "key", "left_semi"), "entries")
+        ends = beside(open_, [F.min("label").alias("_lo"), F.max("label").alias("_hi")], [F.min("_lo").alias("_lo"), F.max("_hi").alias("_hi")], partitions, "_lo <> _hi")
+        open_ = staged(ends.select("key", "node", "label"), "entries")
         if not open_.isEmpty():
             full = open_.join(nodes.select("node", "bands"), "node").join(shingles.select("node", "cells"), "node")
             some = staged(hopeful(full, threshold, bands, 512, partitions), "hopeful")

@@ -9,6 +9,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from rulegraph.llm import decontaminate as de
 from rulegraph.llm import language as la
@@ -303,6 +304,12 @@ def test_plain_similarity_of_texts_that_repeat_lines(spark):
     assert got == {100 * f + k: 100 * f for f in range(60) for k in range(2)}
 
 
+def test_a_crowded_key_is_told_by_parts(spark):
+    rows = [(k, i.to_bytes(2, "big")) for k, n in ((1, 400), (2, 2), (3, 1)) for i in range(n)]
+    got = nd.beside(spark.createDataFrame(rows, "key long, node binary"), [F.count(F.lit(1)).alias("n"), F.max("node").alias("top")], [F.sum("n").alias("n"), F.max("top").alias("top")], 7, "n > 1").collect()
+    assert sorted((r.key, bytes(r.node), r.n, bytes(r.top)) for r in got) == sorted((k, x, n, (n - 1).to_bytes(2, "big")) for k, n in ((1, 400), (2, 2)) for q, x in rows if q == k)
+
+
 def test_cells_never_reject_a_pair_at_the_threshold():
     rng = np.random.default_rng(3)
     pool = mix64(np.arange(400, dtype=np.uint64))
