@@ -245,10 +245,13 @@ def beside(entries: DataFrame, part: list[Column], whole: list[Column], salts: i
     return salted.join(told, ["key", "_s"]).drop("_s")
 
 
-def _grouped(entries: DataFrame, columns: list[str], block: int, partitions: int) -> DataFrame:
-    """Entries (key, ...) dealt as pairs of blocks: every two members of a bucket meet in one group (key, b1, b2)."""
+def _grouped(entries: DataFrame, wide: DataFrame, columns: list[str], block: int, partitions: int) -> DataFrame:
+    """Entries (key, node, label) dealt as pairs of blocks: every two members of a bucket meet in one group (key, b1, b2).
+
+    ``wide`` has what else is asked of a node: it joins once buckets are sized, so that only narrow rows are dealt by key.
+    """
     sized = beside(entries, [F.count(F.lit(1)).alias("_n")], [F.ceil(F.sum("_n") / block).cast("int").alias("_g")], partitions)
-    own = sized.withColumn("_b", F.pmod(F.xxhash64("node"), F.col("_g")).cast("int"))
+    own = sized.join(wide, "node").withColumn("_b", F.pmod(F.xxhash64("node"), F.col("_g")).cast("int"))
     dealt = own.select("key", *columns, "_b", F.explode(F.sequence(F.lit(0), F.col("_g") - 1)).alias("_o"))
     dealt = dealt.select(F.least("_b", "_o").alias("b1"), F.greatest("_b", "_o").alias("b2"), "key", *columns)
     return dealt.repartition(partitions, "key", "b1", "b2").sortWithinPartitions("key", "b1", "b2")
@@ -295,7 +298,7 @@ def _likely(rows: list, cells_at: int, label_at: int, bands_at: int, bands: int,
         yield x, y
 
 
-def hopeful(entries: DataFrame, threshold: float, bands: int, block: int, partitions: int) -> DataFrame:
+def hopeful(entries: DataFrame, wide: DataFrame, threshold: float, bands: int, block: int, partitions: int) -> DataFrame:
     """(key, node): members that may have a partner of another class, judged by cells."""
     schema = pa.schema([("key", pa.int64()), ("node", pa.binary())])
 
@@ -309,11 +312,11 @@ def hopeful(entries: DataFrame, threshold: float, bands: int, block: int, partit
                 nodes = [rows[i][1] for i in np.flatnonzero(marked).tolist()]
                 yield pa.RecordBatch.from_arrays([pa.array([rows[0][0]] * len(nodes), pa.int64()), pa.array(nodes, pa.binary())], schema=schema)
 
-    dealt = _grouped(entries, ["node", "cells", "label", "bands"], block, partitions)
+    dealt = _grouped(entries, wide, ["node", "cells", "label", "bands"], block, partitions)
     return dealt.select("b1", "b2", "key", "node", "cells", "label", "bands").mapInArrow(tidied(judge), "key long, node binary").distinct()
 
 
-def settled_links(entries: DataFrame, threshold: float, bands: int, block: int, partitions: int) -> DataFrame:
+def settled_links(entries: DataFrame, wide: DataFrame, threshold: float, bands: int, block: int, partitions: int) -> DataFrame:
     """Links (a, b) that join the classes of each group's members, by exact similarity."""
     schema = pa.schema([("a", pa.binary()), ("b", pa.binary())])
 
@@ -338,7 +341,7 @@ def settled_links(entries: DataFrame, threshold: float, bands: int, block: int,
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary()) for c in zip(*out, strict=True)], schema=schema)
 
-    dealt = _grouped(entries, ["node", "cells", "label", "bands", "shingles", "weights"], block, partitions)
+    dealt = _grouped(entries, wide, ["node", "cells", "label", "bands", "shingles", "weights"], block, partitions)
     return dealt.select("b1", "b2", "key", "node", "cells", "label", "bands", "shingles", "weights").mapInArrow(tidied(judge), "a binary, b binary")
 
 
@@ -436,11 +439,10 @@ def _classes(docs: DataFrame, threshold: float, size: int, registers: int, bands
         ends = beside(open_, [F.min("label").alias("_lo"), F.max("label").alias("_hi")], [F.min("_lo").alias("_lo"), F.max("_hi").alias("_hi")], partitions, "_lo <> _hi")
         open_ = staged(ends.select("key", "node", "label"), "entries")
         if not open_.isEmpty():
-            full = open_.join(nodes.select("node", "bands"), "node").join(shingles.select("node", "cells"), "node")
-            some = staged(hopeful(full, threshold, bands, 512, partitions), "hopeful")
+            wide = shingles.join(nodes.select("node", "bands"), "node")
+            some = staged(hopeful(open_, wide.select("node", "cells", "bands"), threshold, bands, 512, partitions), "hopeful")
             if not some.isEmpty():
-                asked = open_.join(some, ["key", "node"]).join(nodes.select("node", "bands"), "node").join(shingles, "node")
-                links = staged(settled_links(asked, threshold, bands, 128, partitions), "links")
+                links = staged(settled_links(open_.join(some, ["key", "node"]), wide, threshold, bands, 128, partitions), "links")
                 if not links.isEmpty():
                     labels = components(links, labels)
     named = nodes.select("node", "doc_id", "rows")
