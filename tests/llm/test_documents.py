@@ -146,6 +146,24 @@ def test_removed_bytes_of_documents(spark, sf_dir):
     assert su.removed_bytes(docs.where("false")).count() == 0
 
 
+def test_bands_see_pairs_just_over_the_threshold():
+    """Some 1,000 made pairs of similarity 0.8 to 0.9: all share a band (one in 37,600 at 0.8 may not)."""
+    rnd = np.random.default_rng(5)
+    texts = []
+    for _ in range(2000):
+        own = rnd.integers(0, 50_000, int(rnd.integers(60, 200)))
+        other = own.copy()
+        changed = max(1, int(len(own) * rnd.uniform(0.005, 0.045)))
+        other[rnd.choice(len(own), changed, replace=False)] = rnd.integers(50_000, 99_999, changed)
+        texts += [" ".join(f"w{x}" for x in own).encode(), " ".join(f"w{x}" for x in other).encode()]
+    shingles, weights, bounds = nd.shingles_of(np.frombuffer(b"".join(texts), np.uint8), np.concatenate([[0], np.cumsum([len(x) for x in texts])]))
+    bands = nd.all_bands(shingles, weights, bounds, 80, 20)
+    part = lambda i: (shingles[bounds[i] : bounds[i + 1]], weights[bounds[i] : bounds[i + 1]])
+    near = [i for i in range(0, len(texts), 2) if 0.8 <= nd.similarity(*part(i), *part(i + 1)) < 0.9]
+    assert len(near) > 500
+    assert all(set(bands[i]) & set(bands[i + 1]) for i in near)
+
+
 def test_suffix_array_and_prefixes():
     rng = np.random.default_rng(0)
     for _ in range(20):
