@@ -147,7 +147,7 @@ def test_removed_bytes_of_documents(spark, sf_dir):
 
 
 def test_bands_see_pairs_just_over_the_threshold():
-    """Some 1,000 made pairs of similarity 0.8 to 0.9: all share a band (one in 37,600 at 0.8 may not)."""
+    """Hundreds of made pairs of similarity 0.8 to 0.9: all share a band (one in 37,600 at 0.8 may not)."""
     rnd = np.random.default_rng(5)
     texts = []
     for _ in range(2000):
