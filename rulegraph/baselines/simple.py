@@ -5,6 +5,11 @@ Each takes (asked, history) with facts (s, r, o, t) and gives asked with a score
 
 from __future__ import annotations
 
+# imported here: baselines run in threads, and threads that import pyspark.ml at once can fail
+from pyspark.ml.classification import LogisticRegression
+from pyspark.ml.feature import VectorAssembler
+from pyspark.ml.functions import vector_to_array
+from pyspark.ml.recommendation import ALS
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -48,8 +53,6 @@ def pagerank_change(asked: DataFrame, history: DataFrame, ticks: int = 60, seeds
 
 def frequency_factors(asked: DataFrame, history: DataFrame, rank: int = 8, rounds: int = 5, ticks: int = 60) -> DataFrame:
     """Surprise of a pair's count in a snapshot under a factorised rate of interaction."""
-    from pyspark.ml.recommendation import ALS
-
     key = lambda c: F.pmod(F.xxhash64(c), F.lit((1 << 31) - 1)).cast("int")
     span = history.agg(((F.max("t") - F.min("t")) / ticks + 1).alias("n")).first()["n"] or 1.0
     rates = history.groupBy("s", "o").agg(F.count(F.lit(1)).alias("n")).select(key("s").alias("u"), key("o").alias("v"), F.log1p(F.col("n") / float(span)).cast("float").alias("rate"))
@@ -64,9 +67,6 @@ def frequency_factors(asked: DataFrame, history: DataFrame, rank: int = 8, round
 
 def context(asked: DataFrame, history: DataFrame, seed_rate: float = 0.15) -> DataFrame:
     """Features of a fact's surroundings (counts, degrees, recency) under a logistic regression trained on swapped facts."""
-    from pyspark.ml.classification import LogisticRegression
-    from pyspark.ml.feature import VectorAssembler
-
     from ..operators.evaluation import inject_conceptual, inject_time
 
     names = ["sr", "ro", "so", "ds", "do", "ls", "lo"]
@@ -83,8 +83,6 @@ def context(asked: DataFrame, history: DataFrame, seed_rate: float = 0.15) -> Da
     good = history.select("s", "r", "o", "t").withColumn("label", F.lit(0.0))
     model = LogisticRegression(maxIter=20, regParam=0.01).fit(features(good.unionByName(bad)))
     found = model.transform(features(asked.withColumnRenamed("label", "_label") if "label" in asked.columns else asked))
-    from pyspark.ml.functions import vector_to_array
-
     out = found.withColumn("score", vector_to_array("probability")[1]).drop("features", "rawPrediction", "probability", "prediction", *names)
     return out.withColumnRenamed("_label", "label") if "label" in asked.columns else out
 

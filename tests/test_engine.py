@@ -3,7 +3,10 @@
 import itertools
 import math
 import random
+import subprocess
+import sys
 from collections import Counter
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
@@ -349,3 +352,9 @@ def test_plans_hold_no_cartesian_or_single_window(spark, sf_dir):
         with contextlib.redirect_stdout(io.StringIO()) as out:
             QUERIES[name](spark, sf_dir).explain("formatted")
         assert "CartesianProduct" not in out.getvalue() and "SinglePartition" not in out.getvalue(), name
+
+
+def test_baselines_import_before_their_threads():
+    """Threads that import pyspark.ml at once can fail, so the module has it before any thread starts."""
+    code = "import sys; import rulegraph.baselines.simple; assert {'pyspark.ml.recommendation', 'pyspark.ml.classification', 'pyspark.ml.functions'} <= sys.modules.keys()"
+    assert subprocess.run([sys.executable, "-c", code], cwd=Path(__file__).resolve().parent.parent).returncode == 0
