@@ -358,3 +358,16 @@ def test_baselines_import_before_their_threads():
     """Threads that import pyspark.ml at once can fail, so the module has it before any thread starts."""
     code = "import sys; import rulegraph.baselines.simple; assert {'pyspark.ml.recommendation', 'pyspark.ml.classification', 'pyspark.ml.functions'} <= sys.modules.keys()"
     assert subprocess.run([sys.executable, "-c", code], cwd=Path(__file__).resolve().parent.parent).returncode == 0
+
+
+def test_pair_state_counts_facts_not_events(spark, sf_dir, tmp_path):
+    """Two events of one hour that give the same fact are one fact, however late the second comes."""
+    from rulegraph.plans.experiments import stream_pair_state
+    from rulegraph.sources import facts as fx
+
+    one = fx.table(spark, sf_dir, "events").orderBy("event_id").limit(3)
+    again = one.withColumn("event_id", F.col("event_id") + 1_000_000)
+    one.unionByName(again).coalesce(1).write.parquet(str(tmp_path / "made"))
+    next((tmp_path / "made").glob("*.parquet")).rename(tmp_path / "events.parquet")
+    got = {(x["s"], x["o"]): x["n"] for x in stream_pair_state(spark, str(tmp_path)).collect()}
+    assert got == {(x["s"], x["o"]): x["count"] for x in fx.clicks(spark, str(tmp_path)).groupBy("s", "o").count().collect()}
