@@ -371,3 +371,25 @@ def test_pair_state_counts_facts_not_events(spark, sf_dir, tmp_path):
     next((tmp_path / "made").glob("*.parquet")).rename(tmp_path / "events.parquet")
     got = {(x["s"], x["o"]): x["n"] for x in stream_pair_state(spark, str(tmp_path)).collect()}
     assert got == {(x["s"], x["o"]): x["count"] for x in fx.clicks(spark, str(tmp_path)).groupBy("s", "o").count().collect()}
+
+
+def test_chains_by_one_shuffle(spark):
+    """Earlier facts of a pair by a window are those by joins, in one shuffle; kinds are read off names without a join."""
+    rows = [(f"A{s}", r, f"B{o}", t) for s, r, o, t in random_facts(5, 200, 6, 3, 25)]
+    facts = spark.createDataFrame(rows, SCHEMA).distinct()
+    keyed = sc.identified(facts)
+    told = lambda df: Counter(tuple(x) for x in df.select("fact_id", "wid", "corner", "lag", "t_seen").collect())
+    chains, names = oc.chain_witnesses(facts), [x["r"] for x in facts.select("r").distinct().collect()]
+    assert told(oc.earlier_chains(keyed, 7)) == told(oc.all_witnesses(keyed, chains, 7))
+    assert told(oc.earlier_chains(keyed, 7, latest=True)) == told(oc.latest_witnesses(keyed, chains, 7))
+    assert told(oc.earlier_chains(keyed, None, latest=True, relations=names)) == told(oc.latest_witnesses(keyed, chains))
+    half = facts.where("t < 12")
+    assert told(oc.earlier_chains(keyed, 7, half.unionByName(half))) == told(oc.all_witnesses(keyed, oc.chain_witnesses(half), 7))
+    plan = lambda df: df._jdf.queryExecution().sparkPlan().toString()
+    own = spark.createDataFrame(rows, SCHEMA)
+    assert "Join" not in plan(oc.earlier_chains(own, 7)) and plan(oc.earlier_chains(own, 7)).count("Window ") == 1
+    from rulegraph.plans.build import profiled
+
+    assert "Join" not in plan(profiled(own, cats.by_kind(own, True))) and "Join" in plan(profiled(own, cats.by_kind(own)))
+    model = RuleGraph(cats.by_kind(facts, True), None, None, None, None, {}, BuildConfig())
+    assert {(x["ps"], x["po"]) for x in profiled(facts, model.categories).collect()} == {("A", "B")}
