@@ -330,6 +330,23 @@ def test_stream_and_replay_agree(spark, sf_dir, tmp_path):
     assert verdicts.count() == rest.count()
 
 
+def test_duration_graphs_share_what_times_do_not_change(spark, monkeypatch):
+    from rulegraph.plans import build as pb
+    from rulegraph.plans import duration as du
+
+    rows = [(f"A{i}", "works", f"B{i % 3}", 10 * i, 10 * i + 30) for i in range(20)] + [(f"A{i}", "leads", f"B{i % 3}", 10 * i + 5, 10 * i + 25) for i in range(20)]
+    facts = spark.createDataFrame(rows, "s string, r string, o string, t_start long, t_end long")
+    learned = []
+    learn = cats.learn
+    monkeypatch.setattr(cats, "learn", lambda *a, **k: learned.append(1) or learn(*a, **k))
+    config = BuildConfig(horizon=40, closures=False)
+    graphs = duration_graphs(facts, config)
+    assert len(learned) == 1
+    alone = pb.build(du.side(facts, "t_end"), config, witness_facts=du.side(facts, "t_start"))
+    assert graphs["start-end"].scalars == pytest.approx(alone.scalars)
+    assert sorted(map(tuple, graphs["start-end"].links.collect())) == sorted(map(tuple, alone.links.collect()))
+
+
 def test_baselines_score_everything(spark):
     from rulegraph.baselines.embeddings import scorers
     from rulegraph.baselines.simple import METHODS
@@ -393,3 +410,28 @@ def test_chains_by_one_shuffle(spark):
     assert "Join" not in plan(profiled(own, cats.by_kind(own, True))) and "Join" in plan(profiled(own, cats.by_kind(own)))
     model = RuleGraph(cats.by_kind(facts, True), None, None, None, None, {}, BuildConfig())
     assert {(x["ps"], x["po"]) for x in profiled(facts, model.categories).collect()} == {("A", "B")}
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_choice_in_the_driver_is_that_of_the_cluster(spark, seed):
+    """Small covers are chosen from in the driver: same ranks, savings, gains and passes as by the cluster's rounds."""
+    from rulegraph.plans import build as pb
+
+    rnd = random.Random(1)
+    cells = [(c, rnd.randrange(4), rnd.randint(1, 90)) for c in range(40)]
+    cover = spark.createDataFrame([(k, *x) for k in range(30) for x in cells if rnd.random() < 0.3], "cand long, cell long, t long, n long")
+    ticks = cover.select("cell", "t", "n").distinct().groupBy("t").agg((F.sum("n") + 5).alias("n_t"))
+    links = spark.createDataFrame([(k, k % 5, "-" if k % 3 else "X", "A", f"B{k % 2}", f"r{k % 4}", rnd.randrange(9), rnd.choice([5.0, 400.0])) for k in range(30)], "cand long, wid long, cx string, cs string, co string, r string, n_assert long, bits_data double")
+    config = BuildConfig()
+    priced = lambda df, among: pb.link_model_bits(df, among).withColumn("bits", pb._price(config))
+    links = priced(links, links)
+    roles = links.select("cand", "wid", "cx", "cs", "co", "r")
+    again = lambda df, found: priced(df.select("cand", "rank", "bits_data").join(roles, "cand"), roles.join(found.select("cand"), "cand", "left_semi")).select("cand", "rank", "bits", "bits_data")
+    told = lambda df: {x["cand"]: (x["rank"], x["n_cover"], x["selected"], round(x["saving"], 6), x["gain"] and round(x["gain"], 6)) for x in df.collect()}
+    assert se.held_cover(cover, ticks, 10) is None
+    near, settled = se.choose_held(links, se.held_cover(cover, ticks), 1e6, bits_given=pb.held_link_bits(links, config))
+    far = se.rank_candidates(links.join(se.saving_alone(cover, ticks, 1e6), "cand", "left").fillna({"saving": 0.0, "n_cover": 0}))
+    taken, settled_far = se.select_passes(far.select("cand", "rank", "bits", "bits_data"), cover, ticks, 1e6, None, again)
+    far = far.join(taken.withColumn("selected", F.lit(True)), "cand", "left").fillna({"selected": False})
+    assert told(near) == told(far) and settled == settled_far
+    assert 0 < sum(x[2] for x in told(near).values()) < 30
