@@ -347,6 +347,20 @@ def test_duration_graphs_share_what_times_do_not_change(spark, monkeypatch):
     assert sorted(map(tuple, graphs["start-end"].links.collect())) == sorted(map(tuple, alone.links.collect()))
 
 
+def test_only_closures_of_links_are_looked_for(spark):
+    """Facts meet over corners for the kinds that links start from; those are found as before, however often others meet."""
+    facts = spark.createDataFrame(random_facts(8, 150, 9, 4, 20), SCHEMA)
+    entities = cats.by_kind(facts).entities
+    for horizon in (None, 6):
+        every = oc.closure_witnesses(facts, entities, facts, 3, horizon)
+        kinds = oc.closure_kinds(facts.select("r").distinct()).orderBy("wid").limit(5)
+        want = {tuple(x) for x in every.join(kinds.select("wid"), "wid", "left_semi").select(*every.columns).collect()}
+        links = kinds.select("wid", F.lit("A").alias("cx")).unionByName(kinds.sparkSession.range(1).select(F.xxhash64(F.lit("chain"), F.lit("r0")).alias("wid"), F.lit(oc.NO_CORNER).alias("cx")))
+        found = oc.closure_witnesses(facts, entities, facts, 3, horizon, oc.linked_closures(links, facts))
+        assert {tuple(x) for x in found.collect()} == want and want and every.count() > len(want)
+    assert oc.linked_closures(links.where(F.col("cx") == oc.NO_CORNER), facts) is None
+
+
 def test_baselines_score_everything(spark):
     from rulegraph.baselines.embeddings import scorers
     from rulegraph.baselines.simple import METHODS
