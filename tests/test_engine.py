@@ -21,7 +21,10 @@ from rulegraph.operators import updating as up
 from rulegraph.operators.running import running_sums
 from rulegraph.plans.build import BuildConfig, RuleGraph, build
 from rulegraph.plans.duration import SIDES, duration_graphs, duration_scores, perturb_duration
+from rulegraph.plans import experiments
+from rulegraph.plans import workloads as wl
 from rulegraph.plans.experiments import worked_case
+from rulegraph.sources import facts as fx
 
 SCHEMA = "s string, r string, o string, t long"
 
@@ -449,3 +452,23 @@ def test_choice_in_the_driver_is_that_of_the_cluster(spark, seed):
     far = far.join(taken.withColumn("selected", F.lit(True)), "cand", "left").fillna({"selected": False})
     assert told(near) == told(far) and settled == settled_far
     assert 0 < sum(x[2] for x in told(near).values()) < 30
+
+
+def test_category_readout_is_that_of_the_build_without_it(spark, sf_dir, monkeypatch):
+    offline = ev.time_split(fx.lifecycle(spark, sf_dir)).where("part = 'offline'")
+    want = cats.describe(cats.learn(offline.select("s", "r", "o", "t"), wl.build_config("lifecycle").categories))
+    for name in ("build", "exp", "graph"):
+        monkeypatch.setattr(experiments, name, lambda *a, **b: pytest.fail("the readout needs categories only"))
+    assert sorted(map(repr, experiments.w11_category_readout(spark, sf_dir).collect())) == sorted(map(repr, want.collect()))
+
+
+def test_readout_names_the_least_entities_and_counts_all(spark):
+    entities = spark.createDataFrame([(f"E{i}", i % 2) for i in range(9)], "eid string, profile long")
+    held = spark.createDataFrame([(0, 7), (1, 7), (1, 8)], "profile long, cat long")
+    rows = {r["cat"]: (r["entities"], r["n_entities"]) for r in cats.describe(cats.Categories(entities, held), 3).collect()}
+    assert rows == {7: (["E0", "E1", "E2"], 9), 8: (["E1", "E3", "E5"], 4)}
+
+
+def test_lifecycle_meets_lines_and_orders_once(spark, sf_dir):
+    plan = fx.lifecycle_rows(spark, sf_dir)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join ") == 1
