@@ -472,3 +472,26 @@ def test_readout_names_the_least_entities_and_counts_all(spark):
 def test_lifecycle_meets_lines_and_orders_once(spark, sf_dir):
     plan = fx.lifecycle_rows(spark, sf_dir)._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("Join ") == 1
+
+
+def test_policies_share_what_they_have_in_common(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from rulegraph.streaming import online
+
+    facts = spark.createDataFrame([("a", "r", "b", t) for t in range(30)], "s string, r string, o string, t long")
+    calls = []
+    monkeypatch.setattr(online, "advance", lambda state, batch, *a, **b: calls.append("advance") or (SimpleNamespace(config=None), object(), (float(batch.count()), 10, batch.count())))
+    monkeypatch.setattr(online, "build", lambda *a: calls.append("build") or SimpleNamespace(config=None, scalars={"error_bits": 1.0, "n_ticks": 10}))
+    start = online.OnlineState(SimpleNamespace(config=None), facts, {"bits": 0.0, "ticks": 0, "facts": 0}, {"bits": 5.0, "ticks": 10}, [])
+    policies = [up.OnlineConfig(refresh=r, refresh_every=15, monitor="per_slice") for r in ("error", "every_n_ticks", "never")]
+    alone = [online.replay(facts, start, sc.ScoreConfig(), p, [0, 10, 20, 30]) for p in policies]
+    assert calls.count("advance") == 9
+    rebuilds, calls[:] = calls.count("build"), []
+    together = online.replay_policies(facts, start, sc.ScoreConfig(), policies, [0, 10, 20, 30])
+    assert [s.log for s in together] == [s.log for s in alone] and [s.online for s in together] == [s.online for s in alone]
+    assert len({str(s.log) for s in alone}) == 3
+    # the first batch once, the second by two, the third by three; both rebuilds after the second are of different histories
+    assert calls.count("advance") == 1 + 2 + 3 and calls.count("build") == rebuilds
+    with pytest.raises(ValueError):
+        online.replay_policies(facts, start, sc.ScoreConfig(), [policies[0], up.OnlineConfig(looks=1)], [0, 10])
