@@ -495,3 +495,12 @@ def test_policies_share_what_they_have_in_common(spark, monkeypatch):
     assert calls.count("advance") == 1 + 2 + 3 and calls.count("build") == rebuilds
     with pytest.raises(ValueError):
         online.replay_policies(facts, start, sc.ScoreConfig(), [policies[0], up.OnlineConfig(looks=1)], [0, 10])
+
+
+def test_graphs_are_built_without_errors(spark, sf_dir, monkeypatch):
+    monkeypatch.setattr(experiments, "_HELD", {})
+    monkeypatch.setattr(experiments, "exp", lambda *a: pytest.fail("a graph needs no injected errors"))
+    monkeypatch.setattr(experiments, "build", lambda facts, config: facts)
+    want = ev.time_split(fx.lifecycle(spark, sf_dir)).where("part = 'offline'").select("s", "r", "o", "t")
+    got = experiments.graph(spark, sf_dir, "lifecycle")
+    assert got.count() == want.count() and got.exceptAll(want).isEmpty()
