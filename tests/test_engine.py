@@ -504,3 +504,15 @@ def test_graphs_are_built_without_errors(spark, sf_dir, monkeypatch):
     want = ev.time_split(fx.lifecycle(spark, sf_dir)).where("part = 'offline'").select("s", "r", "o", "t")
     got = experiments.graph(spark, sf_dir, "lifecycle")
     assert got.count() == want.count() and got.exceptAll(want).isEmpty()
+
+
+def test_patterns_and_witnesses_are_found_at_once(spark, monkeypatch):
+    import threading
+
+    from rulegraph.plans import build as bd
+
+    both = threading.Barrier(2, timeout=60)
+    for name in ("choose_patterns", "with_witnesses"):
+        monkeypatch.setattr(bd, name, lambda *a, f=getattr(bd, name), **b: both.wait() and None or f(*a, **b))
+    facts = spark.createDataFrame([(f"A{i}", r, f"B{i}", 10 * i + j) for i in range(6) for j, r in enumerate(("p", "q"))], "s string, r string, o string, t long")
+    assert bd.build(facts, BuildConfig(kinds_known=True, closures=False, horizon=5)).scalars["n_facts"] == 12
