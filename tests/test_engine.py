@@ -516,3 +516,58 @@ def test_patterns_and_witnesses_are_found_at_once(spark, monkeypatch):
         monkeypatch.setattr(bd, name, lambda *a, f=getattr(bd, name), **b: both.wait() and None or f(*a, **b))
     facts = spark.createDataFrame([(f"A{i}", r, f"B{i}", 10 * i + j) for i in range(6) for j, r in enumerate(("p", "q"))], "s string, r string, o string, t long")
     assert bd.build(facts, BuildConfig(kinds_known=True, closures=False, horizon=5)).scalars["n_facts"] == 12
+
+
+def test_closures_before_facts_meet_no_fact_again(spark):
+    """Closures with their facts carried along are those of witnesses joined back to facts: self-loops, hubs and block borders too."""
+    rows = random_facts(11, 500, 9, 4, 60) + [("A0", "r0", "hub", t) for t in range(0, 60, 3)] + [("hub", "r1", f"Z{i}", 2 * i) for i in range(20)] + [("A0", "r2", f"Z{i}", 2 * i + 4) for i in range(20)]
+    facts = fx.with_ids(spark.createDataFrame(rows, SCHEMA))
+    entities = cats.by_kind(facts).entities.cache()
+    from rulegraph.plans.build import with_profiles
+
+    held = with_profiles(facts, entities).cache()
+    columns = ("fact_id", "wid", "corner", "t_seen")
+    for window, horizon in ((3, 7), (0, 1), (9, 4), (5, 100)):
+        got = oc.earlier_closures(held, window, horizon).select(*columns).distinct()
+        want = oc.all_witnesses(facts, oc.closure_witnesses(facts, entities, facts, window, horizon), horizon).select(*columns)
+        told = lambda df: sorted(map(tuple, df.collect()))
+        assert told(got) == told(want) and got.count() > 0
+    own = held.join(oc.earlier_closures(held, 3, 7).select("fact_id", "pair", F.struct("ps", "r", "po", "t").alias("carried")).distinct(), "fact_id")
+    assert own.where((F.col("pair") != F.xxhash64("s", "o")) | (F.struct("ps", "r", "po", "t") != F.col("carried"))).isEmpty()
+
+
+def test_builds_by_number_of_categories_read_facts_once(spark, sf_dir):
+    """What no category changes is made before the builds: without facts they give the same graphs as builds of their own."""
+    from dataclasses import replace
+
+    from rulegraph.plans import build as bd
+
+    facts = fx.lifecycle(spark, sf_dir).where("t < 500").cache()
+    config = lambda k: wl.build_config("lifecycle", categories=cats.CategoryConfig(k=k))
+    own = bd.ready(facts, wl.build_config("lifecycle"))
+    none = replace(own, **{name: getattr(own, name).where("false") for name in ("facts", "held", "seen")})
+    for k in (1, 3):
+        got, want = bd.build(facts, config(k), prepared=none), bd.build(facts, config(k))
+        assert got.scalars == pytest.approx(want.scalars) and got.scalars["n_links"] > 0
+        for name in ("patterns", "links", "lags", "slices"):
+            told = lambda g: sorted((tuple(round(x, 6) if isinstance(x, float) else x for x in r) for r in getattr(g, name).collect()), key=repr)  # noqa: B023, E731
+            assert told(got) == told(want)
+
+
+def test_pattern_codes_count_like_entities_together(spark):
+    """Codes of subjects and objects by counts of like entities are those of all entities one by one."""
+    from rulegraph.plans import build as bd
+
+    facts = spark.createDataFrame(random_facts(12, 300, 12, 3), SCHEMA)
+    by = cats.learn(facts, cats.CategoryConfig(k=2, min_support=2))
+    own = bd.map_patterns(facts, by).collect()
+    got = {r["cand"]: r["bits_data"] for r in bd.pattern_data_bits(facts, by).collect()}
+    keys = {(r["cs"], r["r"], r["co"]) for r in own}
+    names = {(r["cs"], r["r"], r["co"]): r["cand"] for r in spark.createDataFrame(sorted(keys), "cs long, r string, co long").select("cs", "r", "co", F.xxhash64("cs", "r", "co").alias("cand")).collect()}
+    assert set(got) == set(names.values())
+    for key in keys:
+        bits = 0.0
+        for end in ("s", "o"):
+            n = Counter(r[end] for r in own if (r["cs"], r["r"], r["co"]) == key).values()
+            bits += sum(n) * math.log2(sum(n)) - sum(x * math.log2(x) for x in n)
+        assert got[names[key]] == pytest.approx(bits)
