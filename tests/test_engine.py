@@ -518,13 +518,15 @@ def test_patterns_and_witnesses_are_found_at_once(spark, monkeypatch):
     assert bd.build(facts, BuildConfig(kinds_known=True, closures=False, horizon=5)).scalars["n_facts"] == 12
 
 
-def test_closures_before_facts_meet_no_fact_again(spark):
+@pytest.mark.parametrize("most", [0, 10_000])
+def test_closures_before_facts_meet_no_fact_again(spark, monkeypatch, most):
     """Closures with their facts carried along are those of witnesses joined back to facts: self-loops, hubs and block borders too."""
     rows = random_facts(11, 500, 9, 4, 60) + [("A0", "r0", "hub", t) for t in range(0, 60, 3)] + [("hub", "r1", f"Z{i}", 2 * i) for i in range(20)] + [("A0", "r2", f"Z{i}", 2 * i + 4) for i in range(20)]
     facts = fx.with_ids(spark.createDataFrame(rows, SCHEMA))
     entities = cats.by_kind(facts).entities.cache()
     from rulegraph.plans.build import with_profiles
 
+    monkeypatch.setattr(oc, "PROFILE_PAIRS", most)
     held = with_profiles(facts, entities).cache()
     columns = ("fact_id", "wid", "corner", "t_seen")
     for window, horizon in ((3, 7), (0, 1), (9, 4), (5, 100)):
