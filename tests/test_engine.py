@@ -236,6 +236,17 @@ def test_walk_against_recursion(spark, k):
         assert r["ev_temporal"] == pytest.approx(want)
 
 
+def test_builds_take_all_candidate_links(spark):
+    """231 relations of one pair, each a tick before all of them: 53,361 links, none dropped for having few assertions."""
+    from rulegraph.plans.build import choose_links, prepare
+
+    n = 231
+    facts = spark.range(n).select(F.explode(F.expr("array(0L, 1L)")).alias("t"), F.format_string("r%d", "id").alias("r")).select(F.lit("A").alias("s"), "r", F.lit("B").alias("o"), "t")
+    config = BuildConfig(kinds_known=True, closures=False, horizon=1, criterion="errors")
+    found = choose_links(prepare(facts, config), config)
+    assert found.links.count() == n * n and found.lags.count() == n * n
+
+
 def test_worked_case(spark):
     history, asked = worked_case(spark)
     graph = build(history, BuildConfig(kinds_known=True, closures=False, horizon=50))
