@@ -27,7 +27,11 @@ def local_session(cores: int | str = 8, partitions: int = 8, memory: str = "8g",
 
 
 def ship(spark: SparkSession) -> SparkSession:
-    """Gives Python workers this package (once for each application), whatever their folder or path is."""
+    """Gives Python workers this package (once for each application), whatever their folder or path is.
+
+    Shuffle files go as soon as the action that wrote them ends: what is used again is staged, and disk holds one action's shuffles.
+    """
+    spark.conf.set("spark.sql.classic.shuffleDependency.fileCleanup.enabled", "true")
     sc = spark.sparkContext
     if getattr(sc, "_rulegraph_shipped", False):
         return spark

@@ -247,6 +247,62 @@ def test_builds_take_all_candidate_links(spark):
     assert found.links.count() == n * n and found.lags.count() == n * n
 
 
+def _plan_of(df):
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_lifecycle_by_pair_is_lifecycle_and_needs_no_shuffle_within_pairs(spark, sf_dir, monkeypatch):
+    monkeypatch.setattr(fx, "LINES_AT_ONCE", 2_000)
+    got = fx.lifecycle_by_pair(spark, sf_dir)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, fx.lifecycle(spark, sf_dir).collect()))
+    assert "Exchange" not in _plan_of(oc.earlier_chains(got, 30, latest=True))
+
+
+def test_walk_that_is_not_kept_gives_the_same_trace_without_a_join_of_facts(spark):
+    from rulegraph.plans.experiments import all_links
+
+    facts = sc.identified(spark.createDataFrame(random_facts(11, 300, 6, 4, 25), SCHEMA))
+    model = all_links(facts, 9)
+    for dedupe in (False, True):
+        config = sc.ScoreConfig(K=2, horizon=9, L=2, closures=False, dedupe=dedupe)
+        one, other = sc.walk(facts, None, model, config)[0], sc.walk(facts, None, model, config, kept=False)[0]
+        rows = lambda df: Counter(tuple(x[c] if not isinstance(x[c], float) else round(x[c], 9) for c in sorted(one.columns)) for x in df.collect())
+        assert one.columns == other.columns and rows(one) == rows(other) and {x["hop"] for x in one.collect()} == {0, 1, 2}
+    assert "SortMergeJoin" not in _plan_of(other) and "hashpartitioning(fact_id" not in _plan_of(other)
+
+
+def test_successors_among_facts_themselves(spark):
+    from rulegraph.plans.experiments import all_links
+
+    facts = sc.identified(spark.createDataFrame(random_facts(12, 400, 5, 3, 30), SCHEMA))
+    model, config = all_links(facts, 6), sc.ScoreConfig(horizon=6, closures=False)
+    want = sc.missing_successors(facts, facts.select("s", "r", "o", "t"), model, config, 0.3)
+    got = sc.missing_successors(facts, None, model, config, 0.3)
+    assert want.columns == got.columns and Counter(map(tuple, got.collect())) == Counter(map(tuple, want.collect())) and not want.isEmpty()
+    assert "hashpartitioning(asker" not in _plan_of(got)
+
+
+def test_shuffle_files_go_with_the_action_that_wrote_them(spark, tmp_path):
+    code = f"""
+import sys, time, glob
+sys.path.insert(0, {str(Path(__file__).resolve().parent.parent)!r})
+from pyspark.sql import SparkSession
+spark = SparkSession.builder.master("local[2]").config("spark.ui.enabled", "false").config("spark.local.dir", {str(tmp_path)!r}).getOrCreate()
+from rulegraph.session import ship
+from rulegraph.storage import staged
+out = staged(ship(spark).range(1000).groupBy("id").count(), "t")
+assert out.count() == 1000
+for _ in range(50):
+    left = glob.glob({str(tmp_path)!r} + "/blockmgr-*/*/shuffle_*.data")
+    if not left:
+        break
+    time.sleep(0.1)
+print("left", len(left))
+"""
+    done = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, timeout=120)
+    assert "left 0" in done.stdout, done.stderr[-2000:]
+
+
 def test_worked_case(spark):
     history, asked = worked_case(spark)
     graph = build(history, BuildConfig(kinds_known=True, closures=False, horizon=50))
