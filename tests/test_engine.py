@@ -303,6 +303,21 @@ print("left", len(left))
     assert "left 0" in done.stdout, done.stderr[-2000:]
 
 
+def test_what_facts_saw_is_the_same_span_by_span(spark, monkeypatch):
+    from rulegraph.plans import build as b
+
+    facts = spark.createDataFrame(random_facts(13, 250, 9, 3, 60), SCHEMA)
+    config = BuildConfig(kinds_known=True, horizon=6, L=2)
+    told = lambda own: {x["fact_id"]: {tuple(y) for y in x["seen"]} for x in own.seen.collect()}
+    own = b.profiles_and_ticks(facts, config)
+    assert len(b._spans(own.ticks, 8)) == 1
+    whole = told(b.with_witnesses(own, config))
+    monkeypatch.setattr(b, "FACTS_AT_ONCE", 50)
+    assert len(b._spans(own.ticks, 8)) > 2
+    parts = b.with_witnesses(own, config)
+    assert told(parts) == whole and parts.seen.count() == len(whole) > 100
+
+
 def test_worked_case(spark):
     history, asked = worked_case(spark)
     graph = build(history, BuildConfig(kinds_known=True, closures=False, horizon=50))
