@@ -318,6 +318,24 @@ def test_what_facts_saw_is_the_same_span_by_span(spark, monkeypatch):
     assert told(parts) == whole and parts.seen.count() == len(whole) > 100
 
 
+def test_the_driver_holds_one_cover_at_a_time(spark, monkeypatch):
+    import threading
+    import time
+
+    inside, most, own = [0], [0], threading.Lock()
+
+    def held(cover, ticks, limit=None):
+        with own:
+            inside[0] += 1
+            most[0] = max(most[0], inside[0])
+        time.sleep(0.2)
+        with own:
+            inside[0] -= 1
+
+    monkeypatch.setattr(se, "held_cover", held)
+    assert wl.together([lambda: se.choose_small(None, None, None, 1.0, "error_reduction", None)] * 4) == [None] * 4 and most[0] == 1
+
+
 def test_worked_case(spark):
     history, asked = worked_case(spark)
     graph = build(history, BuildConfig(kinds_known=True, closures=False, horizon=50))
